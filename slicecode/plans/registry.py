@@ -1,13 +1,19 @@
-"""Every query of the engine beside its SQL."""
+"""Every query of the engine beside its SQL; each module registers its own."""
 
+from __future__ import annotations
 
-def flagship(spark, sf_dir):
-    raise NotImplementedError
+from collections.abc import Callable
 
+from pyspark.sql import DataFrame, SparkSession
 
-def queries():
-    return {}
+from slicecode.plans import base
+from slicecode.plans import data, evaluation, model_queries, surface, codes  # noqa: F401  they register themselves
+from slicecode.plans.evaluation import flagship  # noqa: F401
 
 
-def oracle_sql():
-    return {}
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    return dict(base.QUERIES)
+
+
+def oracle_sql() -> dict[str, str]:
+    return dict(base.SQL)
