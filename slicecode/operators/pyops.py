@@ -9,6 +9,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 
@@ -57,7 +58,7 @@ def cogroup_score(grams: DataFrame, law: DataFrame, shard: str = "shard") -> Dat
     return parts.groupBy("source").agg(F.sum("micro").alias("micro"))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def auc(score: pd.Series, label: pd.Series) -> float:
     """Mann-Whitney by average ranks: a grouped aggregate for cross-checks on bounded groups."""
     r = score.rank(method="average")

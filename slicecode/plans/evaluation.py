@@ -255,7 +255,7 @@ def contamination_probe(spark, sf_dir):
         return w.select(ident, F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - 7), lambda i: F.array_join(F.slice("w", i, F.lit(8)), " ")))).alias("s"))
 
     carry = shingles(docs, "doc_id").join(shingles(bench, "item_id"), "s").select("item_id", "doc_id").distinct().persist()
-    dg = windows.with_context(docs, byte_symbols(F.col("text")), 2, ["doc_id"]).groupBy("doc_id", "ctx", "sym").agg(F.count(F.lit(1)).alias("n"))
+    dg = windows.with_context(docs, byte_symbols(F.col("text")), 2, ["doc_id"]).groupBy("doc_id", "ctx", "sym").agg(F.count(F.lit(1)).alias("n")).persist()
     c = dg.groupBy("ctx", "sym").agg(F.sum("n").alias("c"))
     n = c.groupBy("ctx").agg(F.sum("c").alias("n"))
     oc = dg.join(carry, "doc_id").groupBy("item_id", "ctx", "sym").agg(F.sum("n").alias("oc"))

@@ -24,7 +24,8 @@ def rate_series(spark: SparkSession, sf_dir: str, which: tuple[str, ...] | None
     cards = [(x, k, until, ["code_files"] if code else []) for x, (k, until, code, _) in RATE_MODELS.items() if not which or x in which]
     got = models.score_models(grams, spark.createDataFrame(cards, "model_id string, order int, until int, extra array<string>"), TEXTS, 2)
     flat = grams.groupBy("source", "m").agg((F.sum("n") * 8 * MICRO).alias("micro"), F.sum("n").alias("raw_bytes")).select("source", F.lit("uniform").alias("model_id"), "m", "micro", "raw_bytes")
-    return metrics.monthly_rate(got.unionByName(flat))
+    # a row for each source, model and month: kept, as reports read it several times
+    return metrics.monthly_rate(got.unionByName(flat)).persist()
 
 
 def rates(spark: SparkSession, sf_dir: str) -> DataFrame:
