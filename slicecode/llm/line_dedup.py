@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from slicecode.llm.common import arrow_pass, durable
 
-CUTS = {"line": re.compile(r"[^\n]+"), "paragraph": re.compile(r"(?:[^\n]|\n(?![^\S\n]*\n))+")}
+CUTS = {"line": re.compile(r"[^\n]+"), "paragraph": re.compile(r"[^\n](?:[^\n]|\n(?![^\S\n]*\n))*")}
 
 
 def normalise_unit(unit: str) -> bytes:
@@ -73,7 +73,10 @@ def cut_out(text: str | None, spans: list) -> str | None:
 
 def apply_removals(docs: DataFrame, removals: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """``docs`` with the removed units cut out of their texts; same columns, one row for each input row."""
-    spans = removals.groupBy("doc_id").agg(F.collect_list(F.struct("start", "end")).alias("spans")).select(F.col("doc_id").alias("cut_id"), "spans")
+    found, key = "cut_spans", "cut_id"
+    while found in docs.columns or key in docs.columns:  # names that the table does not have
+        found, key = found + "_", key + "_"
+    spans = removals.groupBy("doc_id").agg(F.collect_list(F.struct("start", "end")).alias(found)).select(F.col("doc_id").alias(key), found)
     cut = F.udf(cut_out, "string", useArrow=True)
-    joined = docs.join(spans, docs[doc_id].eqNullSafe(spans["cut_id"]), "left")
-    return joined.select(*[F.when(F.col("spans").isNull(), docs[c]).otherwise(cut(docs[c], F.col("spans"))).alias(c) if c == text else docs[c] for c in docs.columns])
+    joined = docs.join(spans, docs[doc_id].eqNullSafe(spans[key]), "left")
+    return joined.select(*[F.when(spans[found].isNull(), docs[c]).otherwise(cut(docs[c], spans[found])).alias(c) if c == text else docs[c] for c in docs.columns])
