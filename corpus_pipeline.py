@@ -19,8 +19,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each component of five-word-shingle fingerprints within three bits, the document with the smallest id stays."""
-    return anchor_simhash.keep_one_of_each(docs, width=5)
+    """Of each component (fingerprints within three bits, then representatives within seven) the smallest id stays."""
+    return anchor_simhash.keep_one_of_each(docs)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -57,50 +57,61 @@ def with_fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text
     return arrow_pass(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).cast("string").alias("text")), rows, "fp long", keep=["doc_id"])
 
 
-def _half(fp: Column, which: int) -> Column:
-    return F.shiftrightunsigned(fp, 32) if which == 0 else fp.bitwiseAND(F.lit((1 << 32) - 1))
+def _bits_of(parts: int) -> int:
+    if parts not in (2, 4):
+        raise ValueError("two halves or four quarters")
+    return BITS // parts
 
 
-def _syndrome(half: Column) -> Column:
-    """XOR of the positions 1 … 31 of the coded bits that are set."""
-    parity = [F.bit_count(half.bitwiseAND(F.lit(sum(1 << (p - 1) for p in range(1, 32) if p >> j & 1)))) % 2 for j in range(5)]
+def _pieces(fps: DataFrame, parts: int) -> DataFrame:
+    """fp, part, bits: the parts of each fingerprint."""
+    size = _bits_of(parts)
+    each = [F.struct(F.lit(w).cast("int").alias("part"), F.shiftrightunsigned("fp", size * w).bitwiseAND(F.lit((1 << size) - 1)).alias("bits")) for w in range(parts)]
+    return fps.select("fp", F.explode(F.array(*each)).alias("h")).select("fp", "h.part", "h.bits")
+
+
+def _syndrome(bits: Column, size: int) -> Column:
+    """XOR of the positions 1 … ``size`` - 1 of the coded bits that are set; the top bit is free."""
+    parity = [F.bit_count(bits.bitwiseAND(F.lit(sum(1 << (p - 1) for p in range(1, size) if p >> j & 1)))) % 2 for j in range((size - 1).bit_length())]
     return sum((p * (1 << j) for j, p in enumerate(parity)), F.lit(0)).cast("int")
 
 
-def _flip(half: Column, position: Column) -> Column:
-    """``half`` with the bit at ``position`` (1 … 31; 0: none) turned over."""
-    return half.bitwiseXOR(F.when(position > 0, F.call_function("shiftleft", F.lit(1).cast("long"), F.greatest(position - 1, F.lit(0)).cast("int"))).otherwise(F.lit(0).cast("long")))
+def _flip(bits: Column, position: Column) -> Column:
+    """``bits`` with the bit at ``position`` (from 1; 0: none) turned over."""
+    return bits.bitwiseXOR(F.when(position > 0, F.call_function("shiftleft", F.lit(1).cast("long"), F.greatest(position - 1, F.lit(0)).cast("int"))).otherwise(F.lit(0).cast("long")))
 
 
-def homes(fps: DataFrame) -> DataFrame:
-    """One row for each half: the anchor within radius 1. Columns half, anchor, fp."""
-    pairs = F.array(*[F.struct(F.lit(w).cast("int").alias("half"), _half(F.col("fp"), w).alias("bits")) for w in (0, 1)])
-    split = fps.select("fp", F.explode(pairs).alias("h")).select("fp", "h.half", "h.bits")
-    return split.select("half", _flip(F.col("bits"), _syndrome(F.col("bits"))).alias("anchor"), "fp")
+def homes(fps: DataFrame, parts: int = 2) -> DataFrame:
+    """One row for each part: the anchor within radius 1. Columns part, anchor, fp."""
+    return _pieces(fps, parts).select("part", _flip(F.col("bits"), _syndrome(F.col("bits"), _bits_of(parts))).alias("anchor"), "fp")
 
 
-def visits(fps: DataFrame) -> DataFrame:
-    """One row for each half and anchor within radius 2. Columns half, anchor, fp.
+def visits(fps: DataFrame, parts: int = 2) -> DataFrame:
+    """One row for each part and anchor within radius 2. Columns part, anchor, fp.
 
-    With syndrome s = 0 the half itself is an anchor, and so is it with the free bit turned. Else the anchors are
-    one flip away (position s), two flips away (the 15 pairs of positions i, i xor s), and one flip plus the free bit.
+    With syndrome s = 0 the part itself is an anchor, and so is it with the free bit turned. Else the anchors are
+    one flip away (position s), two flips away (the pairs of positions i, i xor s), and one flip plus the free bit.
     """
-    free = F.lit(1 << 31)
-    pairs = F.array(*[F.struct(F.lit(w).cast("int").alias("half"), _half(F.col("fp"), w).alias("bits")) for w in (0, 1)])
-    split = fps.select("fp", F.explode(pairs).alias("h")).select("fp", "h.half", "h.bits", _syndrome(F.col("h.bits")).alias("s"))
-    near = F.array(_flip(F.col("bits"), F.col("s")), _flip(F.col("bits"), F.col("s")).bitwiseXOR(free))
-    other = [F.when((F.col("s") > 0) & (F.lit(i) < F.col("s").bitwiseXOR(F.lit(i))), _flip(_flip(F.col("bits"), F.lit(i)), F.col("s").bitwiseXOR(F.lit(i)))) for i in range(1, 32)]
-    anchors = F.concat(near, F.array_compact(F.array(*other)))
-    return split.select("half", F.explode(anchors).alias("anchor"), "fp")
+    size = _bits_of(parts)
+    split = _pieces(fps, parts).withColumn("s", _syndrome(F.col("bits"), size))
+    home = _flip(F.col("bits"), F.col("s"))
+    other = [F.when((F.col("s") > 0) & (F.lit(i) < F.col("s").bitwiseXOR(F.lit(i))), _flip(_flip(F.col("bits"), F.lit(i)), F.col("s").bitwiseXOR(F.lit(i)))) for i in range(1, size)]
+    anchors = F.concat(F.array(home, home.bitwiseXOR(F.lit(1 << (size - 1)))), F.array_compact(F.array(*other)))
+    return split.select("part", F.explode(anchors).alias("anchor"), "fp")
 
 
 def fingerprint_links(fps: DataFrame, distance: int = 3) -> DataFrame:
-    """All pairs a < b of distinct fingerprints that differ in at most ``distance`` (3 at most) bits; one row each."""
-    if not 0 <= distance <= 3:
-        raise ValueError("the anchors cover distances up to 3")
-    at_home = homes(fps).withColumnRenamed("fp", "a")
-    visiting = visits(fps).withColumnRenamed("fp", "b")
-    met = at_home.join(visiting, ["half", "anchor"]).where((F.col("a") < F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= distance))
+    """All pairs a < b of distinct fingerprints that differ in at most ``distance`` bits; one row each.
+
+    Up to 3 bits: two halves, one of which differs in at most one bit. Up to 7: four quarters. A quarter has 2**12
+    anchors only, so quarters are for sets of representatives, not for all documents of a large corpus.
+    """
+    if not 0 <= distance <= 7:
+        raise ValueError("the anchors cover distances up to 7")
+    parts = 2 if distance <= 3 else 4
+    at_home = homes(fps, parts).withColumnRenamed("fp", "a")
+    visiting = visits(fps, parts).withColumnRenamed("fp", "b")
+    met = at_home.join(visiting, ["part", "anchor"]).where((F.col("a") < F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= distance))
     return met.select("a", "b").distinct()
 
 
@@ -129,28 +140,39 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     return found.unionByName(edges.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
 
 
-def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, distance: int = 3) -> DataFrame:
+def classes_of(first: DataFrame, distance: int) -> DataFrame:
+    """fp, class_id: the smallest first_id of the fingerprint's component at ``distance``; from columns fp, first_id."""
+    roots = components(fingerprint_links(first.select("fp"), distance))
+    named = first.join(roots, first["fp"] == roots["node"], "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
+    smallest = named.groupBy("root").agg(F.min("first_id").alias("class_id"))
+    return named.join(smallest, "root").select("fp", "class_id")
+
+
+def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, distance: int = 3, loose: int | None = None) -> DataFrame:
     """Columns doc_id, fp (signed long), component_id: the smallest doc_id reachable over links, itself included.
 
     One row for each input row. Texts without a word share fingerprint zero and link like any other. Null text
     counts as empty. Rows with a null id take part and get their component's smallest id, null if it has none.
-    An empty table gives no rows.
+    An empty table gives no rows. ``loose``: the components' representatives (the fingerprint of the smallest id) are linked
+    once more at that distance, which joins looser copies without all pairs of a large group.
     """
     marked = durable(with_fingerprints(docs, doc_id, text, width))
     first = durable(marked.groupBy("fp").agg(F.min("doc_id").alias("first_id")))
-    roots = components(fingerprint_links(first.select("fp"), distance))
-    named = first.join(roots, first["fp"] == roots["node"], "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
-    smallest = named.groupBy("root").agg(F.min("first_id").alias("component_id"))
-    classes = named.join(smallest, "root").select("fp", "component_id")
-    return marked.join(classes, "fp").select("doc_id", "fp", "component_id")
+    classes = classes_of(first, distance)
+    if loose is not None and loose > distance:
+        classes = durable(classes)
+        heads = durable(first.join(classes, "fp").groupBy("class_id").agg(F.min_by("fp", F.struct("first_id", "fp")).alias("fp")).select("fp", F.col("class_id").alias("first_id")))
+        joined = heads.join(classes_of(heads, loose), "fp").select(F.col("first_id").alias("old_id"), F.col("class_id").alias("new_id"))
+        classes = classes.join(joined, classes["class_id"].eqNullSafe(joined["old_id"])).select("fp", F.col("new_id").alias("class_id"))
+    return marked.join(classes, "fp").select("doc_id", "fp", F.col("class_id").alias("component_id"))
 
 
-def keep_one_of_each(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, distance: int = 3) -> DataFrame:
+def keep_one_of_each(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, distance: int = 3, loose: int | None = 7) -> DataFrame:
     """The rows of ``docs`` whose id is the smallest of its component; the rows of one id that repeat become one
     (any of them, they are the same document). Rows with a null id cannot be named and stay as they are.
     """
     known = docs.where(F.col(doc_id).isNotNull())
-    found = near_duplicates(known, doc_id, text, width, distance)
+    found = near_duplicates(known, doc_id, text, width, distance, loose)
     stay = found.where("doc_id = component_id").select("doc_id").distinct()
     kept = known.join(stay, known[doc_id] == stay["doc_id"], "left_semi")
     return kept.dropDuplicates([doc_id]).unionByName(docs.where(F.col(doc_id).isNull()))
