@@ -44,3 +44,18 @@ def test_repeats_within_the_watermark(spark, sf, tmp_path):
     s = spark.readStream.schema(streams.EVENTS).parquet(f"{tmp_path}/in/p*").withColumn("ts", F.col("ts").cast("timestamp"))
     got = streams.run_now(streams.without_repeats(s, "60 days"), "append", str(tmp_path / "w"))
     assert got.count() == spark.read.parquet(f"{sf}/events.parquet").count()
+
+
+def test_keyed_law_equals_the_batch(spark, sf):
+    from slicecode.plans import registry
+
+    out = streams.run_now(streams.keyed_law(streams.event_stream(spark, sf)), "update")
+    got = {r["user_id"]: (r["events"], r["micro"]) for r in out.collect()}
+    assert got == {r["user_id"]: (r["events"], r["micro"]) for r in registry.queries()["stream_state_bits"](spark, sf).collect()}
+
+
+def test_interval_join_equals_the_batch(spark, sf, duck):
+    from slicecode.plans import registry
+    from tests.conftest import rows_match
+
+    rows_match(registry.queries()["stream_interval_join"](spark, sf), duck.sql(registry.oracle_sql()["stream_interval_join"]))
