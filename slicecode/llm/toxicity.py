@@ -91,7 +91,8 @@ def fit(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str =
     toxic if any says so; labels that are null, or have no document, do not count."""
     marks = labels.select(F.col(doc_id).alias("label_id"), F.col(toxic).cast("int").alias("toxic")).where("label_id is not null and toxic is not null").where(fold_of(F.col("label_id")) != 0).groupBy("label_id").agg(F.max("toxic").alias("toxic"))
     chosen = bounded_sample(marks, "toxic", per_label, F.col("label_id"))
-    rows = chosen.join(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).cast("string").alias("text")), F.col("label_id") == F.col("doc_id")).select("doc_id", "toxic", "text")
+    # about 2 * per_label ids are broadcast, so no text is shuffled to find them
+    rows = F.broadcast(chosen).join(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).cast("string").alias("text")), F.col("label_id") == F.col("doc_id")).select("doc_id", "toxic", "text")
     found = sorted(((r["doc_id"], r["toxic"], r["text"] or "") for r in rows.collect()))
     return train([t for _, _, t in found], [int(y > 0) for _, y, _ in found])
 
