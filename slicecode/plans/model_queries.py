@@ -248,7 +248,7 @@ def adaptive_order1(spark, sf_dir):
     return _summed(t.select("lang", micro_bits(score.adaptive(n, m)).alias("micro")), ["lang"])
 
 
-_STATIC = f"""WITH {DOCS}, {_REF}, {tokens('ref')}, {grams(None, 1)}, {backoff('x', 1, 'm <= 71')},
+_STATIC = f"""WITH {DOCS}, {_REF}, {tokens('ref')}, {grams(None, 1)}, {backoff('x', 0, 'm <= 71')},
 t AS (SELECT tok.item_id AS doc_id, pos, sym, coalesce(lag(sym) OVER (PARTITION BY item_id ORDER BY pos), '') AS ctx FROM tok WHERE m >= 72)"""
 _CACHED = ((256, 256), (512, 512), (1024, 1024), (256, 64))
 
@@ -266,11 +266,11 @@ _CACHED_SQL = f"{_STATIC}, w AS ({' UNION ALL '.join(_cached_sql(*c) for c in _C
 
 
 def cached_frame(spark, sf_dir):
-    """config, micro: the cached law (static order 1, strength 64) on the testing months of the reference articles."""
+    """config, micro: the cached law (static order 0, strength 64) on the testing months of the reference articles."""
     slices = documents_slices(spark, sf_dir).where("source = 'reference_articles'")
     g = models.month_grams(slices, 1, None).persist()
     counts, totals = models.fit_backoff(g, 71)
-    law = models.score_grams(g, counts, totals, 1)
+    law = models.score_grams(g, counts.where("depth = 0"), totals.where("depth = 0"), 0)
     t = windows.with_context(slices.where("m >= 72"), byte_symbols(F.col("body")), 1, ["item_id"]).withColumnRenamed("item_id", "doc_id")
     out = None
     for size, step in _CACHED:
@@ -288,7 +288,7 @@ def cached_bits(spark, sf_dir):
 @query(f"""{_CACHED_SQL}, r AS (SELECT config, round(100.0 * sum({MICRO}) / 1000000 / (8.0 * count(*)), 4) AS rate, count(*) AS scored FROM q GROUP BY config),
 n AS (SELECT strlen(body) AS n FROM ref WHERE m >= 72), cfg AS (SELECT * FROM (VALUES (256, 256), (512, 512), (1024, 1024), (256, 64)) v(size, step)),
 f AS (SELECT size || '/' || step AS config, CAST(sum(least(n, (b + 1) * step) - greatest(0, b * step - (size - step))) AS BIGINT) AS forward_tokens FROM (SELECT size, step, n, unnest(range((n + step - 1) // step)) AS b FROM n CROSS JOIN cfg) GROUP BY ALL)
-SELECT 'cached_o1' AS model_id, config, rate, forward_tokens, scored AS scored_tokens, round(CAST(forward_tokens AS DOUBLE) / scored, 6) AS relative_cost FROM r JOIN f USING (config)""")
+SELECT 'cached_o0' AS model_id, config, rate, forward_tokens, scored AS scored_tokens, round(CAST(forward_tokens AS DOUBLE) / scored, 6) AS relative_cost FROM r JOIN f USING (config)""")
 def context_size_table(spark, sf_dir):
     """Rate and cost by window setting, scaled to the tables' short documents (256, 512, 1024, 256 with steps of 64)."""
     r = _summed(cached_frame(spark, sf_dir), ["config"]).select("config", "rate", F.col("bytes").alias("scored_tokens"))
@@ -297,7 +297,7 @@ def context_size_table(spark, sf_dir):
     for size, step in _CACHED:
         got = windows.sliding_plan(n, size, step, []).agg(F.sum("forward_tokens").alias("forward_tokens")).withColumn("config", F.lit(f"{size}/{step}"))
         f = got if f is None else f.unionByName(got)
-    return r.join(f, "config").select(F.lit("cached_o1").alias("model_id"), "config", "rate", "forward_tokens", "scored_tokens", F.round(F.col("forward_tokens") / F.col("scored_tokens"), 6).alias("relative_cost"))
+    return r.join(f, "config").select(F.lit("cached_o0").alias("model_id"), "config", "rate", "forward_tokens", "scored_tokens", F.round(F.col("forward_tokens") / F.col("scored_tokens"), 6).alias("relative_cost"))
 
 
 @query("""WITH t AS (SELECT o_orderpriority AS stream_id, o_orderkey AS pos, ln((1 + o_orderkey % 97) / CAST(100.0 AS DOUBLE)) AS logprob FROM orders)

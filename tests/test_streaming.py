@@ -20,7 +20,7 @@ def test_three_files_equal_the_batch(spark, sf, tmp_path):
 
 def test_late_rows_are_dropped(spark, tmp_path):
     rows = lambda day, ids: spark.createDataFrame([(i, f"2024-01-{day:02d} 12:00:00") for i in ids], "event_id long, t string").select("event_id", F.col("t").cast("timestamp").alias("ts"))
-    for k, (day, ids) in enumerate(((1, [1]), (20, [2]), (2, [3]), (21, [4]))):
+    for k, (day, ids) in enumerate(((1, [1]), (20, [2]), (20, [5]), (2, [3]), (21, [4]))):  # rows are held against the watermark of the batch before
         rows(day, ids).coalesce(1).write.parquet(f"{tmp_path}/in/{k}")
     s = spark.readStream.schema("event_id long, ts timestamp").option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in/*")
     out = streams.run_now(s.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n")), "append", str(tmp_path / "w"))
