@@ -19,8 +19,9 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each component (fingerprints within three bits, then representatives within seven) the smallest id stays."""
-    return anchor_simhash.keep_one_of_each(docs)
+    """Of each component the smallest id stays. Links: five-word-shingle fingerprints within three bits, or within seven bits
+    and a Jaccard similarity of the texts of 0.8 or more."""
+    return anchor_simhash.keep_one_of_each(docs, width=5, least=0.8)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

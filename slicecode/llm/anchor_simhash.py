@@ -22,6 +22,8 @@ from slicecode.llm.common import arrow_pass, durable
 BITS = 64
 #: Mask of the 31 coded bits of a half.
 CODED = (1 << 31) - 1
+#: Ids of texts to broadcast at most.
+MOST_NEEDED = 1 << 18
 
 
 def fingerprint(text: str | None, width: int = 3, seed: int = 42) -> int:
@@ -30,16 +32,26 @@ def fingerprint(text: str | None, width: int = 3, seed: int = 42) -> int:
     Shingles repeat as often as they occur. Fewer words than ``width``: the whole sequence is the one shingle;
     no word: zero.
     """
-    words = (text or "").encode("utf-8", "surrogatepass").lower().split()
+    return _majority(shingle_hashes(words_of(text), width, seed))
+
+
+def words_of(text: str | None) -> list[bytes]:
+    return (text or "").encode("utf-8", "surrogatepass").lower().split()
+
+
+def shingle_hashes(words: list[bytes], width: int, seed: int = 42) -> bytes:
+    """Eight bytes for each shingle, in the order of the text."""
     if not words:
-        return 0
+        return b""
     digest = xxhash.xxh64_digest
     if len(words) < width:
-        hashes = digest(b" ".join(words), seed)
-    else:
-        joined, ends = b" ".join(words), np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
-        starts = np.concatenate(([0], ends[: len(words) - width]))
-        hashes = b"".join([digest(joined[a:b], seed) for a, b in zip(starts.tolist(), (ends[width - 1 :] - 1).tolist(), strict=True)])
+        return digest(b" ".join(words), seed)
+    joined, ends = b" ".join(words), np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
+    starts = np.concatenate(([0], ends[: len(words) - width]))
+    return b"".join([digest(joined[a:b], seed) for a, b in zip(starts.tolist(), (ends[width - 1 :] - 1).tolist(), strict=True)])
+
+
+def _majority(hashes: bytes) -> int:
     n = len(hashes) // 8
     counts = np.zeros(BITS, np.int64)
     raw = np.frombuffer(hashes, np.uint8).reshape(n, 8)
@@ -48,6 +60,18 @@ def fingerprint(text: str | None, width: int = 3, seed: int = 42) -> int:
     return int.from_bytes(np.packbits(counts * 2 > n).tobytes(), "big")
 
 
+def shingles(text: str | None, width: int = 5) -> frozenset[bytes]:
+    """The distinct shingles themselves, as ``fingerprint`` cuts them; none without a word."""
+    words = words_of(text)
+    return frozenset(b" ".join(words[k : k + width]) for k in range(max(1, len(words) - width + 1))) if words else frozenset()
+
+
+def similarity(a: frozenset[bytes], b: frozenset[bytes]) -> float:
+    """Jaccard similarity; 0 if both are empty."""
+    both = len(a & b)
+    return both / (len(a) + len(b) - both) if both else 0.0
+
+
 def with_fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3) -> DataFrame:
     """Columns doc_id, fp (the fingerprint's 64 bits as a signed long); null text counts as empty."""
 
@@ -64,10 +88,10 @@ def _bits_of(parts: int) -> int:
 
 
 def _pieces(fps: DataFrame, parts: int) -> DataFrame:
-    """fp, part, bits: the parts of each fingerprint."""
+    """The columns of ``fps``, part, bits: the parts of each fingerprint."""
     size = _bits_of(parts)
     each = [F.struct(F.lit(w).cast("int").alias("part"), F.shiftrightunsigned("fp", size * w).bitwiseAND(F.lit((1 << size) - 1)).alias("bits")) for w in range(parts)]
-    return fps.select("fp", F.explode(F.array(*each)).alias("h")).select("fp", "h.part", "h.bits")
+    return fps.select("*", F.explode(F.array(*each)).alias("h")).select(*fps.columns, "h.part", "h.bits")
 
 
 def _syndrome(bits: Column, size: int) -> Column:
@@ -82,12 +106,12 @@ def _flip(bits: Column, position: Column) -> Column:
 
 
 def homes(fps: DataFrame, parts: int = 2) -> DataFrame:
-    """One row for each part: the anchor within radius 1. Columns part, anchor, fp."""
-    return _pieces(fps, parts).select("part", _flip(F.col("bits"), _syndrome(F.col("bits"), _bits_of(parts))).alias("anchor"), "fp")
+    """One row for each part: the anchor within radius 1. Columns part, anchor, and those of ``fps``."""
+    return _pieces(fps, parts).select("part", _flip(F.col("bits"), _syndrome(F.col("bits"), _bits_of(parts))).alias("anchor"), *fps.columns)
 
 
 def visits(fps: DataFrame, parts: int = 2) -> DataFrame:
-    """One row for each part and anchor within radius 2. Columns part, anchor, fp.
+    """One row for each part and anchor within radius 2. Columns part, anchor, and those of ``fps``.
 
     With syndrome s = 0 the part itself is an anchor, and so is it with the free bit turned. Else the anchors are
     one flip away (position s), two flips away (the pairs of positions i, i xor s), and one flip plus the free bit.
@@ -97,7 +121,7 @@ def visits(fps: DataFrame, parts: int = 2) -> DataFrame:
     home = _flip(F.col("bits"), F.col("s"))
     other = [F.when((F.col("s") > 0) & (F.lit(i) < F.col("s").bitwiseXOR(F.lit(i))), _flip(_flip(F.col("bits"), F.lit(i)), F.col("s").bitwiseXOR(F.lit(i)))) for i in range(1, size)]
     anchors = F.concat(F.array(home, home.bitwiseXOR(F.lit(1 << (size - 1)))), F.array_compact(F.array(*other)))
-    return split.select("part", F.explode(anchors).alias("anchor"), "fp")
+    return split.select("part", F.explode(anchors).alias("anchor"), *fps.columns)
 
 
 def fingerprint_links(fps: DataFrame, distance: int = 3) -> DataFrame:
@@ -140,39 +164,105 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     return found.unionByName(edges.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
 
 
-def classes_of(first: DataFrame, distance: int) -> DataFrame:
-    """fp, class_id: the smallest first_id of the fingerprint's component at ``distance``; from columns fp, first_id."""
-    roots = components(fingerprint_links(first.select("fp"), distance))
-    named = first.join(roots, first["fp"] == roots["node"], "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
-    smallest = named.groupBy("root").agg(F.min("first_id").alias("class_id"))
-    return named.join(smallest, "root").select("fp", "class_id")
+def roots_of(fps: DataFrame, links: DataFrame) -> DataFrame:
+    """fp, root: the smallest fingerprint of the component over ``links``, the fingerprint itself if it has no link."""
+    found = components(links)
+    return fps.select("fp").join(found, F.col("fp") == F.col("node"), "left").select("fp", F.coalesce("root", "fp").alias("root"))
+
+
+def sized_versions(docs: DataFrame, doc_id: str, text: str, width: int) -> DataFrame:
+    """doc_id, fp, n (distinct shingles), version (digest of the words in order) of each row."""
+
+    def rows(_: list, texts: list) -> list:
+        fps, sizes, versions = [], [], []
+        for t in texts:
+            words = words_of(t)
+            hashes = shingle_hashes(words, width)
+            fps.append(_majority(hashes))
+            sizes.append(len(np.unique(np.frombuffer(hashes, np.uint64))))
+            versions.append(xxhash.xxh64_intdigest(b" ".join(words), 7))
+        return [np.array(fps, np.uint64).view(np.int64).tolist(), sizes, np.array(versions, np.uint64).view(np.int64).tolist()]
 
+    return arrow_pass(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).cast("string").alias("text")), rows, "fp long, n int, version long", keep=["doc_id"])
 
-def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, distance: int = 3, loose: int | None = None) -> DataFrame:
+
+def _near(least: float, distance: int) -> Column:
+    """Condition on sides a and b: other classes, near fingerprints, and sizes whose Jaccard can reach ``least``."""
+    return (F.col("a_root") != F.col("b_root")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= distance) & (F.col("a_most") >= least * F.col("b_fewest")) & (F.col("b_most") >= least * F.col("a_fewest"))
+
+
+def _side(fps: DataFrame, side: str) -> DataFrame:
+    return fps.select(*[c for c in fps.columns if c not in ("fp", "root", "fewest", "most")], F.col("fp").alias(side), *[F.col(c).alias(f"{side}_{c}") for c in ("root", "fewest", "most")])
+
+
+def head_links(rooted: DataFrame, distance: int, least: float) -> DataFrame:
+    """a, b: all pairs of the classes' heads (the fingerprint that names the class) within ``distance`` (up to 7) bits."""
+    heads = rooted.where("fp = root")
+    return _side(homes(heads, 4), "a").join(_side(visits(heads, 4), "b"), ["part", "anchor"]).where((F.col("a") < F.col("b")) & _near(least, distance)).select("a", "b").distinct()
+
+
+def verified(links: DataFrame, versions: DataFrame, docs: DataFrame, doc_id: str, text: str, width: int, least: float) -> DataFrame:
+    """The links a, b for which some text of ``a`` and some text of ``b`` have a Jaccard similarity of ``least`` or more
+    over their distinct ``width``-word shingles. ``versions``: fp, doc_id, n of each distinct text."""
+    side = lambda s: versions.select(F.col("fp").alias(s), F.col("doc_id").alias(f"{s}_id"), F.col("n").alias(f"{s}_n"))
+    pairs = durable(links.join(side("a"), "a").join(side("b"), "b").where((F.col("a_n") >= least * F.col("b_n")) & (F.col("b_n") >= least * F.col("a_n"))).select("a", "b", "a_id", "b_id"))
+    needed = durable(pairs.select(F.col("a_id").alias("need_id")).union(pairs.select("b_id")).distinct())
+    if needed.count() <= MOST_NEEDED:  # the same rows either way: no text is shuffled to find few of them
+        needed = F.broadcast(needed)
+    texts = durable(docs.select(F.col(doc_id).alias("need_id"), F.col(text).cast("string").alias("text")).join(needed, "need_id", "left_semi").dropDuplicates(["need_id"]))
+
+    def rows(_: list, __: list, left: list, right: list) -> list:
+        out, last, cut = [], None, frozenset()
+        for x, y in zip(left, right, strict=True):
+            if x != last:
+                last, cut = x, shingles(x, width)
+            out.append(similarity(cut, shingles(y, width)) >= least)
+        return [out]
+
+    both = pairs.join(texts.select(F.col("need_id").alias("a_id"), F.col("text").alias("a_text")), "a_id").join(texts.select(F.col("need_id").alias("b_id"), F.col("text").alias("b_text")), "b_id")
+    return durable(arrow_pass(both.select("a", "b", "a_text", "b_text"), rows, "same boolean", keep=["a", "b"]).where("same").select("a", "b").distinct())
+
+
+def loosened(roots: DataFrame, marked: DataFrame, docs: DataFrame, doc_id: str, text: str, width: int, distance: int, least: float) -> DataFrame:
+    """fp, root after joining the classes whose heads lie within ``distance`` bits and have similar texts."""
+    versions = durable(marked.where("n > 0").groupBy("fp", "version").agg(F.min("doc_id").alias("doc_id"), F.min("n").alias("n")).where("doc_id is not null"))
+    sizes = versions.groupBy("fp").agg(F.min("n").alias("fewest"), F.max("n").alias("most"))
+    for candidates in (head_links,):
+        roots = durable(roots)
+        links = verified(durable(candidates(durable(roots.join(sizes, "fp")), distance, least)), versions, docs, doc_id, text, width, least)
+        merged = components(links.join(roots.select(F.col("fp").alias("a"), F.col("root").alias("a_root")), "a").join(roots.select(F.col("fp").alias("b"), F.col("root").alias("b_root")), "b").select(F.col("a_root").alias("a"), F.col("b_root").alias("b")))
+        roots = roots.withColumnRenamed("root", "old").join(merged, F.col("old") == F.col("node"), "left").select("fp", F.coalesce("root", "old").alias("root"))
+    return roots
+
+
+def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, distance: int = 3, loose: int | None = None, least: float = 0.8) -> DataFrame:
     """Columns doc_id, fp (signed long), component_id: the smallest doc_id reachable over links, itself included.
 
     One row for each input row. Texts without a word share fingerprint zero and link like any other. Null text
     counts as empty. Rows with a null id take part and get their component's smallest id, null if it has none.
-    An empty table gives no rows. ``loose``: the components' representatives (the fingerprint of the smallest id) are linked
-    once more at that distance, which joins looser copies without all pairs of a large group.
+    An empty table gives no rows. ``loose``: fingerprints that differ in more than ``distance`` and up to ``loose`` bits
+    are linked too, if two of their texts have a Jaccard similarity of ``least`` or more over their ``width``-word
+    shingles; such a link needs an id on both sides, by which the texts are found.
     """
-    marked = durable(with_fingerprints(docs, doc_id, text, width))
+    wide = loose is not None and loose > distance
+    if wide and loose > 7:
+        raise ValueError("the anchors cover distances up to 7")
+    marked = durable(sized_versions(docs, doc_id, text, width) if wide else with_fingerprints(docs, doc_id, text, width))
     first = durable(marked.groupBy("fp").agg(F.min("doc_id").alias("first_id")))
-    classes = classes_of(first, distance)
-    if loose is not None and loose > distance:
-        classes = durable(classes)
-        heads = durable(first.join(classes, "fp").groupBy("class_id").agg(F.min_by("fp", F.struct("first_id", "fp")).alias("fp")).select("fp", F.col("class_id").alias("first_id")))
-        joined = heads.join(classes_of(heads, loose), "fp").select(F.col("first_id").alias("old_id"), F.col("class_id").alias("new_id"))
-        classes = classes.join(joined, classes["class_id"].eqNullSafe(joined["old_id"])).select("fp", F.col("new_id").alias("class_id"))
+    roots = roots_of(first, fingerprint_links(first.select("fp"), distance))
+    if wide:
+        roots = loosened(roots, marked, docs, doc_id, text, width, loose, least)
+    named = first.join(roots, "fp")
+    classes = named.join(named.groupBy("root").agg(F.min("first_id").alias("class_id")), "root").select("fp", "class_id")
     return marked.join(classes, "fp").select("doc_id", "fp", F.col("class_id").alias("component_id"))
 
 
-def keep_one_of_each(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, distance: int = 3, loose: int | None = 7) -> DataFrame:
+def keep_one_of_each(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 5, distance: int = 3, loose: int | None = 7, least: float = 0.8) -> DataFrame:
     """The rows of ``docs`` whose id is the smallest of its component; the rows of one id that repeat become one
     (any of them, they are the same document). Rows with a null id cannot be named and stay as they are.
     """
     known = docs.where(F.col(doc_id).isNotNull())
-    found = near_duplicates(known, doc_id, text, width, distance, loose)
+    found = near_duplicates(known, doc_id, text, width, distance, loose, least)
     stay = found.where("doc_id = component_id").select("doc_id").distinct()
     kept = known.join(stay, known[doc_id] == stay["doc_id"], "left_semi")
     return kept.dropDuplicates([doc_id]).unionByName(docs.where(F.col(doc_id).isNull()))

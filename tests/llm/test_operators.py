@@ -284,6 +284,53 @@ def test_components_of_chains(spark):
     assert got == {**{k: 0 for k in range(41)}, 90: 90, 95: 90, 100: 90}
 
 
+def edited_chains(r, chains, steps):
+    """Texts of about 60 words; each is the one before it, or the chain's first, with a few words changed."""
+    out = []
+    for _ in range(chains):
+        chain = [[f"w{r.randrange(400)}" for _ in range(r.randint(40, 80))]]
+        for _ in range(steps):
+            words = list(r.choice([chain[0], chain[-1]]))
+            for _ in range(r.randint(1, 2)):
+                words[r.choice([0, len(words) - 1, r.randrange(len(words))])] = f"x{r.randrange(400)}"
+            chain.append(words)
+        out += [" ".join(w) for w in chain]
+    return out
+
+
+def joined_by(pairs, n):
+    root = list(range(n))
+
+    def find(k):
+        while root[k] != k:
+            k = root[k]
+        return k
+
+    for a, b in pairs:
+        x, y = sorted((find(a), find(b)))
+        root[y] = x
+    return [find(k) for k in range(n)]
+
+
+def loose_case(seed, chains=12, steps=14):
+    texts = edited_chains(random.Random(seed), chains, steps)
+    fps = [anchor_simhash.fingerprint(t, 5) for t in texts]
+    grams = [{tuple(t.split()[k : k + 5]) for k in range(len(t.split()) - 4)} for t in texts]
+    bits = {(a, b): (fps[a] ^ fps[b]).bit_count() for a in range(len(texts)) for b in range(a + 1, len(texts))}
+    alike = {(a, b): len(grams[a] & grams[b]) / len(grams[a] | grams[b]) for a, b in bits}
+    return texts, bits, alike, joined_by([p for p in bits if bits[p] <= 3], len(texts))
+
+
+def test_links_beyond_three_bits_are_verified(spark):
+    texts, bits, alike, tight = loose_case(3)
+    false = [p for p in bits if 3 < bits[p] <= 7 and alike[p] < 0.8]
+    assert len(false) > 5 and any(bits[p] > 3 and alike[p] >= 0.8 for p in bits if bits[p] <= 7)
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    kept = {r["doc_id"] for r in anchor_simhash.keep_one_of_each(docs).collect()}
+    want = joined_by([p for p in bits if bits[p] <= 3 or bits[p] <= 7 and alike[p] >= 0.8], len(texts))
+    assert kept >= set(want) and joined_by([p for p in bits if bits[p] <= 7], len(texts)) != want
+
+
 # --- 10 -----------------------------------------------------------------------------------------------------------
 
 
