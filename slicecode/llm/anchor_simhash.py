@@ -22,7 +22,8 @@ from slicecode.llm.common import arrow_pass, durable
 BITS = 64
 #: Mask of the 31 coded bits of a half.
 CODED = (1 << 31) - 1
-#: Ids of texts to broadcast at most.
+#: Fingerprints at home at one anchor before it is dealt out to several tasks; ids of texts to broadcast at most.
+MOST_AT_HOME = 4096
 MOST_NEEDED = 1 << 18
 
 
@@ -128,7 +129,7 @@ def fingerprint_links(fps: DataFrame, distance: int = 3) -> DataFrame:
     """All pairs a < b of distinct fingerprints that differ in at most ``distance`` bits; one row each.
 
     Up to 3 bits: two halves, one of which differs in at most one bit. Up to 7: four quarters. A quarter has 2**12
-    anchors only, so quarters are for sets of representatives, not for all documents of a large corpus.
+    anchors only, so the work grows with the square of the fingerprints.
     """
     if not 0 <= distance <= 7:
         raise ValueError("the anchors cover distances up to 7")
@@ -195,10 +196,26 @@ def _side(fps: DataFrame, side: str) -> DataFrame:
     return fps.select(*[c for c in fps.columns if c not in ("fp", "root", "fewest", "most")], F.col("fp").alias(side), *[F.col(c).alias(f"{side}_{c}") for c in ("root", "fewest", "most")])
 
 
-def head_links(rooted: DataFrame, distance: int, least: float) -> DataFrame:
-    """a, b: all pairs of the classes' heads (the fingerprint that names the class) within ``distance`` (up to 7) bits."""
-    heads = rooted.where("fp = root")
-    return _side(homes(heads, 4), "a").join(_side(visits(heads, 4), "b"), ["part", "anchor"]).where((F.col("a") < F.col("b")) & _near(least, distance)).select("a", "b").distinct()
+def led_links(rooted: DataFrame, distance: int, least: float) -> DataFrame:
+    """a, b: each fingerprint with the smallest one that shares its homes in two quarters. Four candidates at most a
+    fingerprint: large groups of copies come together by these, before all pairs of what is left are compared."""
+    bits = [F.shiftrightunsigned("fp", 16 * k).bitwiseAND(F.lit((1 << 16) - 1)) for k in range(4)]
+    home = [_flip(b, _syndrome(b, 16)) for b in bits]
+    keyed = rooted.select("*", F.explode(F.array(*[F.lit(k << 32) + home[k] * F.lit(1 << 16) + home[(k + 1) % 4] for k in range(4)])).alias("cell"))
+    leaders = keyed.groupBy("cell").agg(F.min(F.struct("fp", "root", "fewest", "most")).alias("l")).select("cell", "l.*")
+    return _side(leaders, "a").join(_side(keyed, "b"), "cell").where(_near(least, distance)).select("a", "b").distinct()
+
+
+def all_links(rooted: DataFrame, distance: int, least: float) -> DataFrame:
+    """a, b: all pairs of fingerprints of different classes within ``distance`` (up to 7) bits. The anchors of the quarters are
+    dealt out by salt where many fingerprints are at home."""
+    at_home, visiting = homes(rooted, 4), visits(rooted, 4)
+    salts = F.broadcast(at_home.groupBy("part", "anchor").agg(F.ceil(F.count(F.lit(1)) / F.lit(MOST_AT_HOME)).cast("int").alias("salts")))  # 4 * 2**12 anchors
+    cell = (F.col("salt").cast("long") * 4 + F.col("part")) * F.lit(1 << 16) + F.col("anchor")
+    dealt = at_home.join(salts, ["part", "anchor"]).withColumn("salt", F.pmod(F.xxhash64("fp"), F.col("salts")))
+    copied = visiting.join(salts, ["part", "anchor"]).withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)))
+    left, right = [_side(x.select(cell.alias("cell"), *rooted.columns), side) for x, side in ((dealt, "a"), (copied, "b"))]
+    return left.join(right, "cell").where((F.col("a") < F.col("b")) & _near(least, distance)).select("a", "b").distinct()
 
 
 def verified(links: DataFrame, versions: DataFrame, docs: DataFrame, doc_id: str, text: str, width: int, least: float) -> DataFrame:
@@ -224,10 +241,11 @@ def verified(links: DataFrame, versions: DataFrame, docs: DataFrame, doc_id: str
 
 
 def loosened(roots: DataFrame, marked: DataFrame, docs: DataFrame, doc_id: str, text: str, width: int, distance: int, least: float) -> DataFrame:
-    """fp, root after joining the classes whose heads lie within ``distance`` bits and have similar texts."""
+    """fp, root after joining the classes of all pairs of distinct fingerprints within ``distance`` bits whose texts are
+    similar. First each fingerprint against a leader, then all pairs that are still in different classes."""
     versions = durable(marked.where("n > 0").groupBy("fp", "version").agg(F.min("doc_id").alias("doc_id"), F.min("n").alias("n")).where("doc_id is not null"))
     sizes = versions.groupBy("fp").agg(F.min("n").alias("fewest"), F.max("n").alias("most"))
-    for candidates in (head_links,):
+    for candidates in (led_links, all_links):
         roots = durable(roots)
         links = verified(durable(candidates(durable(roots.join(sizes, "fp")), distance, least)), versions, docs, doc_id, text, width, least)
         merged = components(links.join(roots.select(F.col("fp").alias("a"), F.col("root").alias("a_root")), "a").join(roots.select(F.col("fp").alias("b"), F.col("root").alias("b_root")), "b").select(F.col("a_root").alias("a"), F.col("b_root").alias("b")))

@@ -331,6 +331,24 @@ def test_links_beyond_three_bits_are_verified(spark):
     assert kept >= set(want) and joined_by([p for p in bits if bits[p] <= 7], len(texts)) != want
 
 
+def test_members_link_as_well_as_heads(spark):
+    texts, bits, alike, tight = loose_case(3)
+    true = [p for p in bits if bits[p] <= 3 or bits[p] <= 7 and alike[p] >= 0.8]
+    want = joined_by(true, len(texts))
+    heads = joined_by([p for p in bits if bits[p] <= 3] + [p for p in true if p[0] == tight[p[0]] and p[1] == tight[p[1]]], len(texts))
+    assert heads != want
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: r["component_id"] for r in anchor_simhash.near_duplicates(docs, width=5, loose=7).collect()}
+    assert [got[k] for k in range(len(texts))] == want
+    one = anchor_simhash.MOST_AT_HOME
+    anchor_simhash.MOST_AT_HOME = 1  # every anchor is dealt out
+    try:
+        got = {r["doc_id"]: r["component_id"] for r in anchor_simhash.near_duplicates(docs, width=5, loose=7).collect()}
+    finally:
+        anchor_simhash.MOST_AT_HOME = one
+    assert [got[k] for k in range(len(texts))] == want
+
+
 # --- 10 -----------------------------------------------------------------------------------------------------------
 
 
