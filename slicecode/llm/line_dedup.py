@@ -60,6 +60,14 @@ def repeated_units(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     return later.select("doc_id", "start", "end", "kept_doc_id", "kept_start").distinct()
 
 
+def repeated_lines_and_paragraphs(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", min_words: int = 1, rank: Column | None = None) -> DataFrame:
+    """The rows of ``repeated_units`` for lines and for paragraphs, with the column unit. Spans of the two kinds may overlap;
+    ``apply_removals`` cuts what they cover together. A paragraph is compared as a whole, so one whose lines are
+    broken at other places is found too."""
+    each = [repeated_units(docs, doc_id, text, unit, min_words, rank).withColumn("unit", F.lit(unit)) for unit in CUTS]
+    return each[0].unionByName(each[1])
+
+
 def cut_out(text: str | None, spans: list) -> str | None:
     """``text`` without the spans and without the one line end that follows each."""
     if text is None or not spans:

@@ -39,6 +39,11 @@ def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.repeated_units(table(spark, sf_dir, "documents"))
 
 
+def op7_unit_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Lines and paragraphs of any length; ``op7_line_dedup`` is held to lines of ten words by its SQL."""
+    return line_dedup.repeated_lines_and_paragraphs(table(spark, sf_dir, "documents"))
+
+
 def op8_anchor_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = anchor_simhash.near_duplicates(table(spark, sf_dir, "documents"))
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
@@ -53,7 +58,7 @@ def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_line_frequency, op2_html_main_text, op3_edit_decontamination, op4_piece_encoding, op5_byte_shards, op6_language_id, op7_line_dedup, op8_anchor_simhash, op9_toxicity, op10_secret_scan)}
+    return {f.__name__: f for f in (op1_line_frequency, op2_html_main_text, op3_edit_decontamination, op4_piece_encoding, op5_byte_shards, op6_language_id, op7_line_dedup, op7_unit_dedup, op8_anchor_simhash, op9_toxicity, op10_secret_scan)}
 
 
 OP1_SQL = r"""

@@ -222,6 +222,14 @@ def test_rank_decides(spark):
     assert [(x["doc_id"], x["kept_doc_id"]) for x in line_dedup.repeated_units(docs, rank=F.col("r")).collect()] == [(1, 2)]
 
 
+def test_short_lines_and_rewrapped_paragraphs(spark):
+    docs = spark.createDataFrame([(1, "Share\n\na b c\nd e f"), (2, "x y z\n\nshare\n\na b\nc d e f")], "doc_id long, text string")
+    found = line_dedup.repeated_lines_and_paragraphs(docs)
+    got = {(r["unit"], r["doc_id"], r["start"], r["end"], r["kept_doc_id"], r["kept_start"]) for r in found.collect()}
+    assert got == {("line", 2, 7, 12, 1, 0), ("paragraph", 2, 7, 12, 1, 0), ("paragraph", 2, 14, 25, 1, 7)}
+    assert {r["doc_id"]: r["text"] for r in line_dedup.apply_removals(docs, found).collect()} == {1: "Share\n\na b c\nd e f", 2: "x y z\n\n\n"}
+
+
 # --- 8 ------------------------------------------------------------------------------------------------------------
 
 
