@@ -54,12 +54,14 @@ def train(texts: list[str | None], labels: list[int], bits: int = 18, alpha: flo
     """Ratios from all rows, then full-batch Adam on the logistic loss with a ridge on the regression weights.
 
     An n-gram counts if at least ``least_docs`` texts have it and its absolute log ratio is ``least_ratio`` or more.
-    With one class only, the score is that class's smoothed share.
+    With one class only, the score is that class's smoothed share; without any row nothing is called toxic.
     """
     y = np.array(labels, np.float64)
     share = (y.sum() + 0.5) / (len(y) + 1)
     weights = np.zeros(1 << bits, np.float32)
-    if not len(y) or y.min() == y.max():
+    if not len(y):
+        return ToxicityModel(weights, -50.0, bits)
+    if y.min() == y.max():
         return ToxicityModel(weights, math.log(share / (1 - share)), bits)
     grams = [gram_buckets(t, bits).astype(np.int32) for t in texts]
     size = np.array([len(g) for g in grams])
@@ -118,6 +120,9 @@ def toxicity(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: s
 
 
 def without_toxic(docs: DataFrame, model: ToxicityModel, text: str = "text") -> DataFrame:
-    """The rows of ``docs`` that score under 0.5, whole and unchanged."""
+    """The rows of ``docs`` that score under 0.5, whole and unchanged; all of them if the model has no weight, as labels of
+    fewer than two classes tell no text from another."""
+    if not model.weights.any():
+        return docs
     sent = docs.sparkSession.sparkContext.broadcast(model)
     return filter_pass(docs, text, lambda texts: [sent.value.score(t) < 0.5 for t in texts])

@@ -196,6 +196,14 @@ def test_held_out_language_and_toxicity(spark):
     assert sum(r["predicted"] == r["toxic"] for r in tox) / len(tox) > 0.95
 
 
+def test_no_usable_label_keeps_all(spark):
+    docs = spark.createDataFrame([(k, f"some text {k}") for k in range(40)], "doc_id long, text string")
+    for labels in ([], [(k, 1) for k in range(40)]):
+        marks = spark.createDataFrame(labels, "doc_id long, toxic int")
+        assert toxicity.without_toxic(docs, toxicity.fit(docs, marks)).count() == 40
+    assert all(r["score"] < 0.5 and r["predicted"] == 0 for r in toxicity.toxicity(docs, spark.createDataFrame([], "doc_id long, toxic int")).collect())
+
+
 def test_no_label_no_language():
     m = language.train([], [])
     assert m.predict("text") == ("und", 0.0, False)
