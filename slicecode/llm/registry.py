@@ -35,13 +35,9 @@ def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.language_id(table(spark, sf_dir, "documents"))
 
 
-def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return line_dedup.repeated_units(table(spark, sf_dir, "documents"))
-
-
 def op7_unit_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Lines and paragraphs of any length; ``op7_line_dedup`` is held to lines of ten words by its SQL."""
-    return line_dedup.repeated_lines_and_paragraphs(table(spark, sf_dir, "documents"))
+    """One row for each document, over the sentences of its lines; every repeated unit of one word or more is in ``spans``."""
+    return line_dedup.passage_report(table(spark, sf_dir, "documents"))
 
 
 def op8_anchor_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -58,7 +54,7 @@ def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_line_frequency, op2_html_main_text, op3_edit_decontamination, op4_piece_encoding, op5_byte_shards, op6_language_id, op7_line_dedup, op7_unit_dedup, op8_anchor_simhash, op9_toxicity, op10_secret_scan)}
+    return {f.__name__: f for f in (op1_line_frequency, op2_html_main_text, op3_edit_decontamination, op4_piece_encoding, op5_byte_shards, op6_language_id, op7_unit_dedup, op8_anchor_simhash, op9_toxicity, op10_secret_scan)}
 
 
 OP1_SQL = r"""
@@ -85,13 +81,23 @@ SELECT doc_id, CAST(n_words AS BIGINT) AS n_words, CAST(word_chars AS BIGINT) AS
 """
 
 OP7_SQL = r"""
-WITH lines AS (SELECT doc_id, unnest(l) AS line, generate_subscripts(l, 1) AS i FROM (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS l FROM documents)),
-placed AS (SELECT doc_id, line, length(line) AS n, sum(length(line) + 1) OVER (PARTITION BY doc_id ORDER BY i) - length(line) - 1 AS s, regexp_extract_all(lower(line), '\S+') AS w FROM lines),
-units AS (SELECT doc_id, s, s + n AS e, array_to_string(w, ' ') AS norm FROM placed WHERE len(w) >= 10),
-ranked AS (SELECT *, first_value(doc_id) OVER o AS kept_doc_id, first_value(s) OVER o AS kept_start, row_number() OVER o AS r FROM units WINDOW o AS (PARTITION BY norm ORDER BY doc_id, s))
-SELECT doc_id, CAST(s AS INTEGER) AS "start", CAST(e AS INTEGER) AS "end", kept_doc_id, CAST(kept_start AS INTEGER) AS kept_start FROM ranked WHERE r > 1
+WITH docs AS (SELECT row_number() OVER () AS k, doc_id, coalesce(text, '') AS t FROM documents),
+lines AS (SELECT k, doc_id, unnest(l) AS line, generate_subscripts(l, 1) AS i FROM (SELECT k, doc_id, string_split(t, chr(10)) AS l FROM docs)),
+placed AS (SELECT *, sum(length(line) + 1) OVER (PARTITION BY k ORDER BY i) - length(line) - 1 AS base FROM lines),
+pieces AS (SELECT k, doc_id, i, base, unnest(p) AS piece, generate_subscripts(p, 1) AS j FROM (SELECT *, regexp_extract_all(line, '.*?[.!?][\x20\x09\x0B-\x0D]+|.+') AS p FROM placed)),
+spots AS (SELECT *, base + sum(length(piece)) OVER (PARTITION BY k, i ORDER BY j) - length(piece) AS s, regexp_extract_all(piece, '[^\x20\x09-\x0D]+') AS w FROM pieces),
+units AS (SELECT k, doc_id, s, s + length(regexp_replace(piece, '([.!?])[\x20\x09\x0B-\x0D]+$', '\1')) AS e, len(w) AS n, translate(array_to_string(w, ' '), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS norm,
+  row_number() OVER (PARTITION BY k ORDER BY s) AS u FROM spots WHERE len(w) > 0),
+firsts AS (SELECT *, first_value(doc_id) OVER o AS kd, first_value(s) OVER o AS ks FROM units WINDOW o AS (PARTITION BY norm ORDER BY doc_id, s)),
+hits AS (SELECT * FROM firsts WHERE NOT (doc_id = kd AND s = ks)),
+runs AS (SELECT k, sum(n) AS n FROM (SELECT k, n, u - row_number() OVER (PARTITION BY k ORDER BY u) AS run FROM hits WHERE kd <> doc_id) GROUP BY k, run),
+found AS (SELECT k, count(*) AS c, sum(n) AS n, string_agg(concat_ws(':', CAST(s AS BIGINT), CAST(e AS BIGINT), kd, CAST(ks AS BIGINT)), ',' ORDER BY s) AS spans FROM hits GROUP BY k),
+m AS (SELECT doc_id, coalesce(u.c, 0) AS units, coalesce(f.c, 0) AS c, coalesce(f.n, 0) AS n, coalesce(r.n, 0) AS longest, coalesce(spans, '') AS spans
+  FROM docs LEFT JOIN (SELECT k, count(*) AS c FROM units GROUP BY k) u USING (k) LEFT JOIN found f USING (k) LEFT JOIN (SELECT k, max(n) AS n FROM runs GROUP BY k) r USING (k))
+SELECT doc_id, CAST(units AS BIGINT) AS n_units, CAST(c AS BIGINT) AS repeated_units, CAST(n AS BIGINT) AS repeated_words, CAST(longest AS BIGINT) AS longest_words,
+  NOT (c > 0 AND (c = units OR longest >= 30)) AS kept, spans FROM m
 """
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_line_frequency": OP1_SQL, "op7_line_dedup": OP7_SQL}
+    return {"op1_line_frequency": OP1_SQL, "op7_unit_dedup": OP7_SQL}

@@ -218,12 +218,28 @@ def test_no_label_no_language():
 def test_paragraphs_and_removal(spark):
     p = "one two three four five six seven eight nine ten"
     docs = spark.createDataFrame([(2, f"{p}\n\nA B C d e f g h i j\nk"), (1, f"x\n\n{p.upper()}  \n\n{p}"), (3, "a b c d e f g h i j k")], "doc_id long, text string")
-    got = line_dedup.repeated_units(docs, unit="paragraph")
+    got = line_dedup.repeated_units(docs, unit="paragraph", min_words=10)
     assert sorted(map(tuple, got.collect())) == [(1, 55, 55 + len(p), 1, 3), (2, 0, len(p), 1, 3), (3, 0, 21, 2, 50)]
     cut = {r["doc_id"]: r["text"] for r in line_dedup.apply_removals(docs, got).collect()}
     assert cut == {1: f"x\n\n{p.upper()}  \n\n", 2: "\nA B C d e f g h i j\nk", 3: ""}
 
 
+def test_passage_inside_a_line(spark):
+    """A passage set into other lines at any word, the case of its letters and its white space changed."""
+    r = random.Random(5)
+    prose = lambda n: " ".join(f"w{r.randrange(10**6)}" + "." * (k % 9 == 8) for k in range(n))
+    passage = ". ".join(" ".join(f"p{k}x{j}" for j in range(8)) for k in range(8)) + "."
+    rows = [(1, f"{prose(40)} {passage} {prose(40)}"), (2, f"{prose(30)} {passage.upper().replace('. ', '.  ')} {prose(20)}"), (3, prose(90)), (4, None), (5, ""), (6, "x y."), (7, "X  y."), (2, None)]
+    got = {(x["doc_id"], x["n_units"] > 0): x for x in line_dedup.passage_report(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert {k[0] for k, x in got.items() if not x["kept"]} == {2, 7}
+    second = got[2, True]
+    assert second["longest_words"] == 56 and all(x.split(":")[2] == "1" for x in second["spans"].split(","))
+    for x in second["spans"].split(","):
+        s, e, _, ks = map(int, x.split(":"))
+        words = line_dedup.normalise_unit(rows[1][1][s:e].encode())
+        assert line_dedup.normalise_unit(rows[0][1][ks:].encode()).startswith(words)
+
+
 def test_rank_decides(spark):
     p = "one two three four five six seven eight nine ten"
     docs = spark.createDataFrame([(1, p, 5), (2, p, 1)], "doc_id long, text string, r long")
@@ -406,13 +422,13 @@ def test_guess_costs():
 def operators(spark, docs, labels, bench):
     return {
         "1": lambda: line_frequency.line_frequency_rules(docs), "3": lambda: decontaminate.contaminated_passages(docs, bench), "4": lambda: piece_tokenizer.encode(docs),
-        "5": lambda: shards.byte_shards(docs), "6": lambda: language.language_id(docs), "7": lambda: line_dedup.repeated_units(docs), "8": lambda: anchor_simhash.near_duplicates(docs),
+        "5": lambda: shards.byte_shards(docs), "6": lambda: language.language_id(docs), "7": lambda: line_dedup.repeated_units(docs, min_words=10), "7p": lambda: line_dedup.passage_report(docs), "8": lambda: anchor_simhash.near_duplicates(docs),
         "9": lambda: toxicity.toxicity(docs, labels), "10": lambda: secret_scan.scan(docs), "8k": lambda: anchor_simhash.keep_one_of_each(docs), "3k": lambda: decontaminate.without_contaminated(docs, bench),
         "10r": lambda: secret_scan.redacted(docs), "9k": lambda: toxicity.without_toxic(docs, toxicity.fit(docs, labels)), "7a": lambda: line_dedup.apply_removals(docs, line_dedup.repeated_units(docs)),
     }
 
 
-@pytest.mark.parametrize("key", ["1", "3", "4", "5", "6", "7", "8", "9", "10", "8k", "3k", "10r", "9k", "7a"])
+@pytest.mark.parametrize("key", ["1", "3", "4", "5", "6", "7", "7p", "8", "9", "10", "8k", "3k", "10r", "9k", "7a"])
 def test_edges(spark, edge_docs, key):
     labels = spark.createDataFrame([(1, 0), (5, 1), (None, 1), (4, None), (77, 1)], "doc_id long, toxic int")
     bench = spark.createDataFrame([(1, "four five six seven eight"), (1, "four five six seven eight"), (None, "x"), (2, None)], "item_id long, text string")
