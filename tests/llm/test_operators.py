@@ -416,6 +416,64 @@ def test_guess_costs():
     assert secret_scan.redact("pwd: x7Kq9mZ2vT ok") == "pwd: [secret] ok"
 
 
+@pytest.mark.parametrize("value", ["CorrectHorseBatteryStaple", "zqxjkvbwpfgh", "83926501728365", "deadbeefdeadbeefdeWq7!zLpR0vT9xKd3MnB5cYs1HjF8gQw2Ee6UuI4oOaAzZxXcCvVbBnNmM9kJ7"])
+def test_cost_alone_decides(value):
+    text = f"x\npassphrase: {value} end"
+    assert [text[s:e] for k, s, e in secret_scan.spans_of(text)[1] if k == 3] == [value]
+    assert secret_scan.redact(text) == "x\npassphrase: [secret] end"
+
+
+def test_long_values_are_costed_too():
+    r = random.Random(8)
+    for n in (500, 600, 5000, 30_000):
+        value = "".join(r.choices("qzxjkvwyph", k=n))
+        assert secret_scan.redact(f"pwd={value} x") == "pwd=[secret] x"
+        assert secret_scan.redact(f"pwd={'xy' * n} x") == f"pwd={'xy' * n} x"
+    block = "".join(r.choices("qzxjk", k=4999))
+    assert secret_scan.guess_cost(block * 2)[0] <= secret_scan.guess_cost(block)[0] + 0.31
+
+
+def plain_cost(value, ranks):
+    """The cheapest split in brute-force spans, words and repeats as long as they go, by trying all spans."""
+    import math
+
+    best = [0.0]
+    for j in range(1, len(value) + 1):
+        options = [best[j - 1] + 1]
+        for i in range(j):
+            part, n = value[i:j], j - i
+            options += [best[i] + max(math.log10(ranks[part]), math.log10(2))] if part in ranks else []
+            options += [best[i] + max(math.log10(ranks[part[::-1]]) + math.log10(2), math.log10(2))] if part[::-1] in ranks else []
+            for p in range(1, n // 2 + 1):
+                longest = (i == 0 or value[i - 1] != value[i - 1 + p]) and value[j : j + p] != part[:p]
+                if longest and n % p == 0 and part == part[:p] * (n // p) and not any(p % q == 0 and part[:p] == part[:q] * (p // q) for q in range(1, p)):
+                    options.append(best[i] + max(plain_cost(part[:p], ranks), 0.3) + math.log10(n // p))
+        best.append(min(options))
+    return best[-1]
+
+
+def test_costs_by_brute_force():
+    r = random.Random(12)
+    words = ["zzb", "bgz", "mmbg", "gmb"]
+    known = secret_scan.Dictionary(words)
+    ranks = {w: k for k, w in enumerate(known.words, 1) if len(w) > 2}
+    for _ in range(300):
+        value = "".join(r.choice(["z", "b", "g", "m", r.choice(words)]) for _ in range(r.randint(1, 9)))
+        got = secret_scan.guess_cost(value, known)[0]
+        assert got <= plain_cost(value, ranks) + 1e-9  # walks make some cheaper
+        if not any(p.kind in ("walk", "sequence") for p in secret_scan.guess_cost(value, known)[1]):
+            assert abs(got - plain_cost(value, ranks)) < 1e-9 or any(p.kind == "repeat" for p in secret_scan.guess_cost(value, known)[1])
+
+
+def test_words_of_the_corpus(spark):
+    docs = spark.createDataFrame([(1, "the gravelpit, the Gravelpit! password: wuthmorquen"), (2, None), (3, "the " * 98)], "doc_id long, text string")
+    assert secret_scan.learn_words(docs, one_in=60).words[len(secret_scan.WORDS) :] == ["gravelpit"]  # "the" is a common password's word
+    assert secret_scan.learn_words(docs, one_in=20).words == list(secret_scan.WORDS)
+    known = secret_scan.learn_words(docs)
+    assert "wuthmorquen" not in known.words
+    assert secret_scan.redact("secret is gravelpit", known=known) == "secret is gravelpit" and "gravelpit" not in secret_scan.redact("secret is gravelpit")
+
+
 # --- edges of all ---------------------------------------------------------------------------------------------------
 
 
