@@ -12,6 +12,7 @@ import functools
 import html as entities
 import random
 import re
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -25,14 +26,14 @@ from slicecode.llm.common import slices_by_bytes
 
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data dfn em font i img ins del kbd mark q s samp small span strike strong sub sup time tt u var wbr".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-#: Elements whose content is no text of the page.
-SILENT = frozenset("script style noscript template iframe svg math canvas object audio video head title textarea select option".split())
+#: Elements whose content is no text of the page: scripts, styles, markup kept for scripts, the document's head, fields of forms.
+SILENT = frozenset("script style template iframe head title textarea select option".split())
 RAW = frozenset("script style textarea title iframe".split())
 SCOPES = frozenset("article aside body div footer form header html main nav section table td th blockquote".split())
 CLOSES = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("td", "th", "tr"), "td": ("td", "th"), "th": ("td", "th"), "thead": ("tr",), "tbody": ("tr", "thead"), "tfoot": ("tr", "tbody")}
 _TAG = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*+)>|<(/?)([a-zA-Z][^\s/>]*)([^>]*)(?:>|\Z)", re.DOTALL)
-_ATTR = re.compile(r"\b(class|id|role|itemprop|aria-label|style|hidden|aria-hidden)\b(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.IGNORECASE)
-_TOKEN = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
+_ATTR = re.compile(r"\b(class|id|role|itemprop|aria-label)\b(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.IGNORECASE)
+_TOKEN = re.compile(r"[A-ZÀ-Þ]?[a-zß-ÿ]+|[A-ZÀ-Þ]+")
 
 #: Attribute tokens by what they tell (fixed values).
 FAMILIES = {
@@ -50,6 +51,31 @@ FAMILIES = {
 }
 FAMILY_OF = {w: k for k, words in enumerate(FAMILIES.values()) for w in words.split()}
 N_FAMILIES = len(FAMILIES)
+#: Beginnings of such words in the languages of the corpus (fixed values); those of six letters or more count anywhere in a word.
+STEMS = {
+    "content": "articl artikel inhalt beitrag haupt contenu conteni principal corps cuerpo texte texto maincont",
+    "nav": "navig menü menú brotkr krümel migas sommaire índice breadcrumb",
+    "header": "kopfz kopfb seitenkopf entête entete cabecera encabez bandeau masthead pageheader",
+    "footer": "fußz fussz fußb fussb pied piedepag impressum mentionsleg avisoleg pagefooter sitefooter",
+    "side": "seitenl randsp barrelat barralat lateral verwandt ähnlich aehnlich connexe relacion related sidebar empfehl recomend recommand",
+    "ad": "werb anzeige reklame publicit publicid anunci patrocin gesponser advert sponsor",
+    "social": "teilen partag compart sozial share",
+    "comment": "kommentar commentair comentari comment leser lecteur lector antwort répons repons respuest meinung diskussion discusi opinion",
+    "notice": "hinweis meldung benachr warnung avertiss newsletter rundbrief boletin boletín abonn suscri cookie consent einwillig",
+    "form": "formul suche recherch buscar búsqueda busqueda umfrage encuesta sondage kontakt contacto anmeld inscri",
+    "meta": "autor auteur datum fecha schlagw etiquet bildunter légende leyenda",
+}
+_STEMS = sorted(((stem, list(FAMILIES).index(name)) for name, stems in STEMS.items() for stem in stems.split()), key=lambda x: -len(x[0]))
+
+
+@functools.lru_cache(1 << 16)
+def family_of(token: str) -> int | None:
+    """The family of an attribute token in lower case: by the whole word, by its beginning, by a long stem in it."""
+    if token in FAMILY_OF:
+        return FAMILY_OF[token]
+    return next((k for stem, k in _STEMS if token.startswith(stem)), None) or next((k for stem, k in _STEMS if len(stem) > 5 and stem in token), None)
+
+
 #: Groups of tags that features tell apart.
 TAG_GROUPS = {t: k for k, ts in enumerate(("p", "h1 h2 h3 h4 h5 h6 hgroup", "li", "ul ol dl menu", "article main", "nav", "header", "footer", "aside", "form button label fieldset dialog", "section", "div", "table tbody thead tr td th", "blockquote pre figure figcaption dd dt details summary address", "body html")) for t in ts.split()}
 N_GROUPS = 16
@@ -62,7 +88,6 @@ class Block:
     depth: int
     start: int
     families: int = 0
-    hidden: bool = False
     silent: bool = False
     end: int = 0
     order: int = 0  # among its siblings
@@ -152,16 +177,10 @@ def parse(page: str) -> tuple[list[Block], list[tuple[int, str, bool]]]:
         parent.children += 1
         if raw_attrs and not b.silent:
             for a in _ATTR.finditer(raw_attrs):
-                key, value = a[1].lower(), a[2] or a[3] or a[4] or ""
-                if key in ("hidden", "aria-hidden"):
-                    b.hidden |= value.lower() != "false"
-                elif key == "style":
-                    b.hidden |= bool(re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.IGNORECASE))
-                else:
-                    for w in _TOKEN.findall(value):
-                        k = FAMILY_OF.get(w.lower())
-                        if k is not None:
-                            b.families |= 1 << k
+                for w in _TOKEN.findall(a[2] or a[3] or a[4] or ""):
+                    k = family_of(w.lower())
+                    if k is not None:
+                        b.families |= 1 << k
         blocks.append(b)
         stack.append(len(blocks) - 1)
         if tag in RAW and not (raw_attrs or "").endswith("/"):
@@ -185,8 +204,9 @@ def features(blocks: list[Block]) -> np.ndarray:
     """One row for each block."""
     n = len(blocks)
     total, size = max(blocks[0].text, 1), max(blocks[0].end, 1)
-    rows, up_families, up_groups, near = [], [0] * n, [0] * n, [0] * n
+    rows, up_families, up_groups, near, shaped = [], [0] * n, [0] * n, [0] * n, [0] * n
     before: dict[int, Block] = {}
+    alike = Counter((b.parent, b.tag, b.families, min(b.blocks, 6)) for b in blocks)
     for k, b in enumerate(blocks):
         group = TAG_GROUPS.get(b.tag, 15)
         up = blocks[b.parent] if b.parent >= 0 else b
@@ -195,9 +215,10 @@ def features(blocks: list[Block]) -> np.ndarray:
         near[k] = (b.families or near[b.parent]) if k else b.families  # of the nearest block that has any
         last = before.get(b.parent)
         before[b.parent] = b
+        shaped[k] = alike[b.parent, b.tag, b.families, min(b.blocks, 6)] if b.blocks else 0  # siblings of the same make
         text, inside = b.text, max(b.end - b.start, 1)
         rows.append(
-            [group, b.families, up_families[k], up_groups[k], near[k], b.depth, b.order, up.children, b.order / max(up.children, 1), text, b.own, b.words, text / inside, b.linked / max(text, 1), b.links / max(b.own, 1), b.stops / max(b.words, 1), b.blocks, b.p, text / max(b.blocks + 1, 1), b.start / size, text / total, text / max(up.text, 1), up.linked / max(up.text, 1), up.text / max(up.blocks, 1), last.text if last else -1, last.linked / max(last.text, 1) if last else -1, b.hidden]
+            [group, b.families, up_families[k], up_groups[k], near[k], b.depth, b.order, up.children, b.order / max(up.children, 1), text, b.own, b.words, text / inside, b.linked / max(text, 1), b.links / max(b.own, 1), b.stops / max(b.words, 1), b.blocks, b.p, text / max(b.blocks + 1, 1), b.start / size, text / total, text / max(up.text, 1), up.linked / max(up.text, 1), up.text / max(up.blocks, 1), last.text if last else -1, last.linked / max(last.text, 1) if last else -1, shaped[k], shaped[b.parent] if k else 0]
         )
     raw = np.array(rows, np.float32)
     bits = [(raw[:, c].astype(np.int64)[:, None] >> np.arange(w)) & 1 for c, w in ((1, N_FAMILIES), (2, N_FAMILIES), (3, N_GROUPS), (4, N_FAMILIES))]
@@ -326,13 +347,13 @@ class PageMaker:
         if kind == "crumbs":
             return f"<{r.choice(('ol', 'div', 'p'))}{self.attr('nav', chance=1)}>" + " &gt; ".join(f"<a href=/{k}>{self.prose(1, 2)}</a>" for k in range(r.randint(2, 4))) + "</div>"
         if kind == "hidden":
-            return f'<div style="display:none"><p>{long}</p></div>'
+            return f'<div{self.attr("notice", chance=1)} style="display:none"><p>{long}</p></div>'
         if kind == "script":
             return '<script>var t="</p>";track(1);</script>'
         item = r.choice(("div", "li", "article", "section"))
         each = "".join(f"<{item}{self.attr('comment', chance=0.6)}><b>{self.prose(1, 2)}</b><p>{self.prose(3, r.choice((15, 60)))}</p></{item}>" for _ in range(r.randint(1, 5)))
         list_tag = "ul" if item == "li" else r.choice(("div", "section"))
-        return f"<{list_tag}{self.attr('comment', chance=1)}>{r.choice(('', f'<h3>{self.prose(1, 3)}</h3>'))}{each}</{list_tag}>"
+        return f"<{list_tag}{self.attr('comment', chance=0.95)}>{r.choice(('', f'<h3>{self.prose(1, 3)}</h3>'))}{each}</{list_tag}>"
 
     def article(self) -> str:
         r, out = self.r, []
@@ -363,10 +384,24 @@ class PageMaker:
                 out.append(self.boiler(True))
         return "".join(out)
 
+    def bare(self) -> str:
+        """A page whose article has no container of its own, or one that tells nothing; other blocks are few."""
+        r = self.r
+        text = lambda: f"{MARK}{self.prose(8, r.choice((20, 60, 120)))}"
+        parts = [r.choice((f"<p>{text()}</p>", f"<p>{text()}", f"<div>{text()}</div>")) for _ in range(r.choice((1, 1, 2, 2, 3, 5)))]
+        core = "".join([f"<h1>{MARK}{self.prose(2, 8)}</h1>"] * (r.random() < 0.3) + parts)
+        if r.random() < 0.5:
+            core = f"<div{r.choice(('', '', f' id=x{r.randint(1, 99)}'))}>{core}</div>"
+        around = [f"<nav>{r.choice((self.prose(2, 8), f'<ul>{self.links(2, 6)}</ul>'))}</nav>", f"<footer>{self.prose(3, 12)}</footer>", f"<header>{self.prose(2, 8)}</header>"]
+        return r.choice(("", around[0], around[2])) + core + r.choice(("", "", around[1]))
+
     def page(self) -> str:
         r = self.r
+        if r.random() < 0.2:
+            page = self.bare()
+            return r.choice((page, f"<html><body>{page}</body></html>"))
         tag = r.choice(("article", "article", "article", "main", "div", "div", "section"))
-        attr = self.attr("content", chance=0.3 if tag in ("article", "main") else 0.92)
+        attr = self.attr("content", chance=0.3 if tag in ("article", "main") else 0.75)
         core = f"<{tag}{attr}>{self.article()}</{tag}>"
         for _ in range(r.randint(0, 2)):
             wrap = r.choice(("div", "div", "section", "main"))
@@ -395,7 +430,7 @@ def used_blocks(blocks: list[Block]) -> np.ndarray:
 
 
 @functools.cache
-def trained(pages: int = 350, seed: int = 11) -> Boosted:
+def trained(pages: int = 500, seed: int = 11) -> Boosted:
     """Trees fitted on ``pages`` generated pages."""
     maker = PageMaker(seed)
     xs, ys = [], []
@@ -417,7 +452,7 @@ def decode(blocks: list[Block], odds: np.ndarray) -> list[bool]:
     gain = [0.0] * len(blocks)
     for k in range(len(blocks) - 1, -1, -1):
         b = blocks[k]
-        gain[k] += -1e9 if b.silent or b.hidden else float(odds[k]) if b.text else 0.0
+        gain[k] += -1e9 if b.silent else float(odds[k]) if b.text else 0.0
         if b.parent >= 0 and gain[k] > 0:
             gain[b.parent] += gain[k]
     kept = [gain[0] > 0] + [False] * (len(blocks) - 1)
