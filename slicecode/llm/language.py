@@ -23,16 +23,16 @@ _SPREAD = np.uint32(2654435761)  # 2**32 over the golden ratio: spreads neighbou
 
 @functools.cache
 def _letters() -> np.ndarray:
-    """Code points up to 0x1FFFF: themselves if a letter or mark, else a space; the ones above count as letters."""
-    codes = np.arange(0x20000, dtype=np.uint32)
-    alpha = np.fromiter((chr(c).isalpha() or 0x300 <= c < 0x370 for c in range(0x20000)), bool, 0x20000)
+    """All code points: themselves if a letter or a mark of U+0300 to U+036F, else a space."""
+    codes = np.arange(0x110000, dtype=np.uint32)
+    alpha = np.fromiter((chr(c).isalpha() or 0x300 <= c < 0x370 for c in range(0x110000)), bool, 0x110000)
     return np.where(alpha, codes, 32).astype(np.uint32)
 
 
 def codes_of(text: str | None) -> np.ndarray:
     """Lower-case letters as code points, each run of anything else one space, a space at both ends."""
     raw = np.frombuffer((text or "").lower().encode("utf-32-le", "surrogatepass"), np.uint32)
-    low = _letters()[np.minimum(raw, 0x1FFFF)]
+    low = _letters()[raw]
     low = np.concatenate(([32], low, [32])).astype(np.uint32)
     keep = np.ones(len(low), bool)
     keep[1:] = (low[1:] != 32) | (low[:-1] != 32)
@@ -42,7 +42,7 @@ def codes_of(text: str | None) -> np.ndarray:
 def bag(text: str | None, bits: int, longest: int = 4) -> np.ndarray | None:
     """Counts of the n-grams in 2**``bits`` buckets; None if the text has no letter."""
     codes = codes_of(text)
-    if len(codes) < 3:
+    if not ((codes != 32) & ((codes < 0x300) | (codes >= 0x370))).any() and not any(c.isalpha() for c in map(chr, np.unique(codes))):
         return None
     counts = np.zeros(1 << bits, np.float32)
     for at in range(0, len(codes), 1 << 20):  # bounded memory for very long texts
