@@ -68,10 +68,11 @@ def later_units(table: DataFrame) -> DataFrame:
     """row_key, s, kept_doc_id, kept_start of each unit of ``unit_table`` that is not the first of its digest.
 
     The first occurrences come from an aggregate with partial sums in each task, so a unit of a third of all documents is
-    no burden; the join that follows has no order or window over a key, so large partitions of it can be split.
+    no burden there. They are written before the join, whose two sides are then exchanged for it alone: Spark splits the
+    partition of such a unit, and where few units repeat it sends those to all tasks instead.
     """
     units = table.select("row_key", "rank", "doc_id", F.explode(F.arrays_zip("d1", "d2", "s")).alias("u")).select("u.d1", "u.d2", "row_key", "rank", "doc_id", "u.s")
-    first = units.groupBy("d1", "d2").agg(F.min(F.struct("rank", "doc_id", "s")).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select("d1", "d2", "first")
+    first = durable(units.groupBy("d1", "d2").agg(F.min(F.struct("rank", "doc_id", "s")).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select("d1", "d2", "first"))
     found = units.join(first, ["d1", "d2"]).where(~F.struct("rank", "doc_id", "s").eqNullSafe(F.col("first")))
     return found.select("row_key", "s", F.col("first.doc_id").alias("kept_doc_id"), F.col("first.s").alias("kept_start"))
 
