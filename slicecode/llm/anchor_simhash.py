@@ -6,13 +6,20 @@ A fingerprint's home is the one anchor within radius 1. If two halves differ in
 either lies within radius 1 + 1 of the other; so replicating every fingerprint to all anchors within covering
 radius plus threshold (17 at most per half) and comparing there finds every pair, with no cap anywhere.
 
-Only distinct fingerprints take part. At an anchor, those at home are joined with those that visit, and the
-64-bit distance decides. Links are then contracted to components by alternating large-star and small-star steps.
+Only distinct fingerprints take part. First each is linked with the smallest one that shares its home, which brings large
+groups of copies together; then those at home are compared with those that visit, and only links between different classes
+are made, so no group is written out as all of its pairs. Crowded anchors are dealt out by salt. Links are contracted to
+components by alternating large-star and small-star steps.
+
+For texts that are similar but further apart than three bits, ``near_duplicates(views=…)`` takes several more fingerprints
+of the text's distinct long words, one for each seed. Texts that share the home anchor of any half of any view are held
+against each other by the exact Jaccard similarity of their shingles.
 """
 
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -20,8 +27,6 @@ from pyspark.sql import functions as F
 from slicecode.llm.common import arrow_pass, durable
 
 BITS = 64
-#: Mask of the 31 coded bits of a half.
-CODED = (1 << 31) - 1
 #: Fingerprints at home at one anchor before it is dealt out to several tasks; ids of texts to broadcast at most.
 MOST_AT_HOME = 4096
 MOST_NEEDED = 1 << 18
@@ -82,16 +87,9 @@ def with_fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text
     return arrow_pass(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).cast("string").alias("text")), rows, "fp long", keep=["doc_id"])
 
 
-def _bits_of(parts: int) -> int:
-    if parts not in (2, 4):
-        raise ValueError("two halves or four quarters")
-    return BITS // parts
-
-
-def _pieces(fps: DataFrame, parts: int) -> DataFrame:
-    """The columns of ``fps``, part, bits: the parts of each fingerprint."""
-    size = _bits_of(parts)
-    each = [F.struct(F.lit(w).cast("int").alias("part"), F.shiftrightunsigned("fp", size * w).bitwiseAND(F.lit((1 << size) - 1)).alias("bits")) for w in range(parts)]
+def _halves(fps: DataFrame) -> DataFrame:
+    """The columns of ``fps``, part, bits: the two halves of each fingerprint."""
+    each = [F.struct(F.lit(w).cast("int").alias("part"), F.shiftrightunsigned("fp", 32 * w).bitwiseAND(F.lit((1 << 32) - 1)).alias("bits")) for w in (0, 1)]
     return fps.select("*", F.explode(F.array(*each)).alias("h")).select(*fps.columns, "h.part", "h.bits")
 
 
@@ -106,53 +104,89 @@ def _flip(bits: Column, position: Column) -> Column:
     return bits.bitwiseXOR(F.when(position > 0, F.call_function("shiftleft", F.lit(1).cast("long"), F.greatest(position - 1, F.lit(0)).cast("int"))).otherwise(F.lit(0).cast("long")))
 
 
-def homes(fps: DataFrame, parts: int = 2) -> DataFrame:
-    """One row for each part: the anchor within radius 1. Columns part, anchor, and those of ``fps``."""
-    return _pieces(fps, parts).select("part", _flip(F.col("bits"), _syndrome(F.col("bits"), _bits_of(parts))).alias("anchor"), *fps.columns)
+def homes(fps: DataFrame) -> DataFrame:
+    """One row for each half: the anchor within radius 1. Columns part, anchor, and those of ``fps``."""
+    return _halves(fps).select("part", _flip(F.col("bits"), _syndrome(F.col("bits"), 32)).alias("anchor"), *fps.columns)
 
 
-def visits(fps: DataFrame, parts: int = 2) -> DataFrame:
-    """One row for each part and anchor within radius 2. Columns part, anchor, and those of ``fps``.
+def visits(fps: DataFrame) -> DataFrame:
+    """One row for each half and anchor within radius 2. Columns part, anchor, and those of ``fps``.
 
-    With syndrome s = 0 the part itself is an anchor, and so is it with the free bit turned. Else the anchors are
+    With syndrome s = 0 the half itself is an anchor, and so is it with the free bit turned. Else the anchors are
     one flip away (position s), two flips away (the pairs of positions i, i xor s), and one flip plus the free bit.
     """
-    size = _bits_of(parts)
-    split = _pieces(fps, parts).withColumn("s", _syndrome(F.col("bits"), size))
+    split = _halves(fps).withColumn("s", _syndrome(F.col("bits"), 32))
     home = _flip(F.col("bits"), F.col("s"))
-    other = [F.when((F.col("s") > 0) & (F.lit(i) < F.col("s").bitwiseXOR(F.lit(i))), _flip(_flip(F.col("bits"), F.lit(i)), F.col("s").bitwiseXOR(F.lit(i)))) for i in range(1, size)]
-    anchors = F.concat(F.array(home, home.bitwiseXOR(F.lit(1 << (size - 1)))), F.array_compact(F.array(*other)))
+    other = [F.when((F.col("s") > 0) & (F.lit(i) < F.col("s").bitwiseXOR(F.lit(i))), _flip(_flip(F.col("bits"), F.lit(i)), F.col("s").bitwiseXOR(F.lit(i)))) for i in range(1, 32)]
+    anchors = F.concat(F.array(home, home.bitwiseXOR(F.lit(1 << 31))), F.array_compact(F.array(*other)))
     return split.select("part", F.explode(anchors).alias("anchor"), *fps.columns)
 
 
-def fingerprint_links(fps: DataFrame, distance: int = 3) -> DataFrame:
-    """All pairs a < b of distinct fingerprints that differ in at most ``distance`` bits; one row each.
+def _cells(placed: DataFrame) -> DataFrame:
+    """``placed`` (part, anchor, …) with both in one long, ``cell``."""
+    return placed.select((F.col("part").cast("long") * F.lit(1 << 32) + F.col("anchor")).alias("cell"), *[c for c in placed.columns if c not in ("part", "anchor")])
 
-    Up to 3 bits: two halves, one of which differs in at most one bit. Up to 7: four quarters. A quarter has 2**12
-    anchors only, so the work grows with the square of the fingerprints.
-    """
-    if not 0 <= distance <= 7:
-        raise ValueError("the anchors cover distances up to 7")
-    parts = 2 if distance <= 3 else 4
-    at_home = homes(fps, parts).withColumnRenamed("fp", "a")
-    visiting = visits(fps, parts).withColumnRenamed("fp", "b")
-    met = at_home.join(visiting, ["part", "anchor"]).where((F.col("a") < F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= distance))
+
+def crowded(cells: DataFrame, key: str, most: int) -> DataFrame:
+    """cell, n, first (the smallest ``key``) of the cells with more than ``most`` rows, written for the joins to come."""
+    return durable(cells.groupBy("cell").agg(F.count(F.lit(1)).alias("n"), F.min(key).alias("first")).where(F.col("n") > most))
+
+
+def leader_links(fps: DataFrame, distance: int = 3) -> DataFrame:
+    """a, b: each fingerprint and the smallest one that shares its home, if it is near. Two rows a fingerprint at most."""
+    at_home = _cells(homes(fps))
+    led = at_home.join(crowded(at_home, "fp", 1).select("cell", F.col("first").alias("a")), "cell")
+    return led.where((F.col("a") != F.col("fp")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("fp"))) <= distance)).select("a", F.col("fp").alias("b"))
+
+
+def fingerprint_links(fps: DataFrame, distance: int = 3) -> DataFrame:
+    """Pairs a < b of distinct fingerprints that differ in at most ``distance`` bits (up to 3), one row each. With a column
+    ``root``: those of different roots only; else all."""
+    if not 0 <= distance <= 3:
+        raise ValueError("the anchors cover distances up to 3")
+    rooted = "root" in fps.columns
+    left, right = _cells(homes(fps)), _cells(visits(fps))
+    dense = crowded(left, "fp", MOST_AT_HOME)
+    if not dense.isEmpty():  # the same links either way
+        shares = dense.select("cell", F.ceil(F.col("n") / F.lit(MOST_AT_HOME)).cast("int").alias("salts"))
+        left = left.join(shares, "cell", "left").withColumn("salt", F.pmod(F.xxhash64("fp"), F.coalesce("salts", F.lit(1))).cast("int"))
+        right = right.join(shares, "cell", "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce("salts", F.lit(1)) - 1)))
+    key = [c for c in ("cell", "salt") if c in left.columns]
+    side = lambda x, name: x.select(*key, F.col("fp").alias(name), *([F.col("root").alias(f"{name}_root")] if rooted else []))
+    near = (F.col("a") < F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= distance)
+    met = side(left, "a").join(side(right, "b"), key).where(near & (F.col("a_root") != F.col("b_root")) if rooted else near)
     return met.select("a", "b").distinct()
 
 
+def merged_roots(rooted: DataFrame, links: DataFrame, key: str) -> DataFrame:
+    """``rooted`` (``key``, root, …) after joining the classes that ``links`` (a, b: values of ``key``) connect."""
+    side = lambda name: rooted.select(F.col(key).alias(name), F.col("root").alias(f"{name}_root"))
+    pairs = links.join(side("a"), "a").join(side("b"), "b").select(F.col("a_root").alias("a"), F.col("b_root").alias("b"))
+    found = components(pairs)
+    others = [c for c in rooted.columns if c != "root"]
+    return rooted.withColumnRenamed("root", "old").join(found, F.col("old") == F.col("node"), "left").select(*others, F.coalesce("root", "old").alias("root"))
+
+
+def class_roots(fps: DataFrame, distance: int = 3) -> DataFrame:
+    """fp, root: the smallest fingerprint that is reachable over links of at most ``distance`` bits."""
+    rooted = durable(merged_roots(fps.select("fp", F.col("fp").alias("root")), leader_links(fps, distance), "fp"))
+    return merged_roots(rooted, fingerprint_links(rooted, distance), "fp")
+
+
 def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     """Columns node, root: the smallest node of its component, for every node of ``links`` (columns a, b).
 
     Alternating large-star and small-star steps until the edges no longer change; each step is written to the
-    shared checkpoint folder. A node's neighbours are never collected: only their minimum is.
+    shared checkpoint folder. A node's neighbours are never collected: only their minimum is. The minima are dealt out anew
+    before they are joined, so that Spark may split the partition of a hub, or send few minima to all tasks.
     """
     edges = durable(links.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
     state = None
     for _ in range(most_rounds):
         both = edges.select("u", "v").unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("least")).select("u", F.least("u", "least").alias("m"))
+        least = both.groupBy("u").agg(F.min("v").alias("least")).select("u", F.least("u", "least").alias("m")).hint("rebalance")
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
-        lower = large.groupBy("u").agg(F.min("v").alias("m"))
+        lower = large.groupBy("u").agg(F.min("v").alias("m")).hint("rebalance")
         small = large.join(lower, "u").select(F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         edges = durable(small)
         now = edges.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")), F.lit(0).cast("decimal(38,0)")).alias("h")).first()
@@ -165,65 +199,77 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     return found.unionByName(edges.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
 
 
-def roots_of(fps: DataFrame, links: DataFrame) -> DataFrame:
-    """fp, root: the smallest fingerprint of the component over ``links``, the fingerprint itself if it has no link."""
-    found = components(links)
-    return fps.select("fp").join(found, F.col("fp") == F.col("node"), "left").select("fp", F.coalesce("root", "fp").alias("root"))
+def view_fingerprints(words: list[bytes], views: int) -> np.ndarray:
+    """``views`` fingerprints of the distinct words of six bytes or more, of all distinct words where there are under 16 such."""
+    distinct = set(words)
+    long = [w for w in distinct if len(w) >= 6]
+    chosen = long if len(long) >= 16 else distinct
+    if not chosen:
+        return np.zeros(views, np.uint64)
+    hashes = np.fromiter(map(xxhash.xxh64_intdigest, chosen), np.uint64, len(chosen))
+    out = np.empty(views, np.uint64)
+    for k in range(views):  # a mix of the word's hash and the view's number, of which every bit depends on both
+        h = (hashes ^ np.uint64((k + 1) * 0x9E3779B97F4A7C15 & (1 << 64) - 1)) * np.uint64(0xBF58476D1CE4E5B9)
+        h = (h ^ (h >> np.uint64(31))) * np.uint64(0x94D049BB133111EB)
+        out[k] = _majority((h ^ (h >> np.uint64(29))).tobytes())
+    return out
 
 
-def sized_versions(docs: DataFrame, doc_id: str, text: str, width: int) -> DataFrame:
-    """doc_id, fp, n (distinct shingles), version (digest of the words in order) of each row."""
+def sized_versions(docs: DataFrame, doc_id: str, text: str, width: int, views: int) -> DataFrame:
+    """doc_id, fp, n (distinct shingles), version (digest of the words in order), views (fingerprints) of each row."""
 
     def rows(_: list, texts: list) -> list:
-        fps, sizes, versions = [], [], []
+        fps, sizes, versions, seen = [], [], [], []
         for t in texts:
             words = words_of(t)
             hashes = shingle_hashes(words, width)
             fps.append(_majority(hashes))
             sizes.append(len(np.unique(np.frombuffer(hashes, np.uint64))))
-            versions.append(xxhash.xxh64_intdigest(b" ".join(words), 7))
-        return [np.array(fps, np.uint64).view(np.int64).tolist(), sizes, np.array(versions, np.uint64).view(np.int64).tolist()]
+            versions.append(xxhash.xxh3_128_digest(b" ".join(words)))
+            seen.append(view_fingerprints(words, views).view(np.int64))
+        ends = pa.array(np.arange(len(texts) + 1, dtype=np.int32) * views)
+        return [np.array(fps, np.uint64).view(np.int64).tolist(), sizes, versions, pa.ListArray.from_arrays(ends, pa.array(np.concatenate(seen) if seen else np.zeros(0, np.int64)))]
 
-    return arrow_pass(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).cast("string").alias("text")), rows, "fp long, n int, version long", keep=["doc_id"])
+    return arrow_pass(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).cast("string").alias("text")), rows, "fp long, n int, version binary, views array<long>", keep=["doc_id"])
 
 
-def _near(least: float, distance: int) -> Column:
-    """Condition on sides a and b: other classes, near fingerprints, and sizes whose Jaccard can reach ``least``."""
-    return (F.col("a_root") != F.col("b_root")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= distance) & (F.col("a_most") >= least * F.col("b_fewest")) & (F.col("b_most") >= least * F.col("a_fewest"))
+def shared_cells(nodes: DataFrame, views: int) -> DataFrame:
+    """cell, node, view: the home anchors of both halves of every view, where more than one node is at home."""
+    parts = [F.struct(F.lit(2 * k + half).cast("int").alias("part"), F.shiftrightunsigned(F.element_at("views", k + 1), 32 * half).bitwiseAND(F.lit((1 << 32) - 1)).alias("bits"), F.element_at("views", k + 1).alias("view")) for k in range(views) for half in (0, 1)]
+    each = nodes.select("node", F.explode(F.array(*parts)).alias("p")).select("node", "p.part", "p.bits", "p.view")
+    cells = _cells(each.select("part", _flip(F.col("bits"), _syndrome(F.col("bits"), 32)).alias("anchor"), "node", "view"))
+    return durable(cells.join(crowded(cells, "node", 1).select("cell"), "cell"))
 
 
-def _side(fps: DataFrame, side: str) -> DataFrame:
-    return fps.select(*[c for c in fps.columns if c not in ("fp", "root", "fewest", "most")], F.col("fp").alias(side), *[F.col(c).alias(f"{side}_{c}") for c in ("root", "fewest", "most")])
+def _comparable(least: float, apart: int) -> Column:
+    """Condition on sides a and b: other classes, views that are not far apart, sizes whose Jaccard can reach ``least``."""
+    return (F.col("a_root") != F.col("b_root")) & (F.bit_count(F.col("a_view").bitwiseXOR(F.col("b_view"))) <= apart) & (F.col("a_n") >= least * F.col("b_n")) & (F.col("b_n") >= least * F.col("a_n"))
 
 
-def led_links(rooted: DataFrame, distance: int, least: float) -> DataFrame:
-    """a, b: each fingerprint with the smallest one that shares its homes in two quarters. Four candidates at most a
-    fingerprint: large groups of copies come together by these, before all pairs of what is left are compared."""
-    bits = [F.shiftrightunsigned("fp", 16 * k).bitwiseAND(F.lit((1 << 16) - 1)) for k in range(4)]
-    home = [_flip(b, _syndrome(b, 16)) for b in bits]
-    keyed = rooted.select("*", F.explode(F.array(*[F.lit(k << 32) + home[k] * F.lit(1 << 16) + home[(k + 1) % 4] for k in range(4)])).alias("cell"))
-    leaders = keyed.groupBy("cell").agg(F.min(F.struct("fp", "root", "fewest", "most")).alias("l")).select("cell", "l.*")
-    return _side(leaders, "a").join(_side(keyed, "b"), "cell").where(_near(least, distance)).select("a", "b").distinct()
+def _sided(cells: DataFrame, rooted: DataFrame, name: str, *more: str) -> DataFrame:
+    known = rooted.select("node", F.col("root").alias(f"{name}_root"), F.col("n").alias(f"{name}_n"))
+    return cells.join(known, "node").select("cell", *more, F.col("node").alias(name), F.col("view").alias(f"{name}_view"), f"{name}_root", f"{name}_n")
 
 
-def all_links(rooted: DataFrame, distance: int, least: float) -> DataFrame:
-    """a, b: all pairs of fingerprints of different classes within ``distance`` (up to 7) bits. The anchors of the quarters are
-    dealt out by salt where many fingerprints are at home."""
-    at_home, visiting = homes(rooted, 4), visits(rooted, 4)
-    salts = F.broadcast(at_home.groupBy("part", "anchor").agg(F.ceil(F.count(F.lit(1)) / F.lit(MOST_AT_HOME)).cast("int").alias("salts")))  # 4 * 2**12 anchors
-    cell = (F.col("salt").cast("long") * 4 + F.col("part")) * F.lit(1 << 16) + F.col("anchor")
-    dealt = at_home.join(salts, ["part", "anchor"]).withColumn("salt", F.pmod(F.xxhash64("fp"), F.col("salts")))
-    copied = visiting.join(salts, ["part", "anchor"]).withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)))
-    left, right = [_side(x.select(cell.alias("cell"), *rooted.columns), side) for x, side in ((dealt, "a"), (copied, "b"))]
-    return left.join(right, "cell").where((F.col("a") < F.col("b")) & _near(least, distance)).select("a", "b").distinct()
+def led_pairs(cells: DataFrame, rooted: DataFrame, least: float, apart: int) -> DataFrame:
+    """a, b: each node with the smallest node of each of its cells."""
+    first = durable(cells.groupBy("cell").agg(F.min(F.struct("node", "view")).alias("first")).select("cell", "first.*"))
+    return _sided(first, rooted, "a").join(_sided(cells, rooted, "b"), "cell").where(_comparable(least, apart)).select("a", "b").distinct()
 
 
-def verified(links: DataFrame, versions: DataFrame, docs: DataFrame, doc_id: str, text: str, width: int, least: float) -> DataFrame:
-    """The links a, b for which some text of ``a`` and some text of ``b`` have a Jaccard similarity of ``least`` or more
-    over their distinct ``width``-word shingles. ``versions``: fp, doc_id, n of each distinct text."""
-    side = lambda s: versions.select(F.col("fp").alias(s), F.col("doc_id").alias(f"{s}_id"), F.col("n").alias(f"{s}_n"))
-    pairs = durable(links.join(side("a"), "a").join(side("b"), "b").where((F.col("a_n") >= least * F.col("b_n")) & (F.col("b_n") >= least * F.col("a_n"))).select("a", "b", "a_id", "b_id"))
-    needed = durable(pairs.select(F.col("a_id").alias("need_id")).union(pairs.select("b_id")).distinct())
+def cell_pairs(cells: DataFrame, rooted: DataFrame, least: float, apart: int) -> DataFrame:
+    """a, b: all pairs of one cell that are still of different classes. Crowded cells are dealt out by salt."""
+    live = cells.join(rooted.select("node", "root"), "node").groupBy("cell").agg(F.count(F.lit(1)).alias("n"), F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y")
+    dealt = durable(cells.join(live.select("cell", F.ceil(F.col("n") / F.lit(MOST_AT_HOME)).cast("int").alias("salts")), "cell"))
+    left = _sided(dealt.withColumn("salt", F.pmod(F.xxhash64("node"), F.col("salts")).cast("int")), rooted, "a", "salt")
+    right = _sided(dealt.withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))), rooted, "b", "salt")
+    return left.join(right, ["cell", "salt"]).where((F.col("a") < F.col("b")) & _comparable(least, apart)).select("a", "b").distinct()
+
+
+def verified(pairs: DataFrame, docs: DataFrame, doc_id: str, text: str, width: int, least: float) -> DataFrame:
+    """The pairs a, b of ids whose texts have a Jaccard similarity of ``least`` or more over their distinct shingles."""
+    pairs = durable(pairs)
+    needed = durable(pairs.select(F.col("a").alias("need_id")).union(pairs.select("b")).distinct())
     if needed.count() <= MOST_NEEDED:  # the same rows either way: no text is shuffled to find few of them
         needed = F.broadcast(needed)
     texts = durable(docs.select(F.col(doc_id).alias("need_id"), F.col(text).cast("string").alias("text")).join(needed, "need_id", "left_semi").dropDuplicates(["need_id"]))
@@ -236,51 +282,44 @@ def verified(links: DataFrame, versions: DataFrame, docs: DataFrame, doc_id: str
             out.append(similarity(cut, shingles(y, width)) >= least)
         return [out]
 
-    both = pairs.join(texts.select(F.col("need_id").alias("a_id"), F.col("text").alias("a_text")), "a_id").join(texts.select(F.col("need_id").alias("b_id"), F.col("text").alias("b_text")), "b_id")
-    return durable(arrow_pass(both.select("a", "b", "a_text", "b_text"), rows, "same boolean", keep=["a", "b"]).where("same").select("a", "b").distinct())
-
-
-def loosened(roots: DataFrame, marked: DataFrame, docs: DataFrame, doc_id: str, text: str, width: int, distance: int, least: float) -> DataFrame:
-    """fp, root after joining the classes of all pairs of distinct fingerprints within ``distance`` bits whose texts are
-    similar. First each fingerprint against a leader, then all pairs that are still in different classes."""
-    versions = durable(marked.where("n > 0").groupBy("fp", "version").agg(F.min("doc_id").alias("doc_id"), F.min("n").alias("n")).where("doc_id is not null"))
-    sizes = versions.groupBy("fp").agg(F.min("n").alias("fewest"), F.max("n").alias("most"))
-    for candidates in (led_links, all_links):
-        roots = durable(roots)
-        links = verified(durable(candidates(durable(roots.join(sizes, "fp")), distance, least)), versions, docs, doc_id, text, width, least)
-        merged = components(links.join(roots.select(F.col("fp").alias("a"), F.col("root").alias("a_root")), "a").join(roots.select(F.col("fp").alias("b"), F.col("root").alias("b_root")), "b").select(F.col("a_root").alias("a"), F.col("b_root").alias("b")))
-        roots = roots.withColumnRenamed("root", "old").join(merged, F.col("old") == F.col("node"), "left").select("fp", F.coalesce("root", "old").alias("root"))
-    return roots
+    side = lambda name: texts.select(F.col("need_id").alias(name), F.col("text").alias(f"{name}_text"))
+    both = pairs.join(side("b"), "b").join(side("a"), "a")
+    return durable(arrow_pass(both.select("a", "b", "a_text", "b_text"), rows, "same boolean", keep=["a", "b"]).where("same").select("a", "b"))
 
 
-def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, distance: int = 3, loose: int | None = None, least: float = 0.8) -> DataFrame:
+def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, distance: int = 3, views: int = 0, least: float = 0.8, apart: int = 14) -> DataFrame:
     """Columns doc_id, fp (signed long), component_id: the smallest doc_id reachable over links, itself included.
 
     One row for each input row. Texts without a word share fingerprint zero and link like any other. Null text
     counts as empty. Rows with a null id take part and get their component's smallest id, null if it has none.
-    An empty table gives no rows. ``loose``: fingerprints that differ in more than ``distance`` and up to ``loose`` bits
-    are linked too, if two of their texts have a Jaccard similarity of ``least`` or more over their ``width``-word
-    shingles; such a link needs an id on both sides, by which the texts are found.
+    An empty table gives no rows. ``views``: texts that share the home anchor of a half of any of so many further
+    fingerprints, of their distinct long words, and differ in at most ``apart`` bits of that fingerprint, are linked too, if
+    their Jaccard similarity over distinct ``width``-word shingles is ``least`` or more; such a link needs an id on both
+    sides, by which the texts are found.
     """
-    wide = loose is not None and loose > distance
-    if wide and loose > 7:
-        raise ValueError("the anchors cover distances up to 7")
-    marked = durable(sized_versions(docs, doc_id, text, width) if wide else with_fingerprints(docs, doc_id, text, width))
+    marked = durable(sized_versions(docs, doc_id, text, width, views) if views else with_fingerprints(docs, doc_id, text, width))
     first = durable(marked.groupBy("fp").agg(F.min("doc_id").alias("first_id")))
-    roots = roots_of(first, fingerprint_links(first.select("fp"), distance))
-    if wide:
-        roots = loosened(roots, marked, docs, doc_id, text, width, loose, least)
+    roots = durable(class_roots(first.select("fp"), distance))
+    if views:
+        texts = marked.where("n > 0 and doc_id is not null").groupBy("version").agg(F.min("doc_id").alias("node"), F.first("fp").alias("fp"), F.first("n").alias("n"), F.first("views").alias("views"))
+        nodes = durable(texts.groupBy("node").agg(F.first("fp").alias("fp"), F.first("n").alias("n"), F.first("views").alias("views")))  # an id that repeats is one document
+        cells = shared_cells(nodes, views)
+        for candidates in (led_pairs, cell_pairs):
+            rooted = durable(nodes.select("node", "fp", "n").join(roots, "fp"))
+            links = verified(candidates(cells, rooted, least, apart), docs, doc_id, text, width, least)
+            by_fp = links.join(rooted.select(F.col("node").alias("a"), F.col("fp").alias("x")), "a").join(rooted.select(F.col("node").alias("b"), F.col("fp").alias("y")), "b")
+            roots = durable(merged_roots(roots, by_fp.select(F.col("x").alias("a"), F.col("y").alias("b")), "fp"))
     named = first.join(roots, "fp")
     classes = named.join(named.groupBy("root").agg(F.min("first_id").alias("class_id")), "root").select("fp", "class_id")
     return marked.join(classes, "fp").select("doc_id", "fp", F.col("class_id").alias("component_id"))
 
 
-def keep_one_of_each(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 5, distance: int = 3, loose: int | None = 7, least: float = 0.8) -> DataFrame:
+def keep_one_of_each(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 5, distance: int = 3, views: int = 16, least: float = 0.8) -> DataFrame:
     """The rows of ``docs`` whose id is the smallest of its component; the rows of one id that repeat become one
     (any of them, they are the same document). Rows with a null id cannot be named and stay as they are.
     """
     known = docs.where(F.col(doc_id).isNotNull())
-    found = near_duplicates(known, doc_id, text, width, distance, loose, least)
+    found = near_duplicates(known, doc_id, text, width, distance, views, least)
     stay = found.where("doc_id = component_id").select("doc_id").distinct()
     kept = known.join(stay, known[doc_id] == stay["doc_id"], "left_semi")
     return kept.dropDuplicates([doc_id]).unionByName(docs.where(F.col(doc_id).isNull()))
