@@ -1,7 +1,8 @@
 """A corpus pipeline of five stages: toxicity, near-duplicates, decontamination, secrets, piece encoding.
 
-Each stage takes (spark, docs, sf_dir), is written as Parquet, and is read again by the next one. All but the last
-return the columns of ``documents``.
+Each stage takes (spark, docs, sf_dir). ``run`` writes each one's rows to the shared checkpoint folder before the next
+reads them; a caller may as well write them as Parquet between stages. All but the last return the columns of
+``documents``.
 """
 
 from __future__ import annotations
@@ -19,8 +20,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each component the smallest id stays. Links: five-word-shingle fingerprints within three bits, or within seven bits
-    and a Jaccard similarity of the texts of 0.8 or more."""
+    """Of each component the smallest id stays. Links: fingerprints of five-word shingles within three bits; or a home anchor
+    shared in one of sixteen further fingerprints, and a Jaccard similarity of the five-word shingles of 0.8 or more."""
     return anchor_simhash.keep_one_of_each(docs, width=5, least=0.8)
 
 
