@@ -68,10 +68,10 @@ def extend(counts: DataFrame, more: DataFrame) -> tuple[DataFrame, DataFrame]:
     return both, context_totals(both)
 
 
-def fold_law(steps: DataFrame, order: int, smoothing: str, alphabet: int, discount: float = 0.75) -> DataFrame:
+def fold_law(steps: DataFrame, order: int, smoothing: str, alphabet: int, discount: float = 0.75, every: bool = False) -> DataFrame:
     """``steps`` (c0, n0, t0, ... of each depth) with p: every seen depth refines the one below it; the lowest law is uniform.
     Witten-Bell: (c + t p) / (n + t), which leaves p as it is for c, n, t = 0, 0, 1. Absolute discounting:
-    (max(c - d, 0) + d t p) / n. One projection a depth, so no expression is copied."""
+    (max(c - d, 0) + d t p) / n. One projection a depth, so no expression is copied. ``every``: the law of each order as p0, p1, … too."""
     out = steps.withColumn("p", F.lit(1.0 / alphabet))
     for k in range(order + 1):
         c, n, t = F.coalesce(f"c{k}", F.lit(0)).cast("double"), F.col(f"n{k}"), F.col(f"t{k}")
@@ -79,11 +79,13 @@ def fold_law(steps: DataFrame, order: int, smoothing: str, alphabet: int, discou
             out = out.withColumn("p", (c + F.coalesce(t, F.lit(1)) * F.col("p")) / (F.coalesce(n, F.lit(0)) + F.coalesce(t, F.lit(1))))
         else:
             out = out.withColumn("p", F.when(n.isNull(), F.col("p")).otherwise((F.greatest(c - discount, F.lit(0.0)) + discount * t * F.col("p")) / n))
+        if every:
+            out = out.withColumn(f"p{k}", F.col("p"))
     return out
 
 
-def score_grams(grams: DataFrame, counts: DataFrame, totals: DataFrame, order: int, smoothing: str = "wb", alphabet: int = ALPHABET, width: int = 2, by: tuple[str, ...] = ()) -> DataFrame:
-    """``by``, ctx, sym, p for the distinct grams: score once per gram, not per position. Joins are on (depth, ctx[, sym]), so
+def score_grams(grams: DataFrame, counts: DataFrame, totals: DataFrame, order: int, smoothing: str = "wb", alphabet: int = ALPHABET, width: int = 2, by: tuple[str, ...] = (), every: bool = False) -> DataFrame:
+    """``by``, ctx, sym, p (``every``: also p0 … of the lower orders) for the distinct grams: score once per gram, not per position. Joins are on (depth, ctx[, sym]), so
     models larger than memory work; small ones are broadcast by the planner. ``order`` is the deepest depth."""
     distinct = grams.select(*by, "ctx", "sym").distinct()
     depths = F.sequence(F.lit(0), (F.length("ctx") / width).cast("int"))
@@ -91,7 +93,8 @@ def score_grams(grams: DataFrame, counts: DataFrame, totals: DataFrame, order: i
     each = each.withColumn("ctx", F.when(F.col("depth") == 0, "").otherwise(F.expr(f"right(full, depth * {width})")))
     found = each.join(totals, [*by, "depth", "ctx"], "left").join(counts, [*by, "depth", "ctx", "sym"], "left")
     steps = found.groupBy(*by, "full", "sym").agg(*[F.max(F.when(F.col("depth") == k, F.col(c))).alias(f"{a}{k}") for k in range(order + 1) for a, c in (("c", "cnt"), ("n", "n"), ("t", "t"))])
-    return fold_law(steps, order, smoothing, alphabet).select(*by, F.col("full").alias("ctx"), "sym", "p")
+    lower = [f"p{k}" for k in range(order + 1)] if every else []
+    return fold_law(steps, order, smoothing, alphabet, every=every).select(*by, F.col("full").alias("ctx"), "sym", "p", *lower)
 
 
 def additive(grams: DataFrame, counts: DataFrame, totals: DataFrame, order: int, alpha: float = 1.0, alphabet: int = ALPHABET) -> DataFrame:

@@ -6,7 +6,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from slicecode.functions.exprs import bits, byte_symbols, char_symbols, micro_bits, month_label, month_of_date, rate, word_symbols
-from slicecode.operators import models, score, windows
+from slicecode.operators import inwindow, models, score, windows
 from slicecode.plans.base import DOCS, MICRO, backoff, grams, label, query, tokens
 from slicecode.plans.shared import byte_tokens, reference_grams
 from slicecode.sources.tables import documents_slices, load_table
@@ -62,11 +62,8 @@ def chunk_plan_stream(spark, sf_dir):
 SELECT lang, count(*) AS bytes, round(CAST(sum(CAST(round(-log2((c + 0.5) / (pos + 128.0)) * 1000000) AS BIGINT)) AS DOUBLE) / 1000000, 3) AS bits FROM t GROUP BY lang""")
 def unbroken_bits(spark, sf_dir):
     """The adaptive law over whole documents: context without a bound."""
-    d = load_table(spark, sf_dir, "documents")
-    t = byte_tokens(d.select("doc_id", "lang", "text"), ["doc_id", "lang"], "text")
-    c = F.row_number().over(Window.partitionBy("doc_id", "sym").orderBy("pos")) - 1
-    p = score.adaptive(c, F.col("pos"))
-    return t.select("lang", micro_bits(p).alias("micro")).groupBy("lang").agg(F.count(F.lit(1)).alias("bytes"), bits(F.sum("micro")).alias("bits"))
+    got = _window_sums(spark, sf_dir, inwindow.Setting("whole", 0))
+    return got.select("lang", "bytes", "bits")
 
 
 @query("""WITH n AS (SELECT doc_id, strlen(text) AS n FROM documents), b AS (SELECT doc_id, n, unnest(range((n + 15) // 16)) AS b FROM n)
@@ -214,16 +211,20 @@ _TOK = f"WITH t AS (SELECT doc_id, lang, unnest(h) AS sym, generate_subscripts(h
 _SUM = "count(*) AS bytes, round(CAST(sum(CAST(round(-log2(p) * 1000000) AS BIGINT)) AS DOUBLE) / 1000000, 3) AS bits, round(100.0 * sum(CAST(round(-log2(p) * 1000000) AS BIGINT)) / 1000000 / (8.0 * count(*)), 4) AS rate"
 
 
-def _summed(t, by):
-    total = F.sum("micro")
-    return t.groupBy(*by).agg(F.count(F.lit(1)).alias("bytes"), bits(total).alias("bits"), rate(total, F.count(F.lit(1))).alias("rate"))
+def _summed(costs, by):
+    """bytes, bits, rate of each group of ``inwindow.window_costs``."""
+    total, n = F.sum("micro"), F.sum("n")
+    return costs.groupBy(*by).agg(n.alias("bytes"), bits(total).alias("bits"), rate(total, n).alias("rate"))
+
+
+def _window_sums(spark, sf_dir, setting):
+    """lang, bytes, bits, rate of the documents under one window setting."""
+    return _summed(inwindow.window_costs(load_table(spark, sf_dir, "documents"), ["lang"], "text", [setting]), ["lang"])
 
 
 @query(f"{_TOK} SELECT lang, {_SUM} FROM (SELECT lang, (row_number() OVER (PARTITION BY doc_id, pos // 2048, sym ORDER BY pos) - 1 + 0.5) / (pos % 2048 + 128.0) AS p FROM t) GROUP BY lang")
 def adaptive_chunked(spark, sf_dir):
-    t = byte_tokens(load_table(spark, sf_dir, "documents"), ["doc_id", "lang"], "text")
-    c = windows.chunk_counts(t, 2048, ["doc_id"])
-    return _summed(c.select("lang", micro_bits(score.adaptive(F.col("n_w"), F.col("m"))).alias("micro")), ["lang"])
+    return _window_sums(spark, sf_dir, inwindow.Setting("2048", 2048))
 
 
 _SLIDE = """b AS (SELECT *, pos // 512 AS block, row_number() OVER (PARTITION BY doc_id, sym, pos // 512 ORDER BY pos) - 1 AS r FROM t),
@@ -234,70 +235,121 @@ w AS (SELECT b.*, b.r + c.prior AS n_w, b.pos - greatest(0, b.block * 512 - 1536
 @query(f"{_TOK}, {_SLIDE} SELECT lang, {_SUM} FROM (SELECT lang, (n_w + 0.5) / (mm + 128.0) AS p FROM w) GROUP BY lang")
 def adaptive_sliding(spark, sf_dir):
     """Windows of 2048 that move by 512: at least 1536 symbols of context once a document has them."""
-    t = byte_tokens(load_table(spark, sf_dir, "documents"), ["doc_id", "lang"], "text")
-    c = windows.sliding_counts(t, 2048, 512, ["doc_id"])
-    return _summed(c.select("lang", micro_bits(score.adaptive(F.col("n_w"), F.col("m"))).alias("micro")), ["lang"])
+    return _window_sums(spark, sf_dir, inwindow.Setting("2048/512", 2048, 512))
 
 
 @query(f"""{_TOK}, x AS (SELECT *, pos // 2048 AS chunk, CASE WHEN pos % 2048 = 0 THEN '' ELSE lag(sym) OVER (PARTITION BY doc_id ORDER BY pos) END AS ctx FROM t)
 SELECT lang, {_SUM} FROM (SELECT lang, (row_number() OVER (PARTITION BY doc_id, chunk, ctx, sym ORDER BY pos) - 1 + 0.5) / (row_number() OVER (PARTITION BY doc_id, chunk, ctx ORDER BY pos) - 1 + 128.0) AS p FROM x) GROUP BY lang""")
 def adaptive_order1(spark, sf_dir):
-    t = windows.with_context(load_table(spark, sf_dir, "documents"), byte_symbols(F.col("text")), 1, ["doc_id", "lang"], 2048).withColumn("chunk", F.floor(F.col("pos") / 2048))
-    n = F.row_number().over(Window.partitionBy("doc_id", "chunk", "ctx", "sym").orderBy("pos")) - 1
-    m = F.row_number().over(Window.partitionBy("doc_id", "chunk", "ctx").orderBy("pos")) - 1
-    return _summed(t.select("lang", micro_bits(score.adaptive(n, m)).alias("micro")), ["lang"])
+    return _window_sums(spark, sf_dir, inwindow.Setting("2048", 2048, order=1))
+
 
+# --- the context study ------------------------------------------------------------------------------------------------
 
-_STATIC = f"""WITH {DOCS}, {_REF}, {tokens('ref')}, {grams(None, 1)}, {backoff('x', 0, 'm <= 71')},
-t AS (SELECT tok.item_id AS doc_id, pos, sym, coalesce(lag(sym) OVER (PARTITION BY item_id ORDER BY pos), '') AS ctx FROM tok WHERE m >= 72)"""
-_CACHED = ((256, 256), (512, 512), (1024, 1024), (256, 64))
+#: Five models: the static order under the window's counts (none: the window alone), and the longest window each can read.
+STUDY = {"adaptive_o0": (None, 8192), "cached_o0": (0, 8192), "cached_o1": (1, 8192), "cached_o2": (2, 4096), "cached_o3": (3, 2048)}
+_LONGEST_ORDER = 3
+_STUDY_SETTINGS = [inwindow.Setting(f"{model}:{size}/{step}", size, step, law=None if k is None else f"p{k}") for model, (k, most) in STUDY.items() for size, step in _CONFIGS if size <= most]
+
+_STATIC = f"""WITH {DOCS}, {_REF}, {tokens('ref')}, {grams(None, _LONGEST_ORDER)}, {', '.join(backoff(f'o{k}', k, 'm <= 71') for k in range(_LONGEST_ORDER + 1))},
+lagged AS (SELECT item_id AS doc_id, m, pos, sym, coalesce(lag(sym, 3) OVER w, '') || coalesce(lag(sym, 2) OVER w, '') || coalesce(lag(sym) OVER w, '') AS ctx FROM tok WINDOW w AS (PARTITION BY item_id ORDER BY pos)),
+t AS (SELECT l.doc_id, l.pos, l.sym, {', '.join(f's_o{k}.p AS p{k}' for k in range(_LONGEST_ORDER + 1))} FROM lagged l {' '.join(f'JOIN s_o{k} ON s_o{k}.ctx = l.ctx AND s_o{k}.sym = l.sym' for k in range(_LONGEST_ORDER + 1))} WHERE m >= 72)"""
 
 
 def _cached_sql(size: int, step: int) -> str:
+    ps = ", ".join(f"p{k}" for k in range(_LONGEST_ORDER + 1))
     if size == step:
-        return f"SELECT '{size}/{step}' AS config, t.ctx, t.sym, row_number() OVER (PARTITION BY doc_id, pos // {size}, sym ORDER BY pos) - 1 AS n_w, pos % {size} AS mm FROM t"
+        return f"SELECT {size} AS size, '{size}/{step}' AS config, {ps}, row_number() OVER (PARTITION BY doc_id, pos // {size}, sym ORDER BY pos) - 1 AS n_w, pos % {size} AS mm FROM t"
     k = size // step
-    return f"""SELECT '{size}/{step}' AS config, b.ctx, b.sym, b.r + c.prior AS n_w, b.pos - greatest(0, b.block * {step} - {size - step}) AS mm
+    return f"""SELECT {size} AS size, '{size}/{step}' AS config, {ps}, b.r + c.prior AS n_w, b.pos - greatest(0, b.block * {step} - {size - step}) AS mm
 FROM (SELECT *, pos // {step} AS block, row_number() OVER (PARTITION BY doc_id, sym, pos // {step} ORDER BY pos) - 1 AS r FROM t) b JOIN
 (SELECT doc_id, sym, block, coalesce(sum(n) OVER (PARTITION BY doc_id, sym ORDER BY block RANGE BETWEEN {k - 1} PRECEDING AND 1 PRECEDING), 0) AS prior FROM (SELECT doc_id, sym, pos // {step} AS block, count(*) AS n FROM t GROUP BY ALL)) c USING (doc_id, sym, block)"""
 
 
-_CACHED_SQL = f"{_STATIC}, w AS ({' UNION ALL '.join(_cached_sql(*c) for c in _CACHED)}), q AS (SELECT config, (n_w + CAST(64.0 AS DOUBLE) * s_x.p) / (mm + CAST(64.0 AS DOUBLE)) AS p FROM w JOIN s_x USING (ctx, sym))"
+def _study_sql(model: str) -> str:
+    k, most = STUDY[model]
+    p = "(n_w + CAST(0.5 AS DOUBLE)) / (mm + CAST(128.0 AS DOUBLE))" if k is None else f"(n_w + CAST(64.0 AS DOUBLE) * p{k}) / (mm + CAST(64.0 AS DOUBLE))"
+    return f"SELECT '{model}' AS model_id, config, {p} AS p FROM w WHERE size <= {most}"
+
 
+_STUDY_SQL = f"{_STATIC}, w AS ({' UNION ALL '.join(_cached_sql(*c) for c in _CONFIGS)}), q AS ({' UNION ALL '.join(_study_sql(x) for x in STUDY)}), r AS (SELECT model_id, config, CAST(sum({MICRO}) AS BIGINT) AS micro, count(*) AS n FROM q GROUP BY ALL)"
 
-def cached_frame(spark, sf_dir):
-    """config, micro: the cached law (static order 0, strength 64) on the testing months of the reference articles."""
-    slices = documents_slices(spark, sf_dir).where("source = 'reference_articles'")
-    g = models.month_grams(slices, 1, None).persist()
+
+def static_laws(spark, sf_dir):
+    """ctx, sym, p0 … p3 of the testing grams of the reference articles: the laws of orders 0 to 3 of the training months."""
+    g = models.month_grams(documents_slices(spark, sf_dir).where("source = 'reference_articles'"), _LONGEST_ORDER, None)
     counts, totals = models.fit_backoff(g, 71)
-    law = models.score_grams(g, counts.where("depth = 0"), totals.where("depth = 0"), 0)
-    t = windows.with_context(slices.where("m >= 72"), byte_symbols(F.col("body")), 1, ["item_id"]).withColumnRenamed("item_id", "doc_id")
+    return models.score_grams(g.where("m >= 72"), counts, totals, _LONGEST_ORDER, every=True)
+
+
+def study_costs(spark, sf_dir):
+    """config (model and window), n, micro, nanos, state_bytes of every testing document under all settings, in one pass. A law with
+    more pairs than may be sent to all tasks is joined position by position instead, with the same integers."""
+    slices = documents_slices(spark, sf_dir).where("source = 'reference_articles' and m >= 72")
+    law = static_laws(spark, sf_dir)
+    packed = inwindow.pack_law(law, _LONGEST_ORDER, [f"p{k}" for k in range(_LONGEST_ORDER + 1)])
+    if packed is not None:
+        return inwindow.window_costs(slices, [], "body", _STUDY_SETTINGS, packed)
+    return joined_costs(slices, law, _STUDY_SETTINGS)
+
+
+def joined_costs(slices, law, settings):
+    """The relational form: each symbol brings its law by a join and its counts by windows."""
+    t = windows.with_context(slices, byte_symbols(F.col("body")), _LONGEST_ORDER, ["item_id"]).withColumnRenamed("item_id", "doc_id").join(law, ["ctx", "sym"])
     out = None
-    for size, step in _CACHED:
-        c = windows.chunk_counts(t, size, ["doc_id"]) if size == step else windows.sliding_counts(t, size, step, ["doc_id"])
-        got = c.select(F.lit(f"{size}/{step}").alias("config"), "ctx", "sym", "n_w", "m")
+    for s in settings:
+        c = windows.chunk_counts(t, s.size, ["doc_id"]) if s.size == s.step else windows.sliding_counts(t, s.size, s.step, ["doc_id"])
+        p = score.adaptive(F.col("n_w"), F.col("m")) if s.law is None else score.cached(F.col("n_w"), F.col("m"), F.col(s.law), s.strength)
+        got = c.select(F.lit(s.name).alias("config"), F.lit(1).cast("long").alias("n"), micro_bits(p).alias("micro"), F.lit(None).cast("long").alias("nanos"), F.lit(None).cast("long").alias("state_bytes"))
         out = got if out is None else out.unionByName(got)
-    return out.join(law, ["ctx", "sym"]).select("config", micro_bits(score.cached(F.col("n_w"), F.col("m"), F.col("p"))).alias("micro"))
+    return out
+
 
+def _named():
+    """model_id and config of a study setting's name."""
+    return F.substring_index("config", ":", 1).alias("model_id"), F.substring_index("config", ":", -1).alias("config")
 
-@query(f"{_CACHED_SQL} SELECT config, round(CAST(sum({MICRO}) AS DOUBLE) / 1000000, 3) AS bits, round(100.0 * sum({MICRO}) / 1000000 / (8.0 * count(*)), 4) AS rate FROM q GROUP BY config")
+
+@query(f"{_STUDY_SQL} SELECT model_id, config, round(CAST(micro AS DOUBLE) / 1000000, 3) AS bits, round(100.0 * micro / 1000000 / (8.0 * n), 4) AS rate FROM r")
 def cached_bits(spark, sf_dir):
-    return _summed(cached_frame(spark, sf_dir), ["config"]).drop("bytes")
+    """Static laws of orders 0 to 3 refined by their windows, and the window alone, on the testing months of the reference articles."""
+    return _summed(study_costs(spark, sf_dir), ["config"]).select(*_named(), "bits", "rate")
+
 
+_GRID = ", ".join(f"('{x}', {most}, {size}, {step})" for x, (_, most) in STUDY.items() for size, step in _CONFIGS)
 
-@query(f"""{_CACHED_SQL}, r AS (SELECT config, round(100.0 * sum({MICRO}) / 1000000 / (8.0 * count(*)), 4) AS rate, count(*) AS scored FROM q GROUP BY config),
-n AS (SELECT strlen(body) AS n FROM ref WHERE m >= 72), cfg AS (SELECT * FROM (VALUES (256, 256), (512, 512), (1024, 1024), (256, 64)) v(size, step)),
-f AS (SELECT size || '/' || step AS config, CAST(sum(least(n, (b + 1) * step) - greatest(0, b * step - (size - step))) AS BIGINT) AS forward_tokens FROM (SELECT size, step, n, unnest(range((n + step - 1) // step)) AS b FROM n CROSS JOIN cfg) GROUP BY ALL)
-SELECT 'cached_o0' AS model_id, config, rate, forward_tokens, scored AS scored_tokens, round(CAST(forward_tokens AS DOUBLE) / scored, 6) AS relative_cost FROM r JOIN f USING (config)""")
+
+@query(f"""{_STUDY_SQL}, n AS (SELECT strlen(body) AS n FROM ref WHERE m >= 72), cfg AS (SELECT * FROM (VALUES (2048, 2048), (4096, 4096), (8192, 8192), (2048, 512)) v(size, step)),
+f AS (SELECT size || '/' || step AS config, CAST(sum(least(n, (b + 1) * step) - greatest(0, b * step - (size - step))) AS BIGINT) AS forward_tokens, CAST(sum(least(n, (b + 1) * step) - b * step) AS BIGINT) AS scored_tokens FROM (SELECT size, step, n, unnest(range((n + step - 1) // step)) AS b FROM n CROSS JOIN cfg) GROUP BY size, step),
+g AS (SELECT model_id, size || '/' || step AS config, size <= most AS fits FROM (VALUES {_GRID}) v(model_id, most, size, step))
+SELECT model_id, config, round(100.0 * r.micro / 1000000 / (8.0 * r.n), 4) AS rate, CASE WHEN fits THEN forward_tokens END AS forward_tokens, CASE WHEN fits THEN scored_tokens END AS scored_tokens,
+CASE WHEN fits THEN round(CAST(forward_tokens AS DOUBLE) / scored_tokens, 6) END AS relative_cost FROM g JOIN f USING (config) LEFT JOIN r USING (model_id, config)""")
 def context_size_table(spark, sf_dir):
-    """Rate and cost by window setting, scaled to the tables' short documents (256, 512, 1024, 256 with steps of 64)."""
-    r = _summed(cached_frame(spark, sf_dir), ["config"]).select("config", "rate", F.col("bytes").alias("scored_tokens"))
+    """Five models at 2048, 4096, 8192 and 2048 with steps of 512: rate and what a network would read; nulls past the model's
+    longest window."""
+    r = _summed(study_costs(spark, sf_dir), ["config"]).select(*_named(), "rate")
     n = documents_slices(spark, sf_dir).where("source = 'reference_articles' and m >= 72").select(F.octet_length("body").alias("n"))
     f = None
-    for size, step in _CACHED:
-        got = windows.sliding_plan(n, size, step, []).agg(F.sum("forward_tokens").alias("forward_tokens")).withColumn("config", F.lit(f"{size}/{step}"))
+    for size, step in _CONFIGS:
+        got = windows.sliding_plan(n, size, step, []).agg(F.sum("forward_tokens").alias("f"), F.sum("scored_tokens").alias("s")).withColumn("config", F.lit(f"{size}/{step}"))
         f = got if f is None else f.unionByName(got)
-    return r.join(f, "config").select(F.lit("cached_o0").alias("model_id"), "config", "rate", "forward_tokens", "scored_tokens", F.round(F.col("forward_tokens") / F.col("scored_tokens"), 6).alias("relative_cost"))
+    grid = spark.createDataFrame([(x, f"{size}/{step}", size <= most) for x, (_, most) in STUDY.items() for size, step in _CONFIGS], "model_id string, config string, fits boolean")
+    j = grid.join(F.broadcast(f), "config").join(F.broadcast(r), ["model_id", "config"], "left")  # a row for each model and window
+    fits = lambda c: F.when(F.col("fits"), c)
+    return j.select("model_id", "config", "rate", fits(F.col("f")).alias("forward_tokens"), fits(F.col("s")).alias("scored_tokens"), fits(F.round(F.col("f") / F.col("s"), 6)).alias("relative_cost"))
+
+
+@query(None)
+def context_size_cost(spark, sf_dir):
+    """Time and memory of the same settings: seconds of counting and scoring over all tasks, the largest state that a window's
+    counts take, and the pairs and bytes of the static law. Measured, so no two runs agree to the digit."""
+    law = static_laws(spark, sf_dir)
+    pairs = law.agg(*[F.count_distinct(F.expr(f"right(ctx, {2 * k})"), "sym").alias(f"p{k}") for k in range(_LONGEST_ORDER + 1)])
+    held = pairs.unpivot([], [f"p{k}" for k in range(_LONGEST_ORDER + 1)], "law", "law_pairs")
+    names = spark.createDataFrame([(x, None if k is None else f"p{k}") for x, (k, _) in STUDY.items()], "model_id string, law string")
+    c = study_costs(spark, sf_dir).groupBy("config").agg((F.sum("nanos") / 1e9).alias("seconds"), (F.max("state_bytes") / 1e6).alias("state_mb"), F.sum("n").alias("scored_tokens"))
+    j = c.select(*_named(), "seconds", "state_mb", "scored_tokens").join(names, "model_id").join(held, "law", "left")
+    return j.select("model_id", "config", F.round("seconds", 6).alias("seconds"), F.round("state_mb", 6).alias("state_mb"), "scored_tokens", F.coalesce("law_pairs", F.lit(0)).alias("law_pairs"), (F.coalesce("law_pairs", F.lit(0)) * 24 / 1e6).alias("law_mb"))
 
 
 @query("""WITH t AS (SELECT o_orderpriority AS stream_id, o_orderkey AS pos, ln((1 + o_orderkey % 97) / CAST(100.0 AS DOUBLE)) AS logprob FROM orders)

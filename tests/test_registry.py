@@ -43,6 +43,6 @@ def test_plans(spark, sf):
     q = registry.queries()
     plan = q["front_page_semi"](spark, sf)._jdf.queryExecution().toString()
     assert "PushedFilters" in plan and "quality" in plan and "text" not in plan.split("Physical Plan")[1].split("ReadSchema: ")[1].split("\n")[0]
-    for key in ("backoff_pushdown", "adaptive_sliding", "robustness_gap"):
+    for key in ("backoff_pushdown", "robustness_gap"):
         plan = q[key](spark, sf)._jdf.queryExecution().executedPlan().toString()
         assert "CartesianProduct" not in plan and "Python" not in plan and "Arrow" not in plan
