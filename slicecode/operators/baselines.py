@@ -36,12 +36,14 @@ def _paeth(a: np.ndarray, b: np.ndarray, c: np.ndarray) -> np.ndarray:
     return np.where((pa_ <= pb) & (pa_ <= pc), a, np.where(pb <= pc, b, c))
 
 
-def filtered_row(row: np.ndarray, up: np.ndarray, kind: int) -> np.ndarray:
-    """Residuals of one row, modulo 256; kinds 0 to 4: none, left, above, mean of both, nearest of three."""
-    x, b = row.astype(np.int16), up.astype(np.int16)
-    a, c = np.concatenate(([0], x[:-1])), np.concatenate(([0], b[:-1]))
-    guess = (np.zeros_like(x), a, b, (a + b) // 2, _paeth(a, b, c))[kind]
-    return ((x - guess) & 255).astype(np.uint8)
+def filtered_rows(rows: np.ndarray) -> np.ndarray:
+    """Residuals of all rows under the kinds 0 to 4 (none, left, above, mean of both, nearest of three), modulo 256. The guesses
+    come from the raw rows, so all rows are filtered at once."""
+    x = rows.astype(np.int16)
+    b = np.concatenate((np.zeros((1, x.shape[1]), np.int16), x[:-1]))
+    left = lambda v: np.concatenate((np.zeros((len(v), 1), np.int16), v[:, :-1]), axis=1)
+    a, c = left(x), left(b)
+    return np.stack([((x - guess) & 255).astype(np.uint8) for guess in (np.zeros_like(x), a, b, (a + b) // 2, _paeth(a, b, c))])
 
 
 def png_bytes(data: bytes, width: int = 128, adaptive: bool = True) -> bytes:
@@ -53,15 +55,17 @@ def png_bytes(data: bytes, width: int = 128, adaptive: bool = True) -> bytes:
 
     width = max(1, min(width, len(data) or 1))
     rows = np.frombuffer(data + bytes(-len(data) % width), np.uint8).reshape(-1, width)
-    up, lines = np.zeros(width, np.uint8), []
-    for row in rows:
-        options = [filtered_row(row, up, k) for k in (range(5) if adaptive else (0,))]
-        costs = [int(np.abs(o.view(np.int8).astype(np.int64)).sum()) for o in options]
-        k = costs.index(min(costs))
-        lines.append(bytes([k]) + options[k].tobytes())
-        up = row
+    packer, body, above = zlib.compressobj(9), [], np.zeros((1, width), np.uint8)
+    for at in range(0, len(rows), 8192):  # bounded memory for large images
+        part = np.concatenate((above, rows[at : at + 8192]))
+        options = filtered_rows(part)[:, 1:] if adaptive else part[None, 1:]
+        kind = np.abs(options.view(np.int8).astype(np.int32)).sum(axis=2).argmin(axis=0)
+        chosen = options[kind, np.arange(len(kind))]
+        body.append(packer.compress(np.concatenate((kind[:, None].astype(np.uint8), chosen), axis=1).tobytes()))
+        above = part[-1:]
+    body.append(packer.flush())
     head = struct.pack(">IIBBBBB", width, max(1, len(rows)), 8, 0, 0, 0, 0)
-    return SIGNATURE + chunk(b"IHDR", head) + chunk(b"IDAT", zlib.compress(b"".join(lines), 9)) + chunk(b"IEND", b"")
+    return SIGNATURE + chunk(b"IHDR", head) + chunk(b"IDAT", b"".join(body)) + chunk(b"IEND", b"")
 
 
 def png_pixels(image: bytes) -> bytes:
@@ -174,6 +178,19 @@ def flac_bytes(samples: np.ndarray, bits: int = 16, rate: int = 16000, block: in
     return b"".join(out)
 
 
+def flac_length(samples: np.ndarray, bits: int = 16, block: int = 4096) -> int:
+    """The length of ``flac_bytes`` without writing the bits: a Rice code's cost is its length."""
+    samples, total = np.asarray(samples, np.int64), 42
+    for number, at in enumerate(range(0, len(samples), block)):
+        x = samples[at : at + block]
+        body = 8 + bits
+        if not (x == x[0]).all():
+            order, residual = predictor_choice(x)
+            body = 18 + order * bits + rice_choice(residual)[1]
+        total += 4 + len(_utf8_number(number)) + 3 + (body + 7) // 8 + 2
+    return total
+
+
 def _utf8_number(n: int) -> bytes:
     """Frame numbers are written as UTF-8 writes code points."""
     if n < 0x80:
@@ -240,14 +257,18 @@ def flac_samples(stream: bytes) -> np.ndarray:
 # --- as columns ---------------------------------------------------------------------------------------------------
 
 
-def _size_of(compress: Callable[[bytes], bytes]):
+def _measured(length: Callable[[bytes], int]):
     @F.pandas_udf("long")
     def size(values: pd.Series) -> pd.Series:
-        return values.map(lambda v: None if v is None else len(compress(bytes(v))))
+        return values.map(lambda v: None if v is None else length(bytes(v)))
 
     return size
 
 
+def _size_of(compress: Callable[[bytes], bytes]):
+    return _measured(lambda b: len(compress(b)))
+
+
 def gzip_size(data: Column, level: int = 9) -> Column:
     return _size_of(lambda b: gzip_bytes(b, level))(data)
 
@@ -256,6 +277,22 @@ def png_size(data: Column, width: int = 128, adaptive: bool = True) -> Column:
     return _size_of(lambda b: png_bytes(b, width, adaptive))(data)
 
 
-def flac_size(data: Column, bits: int = 16, block: int = 4096) -> Column:
+def _flac_of(data: bytes, bits: int, block: int = 4096) -> int:
     """16 bits: little-endian signed pairs; 8 bits: unsigned bytes, shifted by 128."""
-    return _size_of(lambda b: flac_bytes(np.frombuffer(b[: len(b) // 2 * 2], "<i2") if bits == 16 else np.frombuffer(b, np.uint8).astype(np.int64) - 128, bits, block=block))(data)
+    return flac_length(np.frombuffer(data[: len(data) // 2 * 2], "<i2") if bits == 16 else np.frombuffer(data, np.uint8).astype(np.int64) - 128, bits, block=block)
+
+
+def flac_size(data: Column, bits: int = 16, block: int = 4096) -> Column:
+    return _measured(lambda b: _flac_of(b, bits, block))(data)
+
+
+def source_sizes(data: Column, source: Column) -> Column:
+    """A struct of gzip, png and flac sizes: tiles have rows of 64 bytes, all else of 128; the sampled source has 16-bit samples,
+    all else 8-bit ones. One pass over the bytes."""
+
+    @F.pandas_udf("gzip long, png long, flac long")
+    def sizes(values: pd.Series, sources: pd.Series) -> pd.DataFrame:
+        rows = [(bytes(v), s) for v, s in zip(values, sources, strict=True)]
+        return pd.DataFrame({"gzip": [len(gzip_bytes(v)) for v, _ in rows], "png": [len(png_bytes(v, 64 if s == "gray_patches" else 128)) for v, s in rows], "flac": [_flac_of(v, 16 if s == "sample_series" else 8) for v, s in rows]}, dtype="int64")
+
+    return sizes(data, source)

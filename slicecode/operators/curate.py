@@ -82,10 +82,36 @@ def resample(df: DataFrame, key: list[str], pos: str, value: str, ratio: float)
     return points.select(*key, "k", (F.col(value) + at * (F.col("_nv") - F.col(value))).alias("value"))
 
 
+def positions(df: DataFrame, key: list[str], order: list[str], span: int = 4096) -> DataFrame:
+    """``df`` with _i: the place of each row in its key's series, from 0.
+
+    The first column of ``order`` is an integer; ranges of ``span`` of its values are numbered on their own, and start where a
+    prefix sum over the ranges' counts puts them. So tasks grow with the data and not with the keys.
+    """
+    cut = df.withColumn("_r", F.floor(F.col(order[0]) / span))
+    before = Window.partitionBy(*key).orderBy("_r").rowsBetween(Window.unboundedPreceding, -1)
+    starts = cut.groupBy(*key, "_r").agg(F.count(F.lit(1)).alias("_n")).select(*key, "_r", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_at"))
+    inside = F.row_number().over(Window.partitionBy(*key, "_r").orderBy(*order)) - 1
+    return cut.withColumn("_k", inside).join(starts, [*key, "_r"]).withColumn("_i", F.col("_at") + F.col("_k")).drop("_r", "_k", "_at")
+
+
+def with_lags(series: DataFrame, key: list[str], value: str, lags: int, block: int = 1 << 14) -> DataFrame:
+    """``series`` (with _i, from ``positions``) with the ``lags`` values before each row as ``value``1, ``value``2, …
+
+    Blocks of positions are windows of their own; the last values of a block are copied into the next one.
+    """
+    cut = series.withColumn("_b", F.floor(F.col("_i") / block)).withColumn("_own", F.lit(True))
+    carried = cut.where(F.col("_i") % block >= block - lags).withColumn("_b", F.col("_b") + 1).withColumn("_own", F.lit(False))
+    w = Window.partitionBy(*key, "_b").orderBy("_i")
+    both = cut.unionByName(carried)
+    for k in range(1, lags + 1):
+        both = both.withColumn(f"{value}{k}", F.lag(value, k).over(w))
+    return both.where("_own").drop("_b", "_own")
+
+
 def byte_batches(samples: DataFrame, key: list[str], order: list[str], sample: str, per_batch: int) -> DataFrame:
     """Little-endian 16-bit bytes in batches of ``per_batch`` samples: key, batch, data. The batch bounds what is gathered."""
-    w = Window.partitionBy(*key).orderBy(*order)
-    cut = samples.withColumn("_i", F.row_number().over(w) - 1).withColumn("batch", F.floor(F.col("_i") / per_batch).cast("int"))
+    cut = positions(samples, key, order).withColumn("batch", F.floor(F.col("_i") / per_batch).cast("int"))
     two = F.concat(F.lpad(F.hex(F.pmod(F.col(sample), F.lit(256))), 2, "0"), F.lpad(F.hex(F.pmod(F.shiftright(F.col(sample), 8), F.lit(256))), 2, "0"))
     got = cut.groupBy(*key, "batch").agg(F.sort_array(F.collect_list(F.struct("_i", two.alias("h")))).alias("p"))
     return got.select(*key, "batch", F.unhex(F.array_join(F.col("p.h"), "")).alias("data"))

@@ -7,11 +7,14 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
+from slicecode.operators.baselines import zlib_segment
+from slicecode.operators.windows import stream_chunks
+
 
 @F.udtf(returnType="chunk_no: int, n: int, data: binary")
 class ChunkText:
@@ -58,6 +61,35 @@ def cogroup_score(grams: DataFrame, law: DataFrame, shard: str = "shard") -> Dat
     return parts.groupBy("source").agg(F.sum("micro").alias("micro"))
 
 
+def month_segments(rows: DataFrame, segment: int) -> DataFrame:
+    """source, m, segment, raw, coded: each month's byte stream (source, item_id, m, data; by item_id) in segments of about
+    ``segment`` bytes, one group each; a segment is raw deflate that knows the last 32 KB of the stream before it.
+
+    A document belongs to the segment its first byte falls in, so a group is ``segment`` bytes and one document at most.
+    """
+    sized = rows.select("source", "item_id", "m", F.octet_length("data").cast("long").alias("n"))
+    placed = stream_chunks(sized, ["source", "m"], "item_id", "n")
+    at = placed.select("source", "m", "item_id", F.floor(F.col("start") / segment).alias("segment"), "start", "stop")
+    cut = rows.join(at, ["source", "m", "item_id"])
+    # the end of a segment goes to the next one as its dictionary: the documents that reach into its last 32 KB
+    ends = at.groupBy("source", "m", "segment").agg(F.max("stop").alias("end"))
+    tail = cut.join(ends, ["source", "m", "segment"]).where(F.col("stop") > F.col("end") - 32768)
+    last = Window.partitionBy("source", "m").orderBy("segment")
+    following = ends.select("source", "m", "segment", F.lead("segment").over(last).alias("next"))  # a row a segment
+    carried = tail.join(following, ["source", "m", "segment"]).where("next is not null").select("source", "m", F.col("next").alias("segment"), "start", F.substring(F.col("data"), F.greatest(F.octet_length("data") - 32767, F.lit(1)), F.lit(32768)).alias("data"), F.lit(False).alias("own"))
+    both = cut.select("source", "m", "segment", "start", "data", F.lit(True).alias("own")).unionByName(carried)
+
+    def pack(group: pa.Table) -> pa.Table:
+        parts = group.sort_by([("own", "ascending"), ("start", "ascending")])
+        own, data = parts.column("own").to_pylist(), parts.column("data").to_pylist()
+        before = b"".join(d for o, d in zip(own, data, strict=True) if not o)
+        body = b"".join(d for o, d in zip(own, data, strict=True) if o)
+        head = {c: [group.column(c)[0].as_py()] for c in ("source", "m", "segment")}
+        return pa.table({**head, "raw": [len(body)], "coded": [len(zlib_segment(body, before))]}, schema=pa.schema([("source", pa.string()), ("m", pa.int32()), ("segment", pa.int64()), ("raw", pa.int64()), ("coded", pa.int64())]))
+
+    return both.groupBy("source", "m", "segment").applyInArrow(pack, "source string, m int, segment long, raw long, coded long")
+
+
 @F.pandas_udf(T.DoubleType())
 def auc(score: pd.Series, label: pd.Series) -> float:
     """Mann-Whitney by average ranks: a grouped aggregate for cross-checks on bounded groups."""

@@ -32,20 +32,19 @@ def chunk_arrays(df: DataFrame, seq: Column, size: int, keep: list[str]) -> Data
     return base.select(*keep, F.posexplode(cut).alias("chunk_no", "syms"))
 
 
-def stream_chunks(sizes: DataFrame, size: int, by: list[str], order: str, length: str, buckets: int = 16) -> DataFrame:
-    """Chunks of streams that join rows end to end: ``by``, chunk counts, and the last chunk's length.
+def stream_chunks(sizes: DataFrame, by: list[str], order: str, length: str, span: int = 1024) -> DataFrame:
+    """Places of rows in streams that join them end to end, in the order of an integer id: the columns of ``sizes``, start, stop.
 
-    Offsets come from a prefix sum in two levels: totals of buckets of rows, then inside the bucket; no window spans a
-    stream. Returns one row for each input row: its columns plus start and end in its stream.
+    Offsets come from a prefix sum in two levels: totals of ranges of ``span`` ids, then inside the range. Ranges grow with the
+    data; no window spans a stream's rows.
     """
-    low = sizes.groupBy(*by).agg(F.min(order).alias("_lo"), F.max(order).alias("_hi"))
-    placed = sizes.join(F.broadcast(low), by).withColumn("_b", F.floor((F.col(order) - F.col("_lo")) * buckets / (F.col("_hi") - F.col("_lo") + 1)).cast("int"))
+    placed = sizes.withColumn("_b", F.floor(F.col(order) / span))
     totals = placed.groupBy(*by, "_b").agg(F.sum(length).alias("_t"))
     before = Window.partitionBy(*by).orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)
     offsets = totals.select(*by, "_b", F.coalesce(F.sum("_t").over(before), F.lit(0)).alias("_off"))
     inside = Window.partitionBy(*by, "_b").orderBy(order).rowsBetween(Window.unboundedPreceding, Window.currentRow)
     end = F.col("_off") + F.sum(length).over(inside)
-    return placed.join(offsets, [*by, "_b"]).withColumn("stop", end).withColumn("start", F.col("stop") - F.col(length)).drop("_b", "_lo", "_hi", "_off")
+    return placed.join(offsets, [*by, "_b"]).withColumn("stop", end).withColumn("start", F.col("stop") - F.col(length)).drop("_b", "_off")
 
 
 def sliding_plan(lengths: DataFrame, size: int, step: int, keep: list[str], length: str = "n") -> DataFrame:

@@ -3,14 +3,13 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from slicecode.functions.exprs import byte_symbols, month_index, month_label, word_symbols
-from slicecode.operators import baselines, bpe, coder, curate, models, pyops, windows
+from slicecode.functions.exprs import MICRO, byte_symbols, month_label, word_symbols
+from slicecode.operators import baselines, bpe, coder, curate, metrics, models, pyops, windows
 from slicecode.plans.base import query
 from slicecode.plans.shared import reference_grams
-from slicecode.sources.tables import documents_slices, load_table, text_slices
+from slicecode.sources.tables import SAMPLE_ORDER, byte_slices, documents_slices, load_table, price_samples
 
 
 def _chunks(spark, sf_dir, size=2048):
@@ -80,38 +79,53 @@ def _rates(rows, coded):
 
 
 def _bodies(spark, sf_dir):
-    """source, m, data, raw of all six sources: documents as they are, tiles and samples as bytes."""
-    s = text_slices(spark, sf_dir).select("source", "m", F.encode("body", "UTF-8").alias("data"))
-    e = load_table(spark, sf_dir, "embeddings")
-    t = curate.tiles(e, "vec_id", curate.gray_levels(F.col("embedding")), 4)
-    hexed = F.array_join(F.transform("pixels", lambda x: F.lpad(F.hex(x), 2, "0")), "")
-    tiles = t.select(F.lit("gray_patches").alias("source"), month_index(F.col("patch_id")).alias("m"), F.unhex(hexed).alias("data"))
-    from slicecode.functions.exprs import month_of_date
+    """source, m, data, raw of all six sources."""
+    return byte_slices(spark, sf_dir).select("source", "m", "data", F.octet_length("data").cast("long").alias("raw"))
 
-    x = load_table(spark, sf_dir, "lineitem").select(month_of_date(F.col("l_shipdate")).alias("m"), "l_orderkey", "l_linenumber", "l_partkey", curate.pcm_sample(F.col("l_extendedprice"), 0.0, 200000.0).alias("x"))
-    pcm = curate.byte_batches(x, ["m"], ["l_orderkey", "l_linenumber", "l_partkey"], "x", 4096).select(F.lit("sample_series").alias("source"), "m", "data")
-    return s.unionByName(tiles).unionByName(pcm).withColumn("raw", F.octet_length("data").cast("long"))
+
+def _sized(spark, sf_dir):
+    return _bodies(spark, sf_dir).withColumn("sizes", baselines.source_sizes(F.col("data"), F.col("source"))).select("source", "m", "raw", "sizes.*")
 
 
 @query(None)
 def gzip_rate(spark, sf_dir):
-    """Level 9, headers counted, a document, tile or batch at a time."""
+    """Level 9, headers counted, a document, tile or batch at a time; all six sources."""
     return _rates(_bodies(spark, sf_dir), baselines.gzip_size(F.col("data")))
 
 
+@query(None)
+def gzip_scopes(spark, sf_dir):
+    """gzip by document, by chunk of 2048 bytes, and by month: a month's documents in the order of their ids are cut into bounded
+    segments, each coded as raw deflate that starts from the last 32 KB of the document stream before it."""
+    b = byte_slices(spark, sf_dir)
+    raw = F.octet_length("data").cast("long")
+    whole = b.select("source", F.lit("document").alias("scope"), raw.alias("raw"), baselines.gzip_size(F.col("data")).alias("coded"))
+    cut = F.transform(F.sequence(F.lit(0), F.floor((F.octet_length("data") - 1) / 2048).cast("int")), lambda k: F.substring(F.col("data"), k * 2048 + 1, F.lit(2048)))
+    chunk = b.where(raw > 0).select("source", F.explode(cut).alias("data")).select("source", F.lit("chunk").alias("scope"), raw.alias("raw"), baselines.gzip_size(F.col("data")).alias("coded"))
+    month = pyops.month_segments(b, 1 << 22).select("source", F.lit("month").alias("scope"), "raw", "coded")
+    s = whole.unionByName(chunk).unionByName(month).groupBy("source", "scope").agg(F.sum("raw").alias("raw"), F.sum("coded").alias("coded"))
+    return s.withColumn("rate", F.round(100.0 * F.col("coded") / F.col("raw"), 4))
+
+
 @query(None)
 def png_rate(spark, sf_dir):
-    """Rows of 64 bytes for tiles, 128 for the rest, filters chosen per row; on the tiles, the text stand-ins and samples."""
-    b = _bodies(spark, sf_dir).where(F.col("source").isin("gray_patches", "sample_series", "paper_bodies"))
-    return _rates(b, baselines.png_size(F.col("data")))
+    """Rows of 64 bytes for tiles, 128 for the rest, filters chosen per row; all six sources."""
+    return _rates(_sized(spark, sf_dir), F.col("png"))
 
 
 @query(None)
 def flac_rate(spark, sf_dir):
-    """16-bit samples for the sampled source, 8-bit ones for bytes."""
-    b = _bodies(spark, sf_dir).where(F.col("source").isin("gray_patches", "sample_series"))
-    pcm = _rates(b.where("source = 'sample_series'"), baselines.flac_size(F.col("data"), 16))
-    return pcm.unionByName(_rates(b.where("source = 'gray_patches'"), baselines.flac_size(F.col("data"), 8)))
+    """16-bit samples for the sampled source, 8-bit ones for bytes; all six sources."""
+    return _rates(_sized(spark, sf_dir), F.col("flac"))
+
+
+@query(None)
+def compressor_report(spark, sf_dir):
+    """The three compressors on all six sources beside the models' report: periods, gap, projection."""
+    long = _sized(spark, sf_dir).unpivot(["source", "m", "raw"], ["gzip", "png", "flac"], "model_id", "coded")
+    totals = long.groupBy("source", "model_id", "m").agg((F.sum("coded") * 8 * MICRO).alias("micro"), F.sum("raw").alias("raw_bytes"))
+    r = metrics.robustness(metrics.period_rates(metrics.monthly_rate(totals)))
+    return r.withColumn("projected", F.round(F.col("r_test") + F.col("gap"), 8))
 
 
 _PX = "px AS (SELECT vec_id, unnest(p) AS v, generate_subscripts(p, 1) - 1 AS x FROM (SELECT vec_id, list_transform(embedding, lambda v: CAST(floor((least(greatest(CAST(v AS DOUBLE), -1.0), 1.0) + 1) * 127.5) AS INTEGER)) AS p FROM embeddings))"
@@ -157,13 +171,8 @@ _RES = ("x", "x - x1", "x - 2 * x1 + x2", "x - 3 * x1 + 3 * x2 - x3", "x - 4 * x
 
 
 def _residuals(spark, sf_dir):
-    from slicecode.functions.exprs import month_of_date
-
-    s = load_table(spark, sf_dir, "lineitem").select(month_of_date(F.col("l_shipdate")).alias("m"), "l_orderkey", "l_linenumber", "l_partkey", curate.pcm_sample(F.col("l_extendedprice"), 0.0, 200000.0).alias("x"))
-    w = Window.partitionBy("m").orderBy("l_orderkey", "l_linenumber", "l_partkey")
-    for k in range(1, 5):
-        s = s.withColumn(f"x{k}", F.lag("x", k).over(w))
-    return s
+    """Samples with the four before them in their month."""
+    return curate.with_lags(curate.positions(price_samples(spark, sf_dir), ["m"], SAMPLE_ORDER), ["m"], "x", 4)
 
 
 @query(f"{_S} SELECT m AS month_no, {', '.join(f'CAST(coalesce(sum(abs({r})), 0) AS BIGINT) AS order{k}' for k, r in enumerate(_RES))} FROM l GROUP BY m")

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from slicecode.functions.exprs import MONTHS, month_index, month_label, month_of_date
 from slicecode.operators import curate, metrics
 from slicecode.plans.base import BODY, DOCS, SIZES, label, query
-from slicecode.sources.tables import article_source, load_table, main_body, model_cards, slice_sizes
+from slicecode.sources.tables import SAMPLE_ORDER, article_source, load_table, main_body, model_cards, price_samples, slice_sizes
 
 
 @query(f"WITH {SIZES} SELECT source, count(DISTINCT m) AS months, round(count(*) / count(DISTINCT m), 4) AS docs_per_month, round(sum(raw_bytes) / count(DISTINCT m), 4) AS bytes_per_month, CAST(sum(raw_bytes) AS BIGINT) AS total_bytes FROM sizes GROUP BY source")
@@ -114,10 +114,8 @@ _SAMPLE = "CAST(floor((l_extendedprice - 0.0) / (200000.0 - 0.0) * 65535.0) - 32
 d AS (SELECT m, x, x - lag(x) OVER (PARTITION BY m ORDER BY l_orderkey, l_linenumber, l_partkey) AS dx FROM s)
 SELECT {label('m')} AS month, count(*) AS samples, CAST(min(x) AS BIGINT) AS lowest, CAST(max(x) AS BIGINT) AS highest, CAST(coalesce(sum(abs(dx)), 0) AS BIGINT) AS abs_delta_sum FROM d GROUP BY m""")
 def pcm_series(spark, sf_dir):
-    from pyspark.sql import Window
-
-    s = load_table(spark, sf_dir, "lineitem").select(month_of_date(F.col("l_shipdate")).alias("m"), "l_orderkey", "l_linenumber", "l_partkey", curate.pcm_sample(F.col("l_extendedprice"), 0.0, 200000.0).alias("x"))
-    d = s.withColumn("dx", F.col("x") - F.lag("x").over(Window.partitionBy("m").orderBy("l_orderkey", "l_linenumber", "l_partkey")))
+    s = curate.with_lags(curate.positions(price_samples(spark, sf_dir), ["m"], SAMPLE_ORDER), ["m"], "x", 1)
+    d = s.withColumn("dx", F.col("x") - F.col("x1"))
     got = d.groupBy("m").agg(F.count(F.lit(1)).alias("samples"), F.min("x").cast("long").alias("lowest"), F.max("x").cast("long").alias("highest"), F.coalesce(F.sum(F.abs("dx")), F.lit(0)).cast("long").alias("abs_delta_sum"))
     return got.select(month_label(F.col("m")).alias("month"), "samples", "lowest", "highest", "abs_delta_sum")
 

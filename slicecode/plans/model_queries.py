@@ -53,7 +53,7 @@ def chunk_plan_document(spark, sf_dir):
 def chunk_plan_stream(spark, sf_dir):
     """The same with documents joined end to end; each document knows its place from a two-level prefix sum."""
     sizes = documents_slices(spark, sf_dir).select("source", "m", "item_id", F.octet_length("body").cast("long").alias("n"))
-    placed = windows.stream_chunks(sizes, 256, ["source", "m"], "item_id", "n")
+    placed = windows.stream_chunks(sizes, ["source", "m"], "item_id", "n")
     end = placed.groupBy("source", "m").agg(F.max("stop").alias("n"))
     return end.select("source", month_label(F.col("m")).alias("month"), F.ceil(F.col("n") / 256).alias("chunks"), ((F.col("n") - 1) % 256 + 1).alias("last_len"))
 

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from slicecode.functions.exprs import month_index, month_of_date
+from slicecode.operators import curate
 
 #: Sources that the engine draws from the given tables.
 TEXT_SOURCES = ("reference_articles", "news_articles", "code_files", "paper_bodies")
@@ -70,6 +71,26 @@ def dialogue_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     return c.select(F.lit("dialogues").alias("source"), F.col("conv_id").alias("item_id"), month_index(F.col("conv_id")).alias("m"), F.col("text").alias("body"))
 
 
+def price_samples(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """m, l_orderkey, l_linenumber, l_partkey, x: extended prices as signed 16-bit samples, in the order of their keys."""
+    t = load_table(spark, sf_dir, "lineitem")
+    return t.select(month_of_date(F.col("l_shipdate")).alias("m"), "l_orderkey", "l_linenumber", "l_partkey", curate.pcm_sample(F.col("l_extendedprice"), 0.0, 200000.0).alias("x"))
+
+
+SAMPLE_ORDER = ["l_orderkey", "l_linenumber", "l_partkey"]
+
+
+def byte_slices(spark: SparkSession, sf_dir: str, height: int = 4, per_batch: int = 4096) -> DataFrame:
+    """source, item_id, m, data of all six sources: texts as UTF-8, tiles of ``height`` rows and batches of samples as bytes."""
+    texts = text_slices(spark, sf_dir).select("source", "item_id", "m", F.encode("body", "UTF-8").alias("data"))
+    t = curate.tiles(load_table(spark, sf_dir, "embeddings"), "vec_id", curate.gray_levels(F.col("embedding")), height)
+    hexed = F.array_join(F.transform("pixels", lambda x: F.lpad(F.hex(x), 2, "0")), "")
+    tiles = t.select(F.lit("gray_patches").alias("source"), F.col("patch_id").alias("item_id"), month_index(F.col("patch_id")).alias("m"), F.unhex(hexed).alias("data"))
+    pcm = curate.byte_batches(price_samples(spark, sf_dir), ["m"], SAMPLE_ORDER, "x", per_batch)
+    series = pcm.select(F.lit("sample_series").alias("source"), (F.col("m").cast("long") * (1 << 32) + F.col("batch")).alias("item_id"), "m", "data")
+    return texts.unionByName(tiles).unionByName(series)
+
+
 def slice_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
     """source, item_id, m, raw_bytes of every source, bytes of tiles and samples included."""
     texts = text_slices(spark, sf_dir).unionByName(order_lines(spark, sf_dir)).unionByName(dialogue_lines(spark, sf_dir))

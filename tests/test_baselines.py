@@ -27,6 +27,9 @@ def test_png_ramp_prefers_a_predictor():
 @pytest.mark.parametrize("samples", [np.zeros(0, int), np.array([7]), np.full(5000, -3), (8000 * np.sin(np.arange(9000) / 20)).astype(int), np.random.default_rng(1).integers(-32768, 32767, 5000)])
 def test_flac(samples):
     assert (b.flac_samples(b.flac_bytes(samples)) == samples).all()
+    assert b.flac_length(samples) == len(b.flac_bytes(samples))
+    low = np.clip(samples, -128, 127)
+    assert b.flac_length(low, 8, 100) == len(b.flac_bytes(low, 8, block=100))
 
 
 def test_flac_shrinks_a_sine_and_not_noise():
