@@ -68,31 +68,6 @@ STEMS = {
 _STEMS = sorted(((stem, list(FAMILIES).index(name)) for name, stems in STEMS.items() for stem in stems.split()), key=lambda x: -len(x[0]))
 
 
-@functools.lru_cache(1 << 16)
-def family_of(token: str) -> int | None:
-    """The family of an attribute token in lower case: by the whole word, by its beginning, by a long stem in it."""
-    if token in FAMILY_OF:
-        return FAMILY_OF[token]
-    return next((k for stem, k in _STEMS if token.startswith(stem)), None) or next((k for stem, k in _STEMS if len(stem) > 5 and stem in token), None)
-
-
-#: Beginnings of such words in the languages of the corpus (fixed values); those of six letters or more count anywhere in a word.
-STEMS = {
-    "content": "articl artikel inhalt beitrag haupt contenu conteni principal corps cuerpo texte texto maincont",
-    "nav": "navig menü menú brotkr krümel migas sommaire índice breadcrumb",
-    "header": "kopfz kopfb seitenkopf entête entete cabecera encabez bandeau masthead pageheader",
-    "footer": "fußz fussz fußb fussb pied piedepag impressum mentionsleg avisoleg pagefooter sitefooter",
-    "side": "seitenl randsp barrelat barralat lateral verwandt ähnlich aehnlich connexe relacion related sidebar empfehl recomend recommand",
-    "ad": "werb anzeige reklame publicit publicid anunci patrocin gesponser advert sponsor",
-    "social": "teilen partag compart sozial share",
-    "comment": "kommentar commentair comentari comment leser lecteur lector antwort répons repons respuest meinung diskussion discusi opinion",
-    "notice": "hinweis meldung benachr warnung avertiss newsletter rundbrief boletin boletín abonn suscri cookie consent einwillig",
-    "form": "formul suche recherch buscar búsqueda busqueda umfrage encuesta sondage kontakt contacto anmeld inscri",
-    "meta": "autor auteur datum fecha schlagw etiquet bildunter légende leyenda",
-}
-_STEMS = sorted(((stem, list(FAMILIES).index(name)) for name, stems in STEMS.items() for stem in stems.split()), key=lambda x: -len(x[0]))
-
-
 @functools.lru_cache(1 << 16)
 def family_of(token: str) -> int | None:
     """The family of an attribute token in lower case: by the whole word, by its beginning, by a long stem in it."""
@@ -241,7 +216,6 @@ def features(blocks: list[Block]) -> np.ndarray:
         last = before.get(b.parent)
         before[b.parent] = b
         shaped[k] = alike[b.parent, b.tag, b.families, min(b.blocks, 6)] if b.blocks else 0  # siblings of the same make
-        shaped[k] = alike[b.parent, b.tag, b.families, min(b.blocks, 6)] if b.blocks else 0  # siblings of the same make
         text, inside = b.text, max(b.end - b.start, 1)
         rows.append(
             [group, b.families, up_families[k], up_groups[k], near[k], b.depth, b.order, up.children, b.order / max(up.children, 1), text, b.own, b.words, text / inside, b.linked / max(text, 1), b.links / max(b.own, 1), b.stops / max(b.words, 1), b.blocks, b.p, text / max(b.blocks + 1, 1), b.start / size, text / total, text / max(up.text, 1), up.linked / max(up.text, 1), up.text / max(up.blocks, 1), last.text if last else -1, last.linked / max(last.text, 1) if last else -1, shaped[k], shaped[b.parent] if k else 0]
@@ -421,17 +395,6 @@ class PageMaker:
         around = [f"<nav>{r.choice((self.prose(2, 8), f'<ul>{self.links(2, 6)}</ul>'))}</nav>", f"<footer>{self.prose(3, 12)}</footer>", f"<header>{self.prose(2, 8)}</header>"]
         return r.choice(("", around[0], around[2])) + core + r.choice(("", "", around[1]))
 
-    def bare(self) -> str:
-        """A page whose article has no container of its own, or one that tells nothing; other blocks are few."""
-        r = self.r
-        text = lambda: f"{MARK}{self.prose(8, r.choice((20, 60, 120)))}"
-        parts = [r.choice((f"<p>{text()}</p>", f"<p>{text()}", f"<div>{text()}</div>")) for _ in range(r.choice((1, 1, 2, 2, 3, 5)))]
-        core = "".join([f"<h1>{MARK}{self.prose(2, 8)}</h1>"] * (r.random() < 0.3) + parts)
-        if r.random() < 0.5:
-            core = f"<div{r.choice(('', '', f' id=x{r.randint(1, 99)}'))}>{core}</div>"
-        around = [f"<nav>{r.choice((self.prose(2, 8), f'<ul>{self.links(2, 6)}</ul>'))}</nav>", f"<footer>{self.prose(3, 12)}</footer>", f"<header>{self.prose(2, 8)}</header>"]
-        return r.choice(("", around[0], around[2])) + core + r.choice(("", "", around[1]))
-
     def page(self) -> str:
         r = self.r
         if r.random() < 0.2:
