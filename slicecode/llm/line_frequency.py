@@ -87,12 +87,13 @@ def frequent_lines(lines: DataFrame, host_docs: DataFrame, min_docs: int, share:
     return sized.where(F.col("n_docs") > share * F.col("host_docs")).select("host", "line", "n_docs")
 
 
-def line_frequency_rules(docs: DataFrame, doc_id: str = "doc_id", host: str = "source", text: str = "text", min_docs: int = 20, share: float = 0.1, keep_share: float = 0.5) -> DataFrame:
+def line_frequency_rules(docs: DataFrame, doc_id: str = "doc_id", host: str = "source", text: str = "text", min_docs: int = 20, share: float = 0.01, keep_share: float = 0.5) -> DataFrame:
     """One row for each input row: doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
     base_failed, kept, and removed_words (words in lines above the limits), words_left.
 
     A line is above the limits if at least ``min_docs`` distinct documents of the host have it and more than
-    ``share`` of the host's distinct documents do. A document is depleted, so not kept, if less than
+    ``share`` of the host's distinct documents do: the count decides on small and middle hosts, and the share, which is small so
+    that a template of a part of a large host is still found, keeps chance repeats on very large ones. A document is depleted, so not kept, if less than
     ``keep_share`` of its words are left. Documents that fail the base rules (fewer than 50 words, or more than
     half of the words in repeated windows) are not kept either, but their lines count.
     Null text: no words, base rules failed. A null host is a host of its own; documents with a null id are

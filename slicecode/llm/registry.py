@@ -69,7 +69,7 @@ lined AS (SELECT k, doc_id, source, line, len(w) AS words, translate(array_to_st
   FROM (SELECT *, regexp_extract_all(line, '[^\x20\x09-\x0D]+') AS w FROM lines) WHERE len(w) > 0),
 dups AS (SELECT k, count(*) - count(DISTINCT line) AS n FROM lined GROUP BY k),
 hosts AS (SELECT source, count(DISTINCT doc_id) AS docs FROM docs GROUP BY source),
-hot AS (SELECT c.source, c.norm FROM (SELECT source, norm, count(DISTINCT doc_id) AS n FROM lined GROUP BY source, norm) c JOIN hosts h ON c.source IS NOT DISTINCT FROM h.source WHERE c.n >= 20 AND c.n > 0.1 * h.docs),
+hot AS (SELECT c.source, c.norm FROM (SELECT source, norm, count(DISTINCT doc_id) AS n FROM lined GROUP BY source, norm) c JOIN hosts h ON c.source IS NOT DISTINCT FROM h.source WHERE c.n >= 20 AND c.n > 0.01 * h.docs),
 gone AS (SELECT k, sum(words) AS n FROM lined l JOIN hot h ON l.source IS NOT DISTINCT FROM h.source AND l.norm = h.norm GROUP BY k),
 m AS (SELECT d.doc_id, coalesce(b.n_words, 0) AS n_words, coalesce(b.word_chars, 0) AS word_chars, length(d.t) - length(regexp_replace(d.t, '[#*$%&|<>]', '', 'g')) AS n_symbols,
   coalesce(u.n, 0) AS n_dup_lines, coalesce(r.n, 0) AS n_repeat_words, coalesce(g.n, 0) AS removed_words

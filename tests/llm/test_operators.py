@@ -51,6 +51,15 @@ def test_template_lines_deplete(spark):
     assert line_frequency.remove_frequent_lines("x\nSame template  line " + "t " * 10 + "\ny", {h - ((h >> 63) << 64)}) == "x\ny"
 
 
+def test_template_on_a_part_of_a_large_host(spark):
+    """A line on 3 % of a host's documents goes, and a document that is mostly made of it is rejected."""
+    rows = [(k, "h", " ".join(f"w{k}x{j}" for j in range(55)) + ("\n" + "legal notice of this part " * 12 if k % 33 == 0 else "")) for k in range(990)]
+    rows += [(2000, "h", "legal notice of this part " * 12 + "\n" + " ".join(f"v{j}" for j in range(30)))]
+    got = {r["doc_id"]: r for r in line_frequency.line_frequency_rules(spark.createDataFrame(rows, "doc_id long, source string, text string")).collect()}
+    assert {k for k, r in got.items() if r["removed_words"]} == {k for k in range(990) if k % 33 == 0} | {2000}
+    assert not got[2000]["kept"] and got[2000]["words_left"] == 30 and got[1]["kept"]
+
+
 # --- 2 ------------------------------------------------------------------------------------------------------------
 
 
