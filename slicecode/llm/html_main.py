@@ -73,7 +73,7 @@ def family_of(token: str) -> int | None:
     """The family of an attribute token in lower case: by the whole word, by its beginning, by a long stem in it."""
     if token in FAMILY_OF:
         return FAMILY_OF[token]
-    return next((k for stem, k in _STEMS if token.startswith(stem)), None) or next((k for stem, k in _STEMS if len(stem) > 5 and stem in token), None)
+    return next((k for fits in (lambda stem: token.startswith(stem), lambda stem: len(stem) > 5 and stem in token) for stem, k in _STEMS if fits(stem)), None)
 
 
 #: Groups of tags that features tell apart.
