@@ -1,69 +1,27 @@
-"""Byte-pair merges: trained from distributed word counts, applied by rank. Lossless by construction."""
+"""Byte-pair merges: learned from pair counts over all distinct words of a corpus, applied by rank. Lossless by construction."""
 
 from __future__ import annotations
 
 import functools
 from collections import Counter
+from collections.abc import Iterator
 
-import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from slicecode.functions.exprs import word_symbols
 
-#: Distinct words that training may bring to the driver, most frequent first; the bound of the learned table.
-MOST_WORDS = 200_000
-
-
-def word_counts(df: DataFrame, col: str, most: int = MOST_WORDS) -> list[tuple[str, int]]:
-    words = df.select(F.explode(word_symbols(F.col(col))).alias("w")).groupBy("w").agg(F.count(F.lit(1)).alias("n"))
-    return [(r["w"], r["n"]) for r in words.orderBy(F.desc("n"), "w").limit(most).collect()]
-
-
-def learn_merges(words: list[tuple[str, int]], merges: int) -> list[tuple[bytes, bytes]]:
-    """The most frequent neighbouring pair is merged, again and again; the lexicographically least one at ties. Pair counts
-    are kept up to date by the words that hold the merged pair."""
-    parts = [[bytes([b]) for b in w.encode()] for w, _ in words]
-    freq = [n for _, n in words]
-    counts: Counter = Counter()
-    where: dict[tuple[bytes, bytes], set[int]] = {}
-    for k, p in enumerate(parts):
-        for pair in zip(p, p[1:], strict=False):
-            counts[pair] += freq[k]
-            where.setdefault(pair, set()).add(k)
-    out = []
-    for _ in range(merges):
-        if not counts:
-            break
-        top = max(counts.values())
-        if top <= 0:
-            break
-        best = min(p for p, n in counts.items() if n == top)
-        out.append(best)
-        for k in where.pop(best):
-            p, f = parts[k], freq[k]
-            for pair in zip(p, p[1:], strict=False):
-                counts[pair] -= f
-                if counts[pair] <= 0:
-                    del counts[pair]
-            new, i = [], 0
-            while i < len(p):
-                if i + 1 < len(p) and (p[i], p[i + 1]) == best:
-                    new.append(p[i] + p[i + 1])
-                    i += 2
-                else:
-                    new.append(p[i])
-                    i += 1
-            parts[k] = new
-            for pair in zip(new, new[1:], strict=False):
-                counts[pair] += f
-                where.setdefault(pair, set()).add(k)
-        counts.pop(best, None)
-    return out
+
+def word_counts(df: DataFrame, col: str) -> DataFrame:
+    """w, n of every distinct word; null texts have none."""
+    return df.select(F.explode(word_symbols(F.col(col))).alias("w")).groupBy("w").agg(F.count(F.lit(1)).alias("n"))
 
 
 class Merger:
+    """Vocabulary and ranks of a list of merges; splits words and joins ids."""
+
     def __init__(self, merges: list[tuple[bytes, bytes]]) -> None:
         self.rank = {p: k for k, p in enumerate(merges)}
         self.vocabulary = [bytes([b]) for b in range(256)] + [a + b for a, b in merges]
@@ -78,22 +36,75 @@ class Merger:
     def __setstate__(self, merges) -> None:
         self.__init__(merges)
 
-    def _word(self, word: str) -> tuple[int, ...]:
-        p = [bytes([b]) for b in word.encode()]
+    def pieces(self, word: str) -> list[bytes]:
+        """The word's bytes, the merge of the lowest rank applied again and again, leftmost first."""
+        p, rank, none = [bytes([b]) for b in word.encode()], self.rank.get, len(self.rank)
         while len(p) > 1:
-            ranks = [self.rank.get(pair, 1 << 60) for pair in zip(p, p[1:], strict=False)]
-            k = int(np.argmin(ranks))
-            if ranks[k] == 1 << 60:
+            ranks = [rank(pair, none) for pair in zip(p, p[1:], strict=False)]
+            best = min(ranks)
+            if best == none:
                 break
+            k = ranks.index(best)
             p[k : k + 2] = [p[k] + p[k + 1]]
-        return tuple(self.ids[x] for x in p)
+        return p
+
+    def _word(self, word: str) -> tuple[int, ...]:
+        return tuple(self.ids[x] for x in self.pieces(word))
 
     def decode(self, ids) -> str:
         return b"".join(self.vocabulary[i] for i in ids).decode("utf-8", "replace")
 
 
+def pair_counts(words: DataFrame, merges: list[tuple[bytes, bytes]]) -> DataFrame:
+    """a, b, n: how often two pieces are neighbours under the merges, over all words. Partial counts leave a task."""
+    sent = words.sparkSession.sparkContext.broadcast(Merger(merges))  # as many entries as there are merges
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        merger = sent.value
+        for batch in batches:
+            found: Counter = Counter()
+            for w, n in zip(batch.column("w").to_pylist(), batch.column("n").to_pylist(), strict=True):
+                p = merger.pieces(w)
+                for pair in zip(p, p[1:], strict=False):
+                    found[pair] += n
+            yield pa.RecordBatch.from_arrays([pa.array([a for a, _ in found], pa.binary()), pa.array([b for _, b in found], pa.binary()), pa.array(found.values(), pa.int64())], names=["a", "b", "n"])
+
+    return words.mapInArrow(run, "a binary, b binary, n long").groupBy("a", "b").agg(F.sum("n").alias("n"))
+
+
+def learn_merges(words: DataFrame, merges: int, growth: float = 0.5, first: int = 16) -> list[tuple[bytes, bytes]]:
+    """The most frequent neighbouring pairs (the lesser bytes at ties), in rounds: each counts pairs over all words and takes up to
+    ``first`` pairs, or ``growth`` times as many as there are merges by then.
+
+    A round takes pairs in the order of their counts while they reach half of its largest one, and leaves those that would
+    share a piece in a row with one that it took, as their counts would change. With ``growth`` 0 and ``first`` 1 this is one
+    pair at a time. Only a round's candidates come to the driver.
+    """
+    out: list[tuple[bytes, bytes]] = []
+    while len(out) < merges:
+        most = min(merges - len(out), max(first, int(growth * len(out))))
+        top = pair_counts(words, out).orderBy(F.desc("n"), "a", "b").limit(4 * most).collect()
+        lefts, rights, taken = set(), set(), 0
+        for r in top:
+            a, b = bytes(r["a"]), bytes(r["b"])
+            if taken == most or 2 * r["n"] < top[0]["n"]:
+                break
+            if a not in rights and b not in lefts and (a != b or taken == 0 or (a not in lefts and b not in rights)):
+                lefts.add(a)
+                rights.add(b)
+                out.append((a, b))
+                taken += 1
+        if not taken:
+            break
+    return out
+
+
 def train_bpe(df: DataFrame, col: str, merges: int) -> Merger:
-    return Merger(learn_merges(word_counts(df, col), merges))
+    words = word_counts(df, col).persist()  # read once a round; lost parts are counted anew
+    try:
+        return Merger(learn_merges(words, merges))
+    finally:
+        words.unpersist()
 
 
 def encode(words: Column, merger: Merger, spark) -> Column:

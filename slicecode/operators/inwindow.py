@@ -146,11 +146,12 @@ def row_costs(raw: bytes, settings: list[Setting], law: PackedLaw | None = None,
 def window_costs(rows: DataFrame, keep: list[str], body: str, settings: list[Setting], law: PackedLaw | None = None) -> DataFrame:
     """``keep``, config, n (bytes), micro, nanos, state_bytes: one row for each input row and setting, summed by the caller.
 
-    A null or empty text has no byte, so n and micro are 0. Columns of ``rows`` other than ``keep`` and ``body`` are not read. Memory is
+    ``body`` is a text or binary. A null or empty one has no byte, so n and micro are 0. Columns of ``rows`` other than ``keep`` and ``body`` are not read. Memory is
     bounded by one text and one segment of it.
     """
     sent = rows.sparkSession.sparkContext.broadcast(law)  # MOST_PAIRS rows at most
-    narrow = rows.select(*keep, F.encode(F.col(body), "UTF-8").alias("_raw"))
+    raw = F.col(body) if isinstance(rows.schema[body].dataType, T.BinaryType) else F.encode(F.col(body), "UTF-8")
+    narrow = rows.select(*keep, raw.alias("_raw"))
     types = T.StructType([narrow.schema[c] for c in keep] + list(T.StructType.fromDDL("config string, n long, micro long, nanos long, state_bytes long")))
     out = to_arrow_schema(types, prefers_large_types=False)
 

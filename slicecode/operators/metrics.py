@@ -90,12 +90,14 @@ def trend(series: DataFrame, cutoffs: DataFrame) -> DataFrame:
 
 
 def rank_agreement(pairs: DataFrame, a: str, b: str) -> DataFrame:
-    """Spearman, Pearson, and Kendall (pairs in the same order minus the others, over all) of two columns; both ascending."""
+    """Spearman, Pearson, and Kendall (pairs in the same order minus the others, over all) of two columns; both ascending. Null where a
+    side has no spread."""
     w = lambda c: Window.orderBy(c)  # noqa: E731  a handful of models
     r = pairs.select(F.col("model_id"), F.col(a).alias("a"), F.col(b).alias("b")).withColumn("ra", F.rank().over(w("a"))).withColumn("rb", F.rank().over(w("b")))
     o = r.select(F.col("model_id").alias("other"), F.col("a").alias("a2"), F.col("b").alias("b2"))
     kendall = r.join(o, F.col("model_id") < F.col("other")).agg(F.round(F.avg(F.signum((F.col("a") - F.col("a2")) * (F.col("b") - F.col("b2")))), 6).alias("kendall"))
-    both = r.agg(F.round(F.corr(F.col("ra").cast("double"), F.col("rb").cast("double")), 6).alias("spearman"), F.round(F.corr(F.col("a").cast("double"), F.col("b").cast("double")), 6).alias("pearson"))
+    corr = lambda x, y: F.round(F.try_divide(F.covar_pop(F.col(x).cast("double"), F.col(y).cast("double")), F.stddev_pop(x) * F.stddev_pop(y)), 6)
+    both = r.agg(corr("ra", "rb").alias("spearman"), corr("a", "b").alias("pearson"))
     return both.crossJoin(kendall)
 
 

@@ -6,6 +6,8 @@ two-digit hexadecimals (bytes) of growing length: the context at depth j is the
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -15,9 +17,11 @@ from slicecode.operators.windows import with_context
 ALPHABET = 256
 
 
-def month_grams(slices: DataFrame, order: int, chunk: int | None = None, by: tuple[str, ...] = ("source", "m"), body: str = "body") -> DataFrame:
-    """``by``, ctx (longest available context), sym, n: the only thing that is shuffled is the partial count of grams."""
-    tokens = with_context(slices, byte_symbols(F.col(body)), order, list(by), chunk)
+def month_grams(slices: DataFrame, order: int, chunk: int | None = None, by: tuple[str, ...] = ("source", "m"), body: str = "body", symbols: Column | None = None) -> DataFrame:
+    """``by``, ctx (longest available context), sym, n: the only thing that is shuffled is the partial count of grams.
+    ``symbols``: an array column in place of the bytes of ``body``. Null bodies have no symbol; a null month or source is a group of
+    its own, which no cutoff lets a model learn from."""
+    tokens = with_context(slices, byte_symbols(F.col(body)) if symbols is None else symbols, order, list(by), chunk)
     return tokens.groupBy(*by, "ctx", "sym").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -62,6 +66,30 @@ def score_models(grams: DataFrame, cards: DataFrame, base_sources: tuple[str, ..
     return joined.groupBy("source", "model_id", "m").agg(F.sum(F.col("n") * micro_bits(F.col("p"))).alias("micro"), F.sum("n").alias("raw_bytes"))
 
 
+def save_bucketed(table: DataFrame, buckets: int, folder: str, key: str = "ctx") -> DataFrame:
+    """``table`` written in ``buckets`` buckets of ``key``, sorted by it, in ``folder``; reading it again needs no exchange on the key."""
+    name = f"model_{uuid.uuid4().hex}"
+    table.repartition(buckets, key).write.bucketBy(buckets, key).sortBy(key).option("path", f"{folder}/{name}").format("parquet").saveAsTable(name)
+    return table.sparkSession.table(name)
+
+
+def word_costs(grams: DataFrame, until: int, base_sources: tuple[str, ...]) -> DataFrame:
+    """source, m, micro: word grams (source, m, ctx: the word before, sym, n) under a word-level law of order 1, Witten-Bell over
+    order 0, of the months up to ``until``. A word that training has not seen costs the order-0 escape and eight bits for each of
+    its bytes and an end. The law's two sums are one row; the rest are joins on words."""
+    seen = grams.where((F.col("m") <= until) & F.col("source").isin(*base_sources)).groupBy("ctx", "sym").agg(F.sum("n").alias("c1"))
+    zero = seen.groupBy("sym").agg(F.sum("c1").alias("c0"))
+    total = zero.agg(F.coalesce(F.sum("c0"), F.lit(0)).cast("double").alias("n0"), F.count(F.lit(1)).cast("double").alias("t0"))
+    pairs = seen.where("ctx <> ''")
+    ones = pairs.groupBy("ctx").agg(F.sum("c1").alias("n1"), F.count(F.lit(1)).alias("t1"))
+    j = grams.join(zero, "sym", "left").join(ones, "ctx", "left").join(pairs, ["ctx", "sym"], "left").crossJoin(F.broadcast(total))  # one row
+    p0 = (F.coalesce("c0", F.lit(0)) + F.col("t0") / (F.col("t0") + 1.0)) / (F.col("n0") + F.greatest(F.col("t0"), F.lit(1.0)))
+    p1 = F.when(F.col("n1").isNull(), F.col("p0")).otherwise((F.coalesce("c1", F.lit(0)) + F.col("t1") * F.col("p0")) / (F.col("n1") + F.col("t1")))
+    spelled = F.when(F.col("c0").isNull(), (F.octet_length("sym").cast("long") + 1) * 8_000_000).otherwise(0)
+    cost = j.withColumn("p0", p0).withColumn("p", p1).select("source", "m", (F.col("n") * (micro_bits(F.col("p")) + spelled)).alias("micro"))
+    return cost.groupBy("source", "m").agg(F.sum("micro").alias("micro"))
+
+
 def extend(counts: DataFrame, more: DataFrame) -> tuple[DataFrame, DataFrame]:
     """A model with further counts: a domain-tuned one."""
     both = counts.unionByName(more).groupBy("depth", "ctx", "sym").agg(F.sum("cnt").alias("cnt"))

@@ -99,39 +99,55 @@ def auc(score: pd.Series, label: pd.Series) -> float:
     return float("nan") if p in (0, n) else float((r[pos].sum() - p * (p + 1) / 2) / (p * (n - p)))
 
 
-class _Range(InputPartition):
-    def __init__(self, start: int, stop: int) -> None:
-        super().__init__((start, stop))
-        self.start, self.stop = start, stop
+#: Pairs of a model that one cogrouped shard should hold.
+PAIRS_IN_A_SHARD = 1 << 20
 
 
-class PatternReader(DataSourceReader):
+class _Group(InputPartition):
+    def __init__(self, path: str, group: int) -> None:
+        super().__init__((path, group))
+        self.path, self.group = path, group
+
+
+class ChunkReader(DataSourceReader):
+    """A partition for each row group of a Parquet file or folder; only the two columns are read."""
+
     def __init__(self, options: dict) -> None:
-        self.count, self.size, self.parts = int(options.get("chunks", 8)), int(options.get("size", 64)), int(options.get("parts", 4))
+        self.path, self.key, self.column, self.size = options["path"], options.get("key", "doc_id"), options.get("column", "text"), int(options.get("size", 2048))
 
     def partitions(self):
-        cuts = [self.count * k // self.parts for k in range(self.parts + 1)]
-        return [_Range(a, b) for a, b in zip(cuts, cuts[1:], strict=False) if a < b]
+        import os
+
+        import pyarrow.parquet as pq
+
+        files = [self.path] if os.path.isfile(self.path) else sorted(f"{self.path}/{f}" for f in os.listdir(self.path) if f.endswith(".parquet"))
+        return [_Group(f, k) for f in files for k in range(pq.ParquetFile(f).num_row_groups)]
 
     def read(self, part):
-        for k in range(part.start, part.stop):
-            yield k, bytes((k * 7 + j * j) % 256 for j in range(self.size))
+        import pyarrow.parquet as pq
+
+        for batch in pq.ParquetFile(part.path).iter_batches(256, row_groups=[part.group], columns=[self.key, self.column]):
+            for key, text in zip(batch.column(self.key).to_pylist(), batch.column(self.column).to_pylist(), strict=True):
+                raw = (text or "").encode()
+                for k in range(0, len(raw), self.size):
+                    yield key, k // self.size, raw[k : k + self.size]
 
 
-class PatternChunks(DataSource):
-    """A Python data source of deterministic byte chunks (options chunks, size, parts): windows made at the source."""
+class TextChunks(DataSource):
+    """A Python data source that cuts windows at the source (options path, key, column, size): for files that every node can
+    open by path; stores that only Spark reads go through ``windows.chunk_arrays``."""
 
     @classmethod
     def name(cls) -> str:
-        return "pattern_chunks"
+        return "text_chunks"
 
     def schema(self) -> str:
-        return "chunk_no int, data binary"
+        return "doc_id long, chunk_no int, data binary"
 
-    def reader(self, schema) -> PatternReader:
-        return PatternReader(self.options)
+    def reader(self, schema) -> ChunkReader:
+        return ChunkReader(self.options)
 
 
 def register(spark: SparkSession) -> None:
     spark.udtf.register("chunk_text", ChunkText)
-    spark.dataSource.register(PatternChunks)
+    spark.dataSource.register(TextChunks)

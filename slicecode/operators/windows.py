@@ -47,6 +47,20 @@ def stream_chunks(sizes: DataFrame, by: list[str], order: str, length: str, span
     return placed.join(offsets, [*by, "_b"]).withColumn("stop", end).withColumn("start", F.col("stop") - F.col(length)).drop("_b", "_off")
 
 
+def stream_pieces(rows: DataFrame, size: int, by: list[str], order: str, data: str) -> DataFrame:
+    """The chunks of ``size`` bytes of streams that join the binary ``data`` of rows end to end: ``by``, chunk_no, data.
+
+    Each row is cut where the stream's chunks end and its pieces meet the neighbours' again; a group is one chunk."""
+    sized = rows.select(*by, order, F.octet_length(data).cast("long").alias("_n")).where("_n > 0")
+    placed = stream_chunks(sized, by, order, "_n").select(*by, order, "start", "stop")
+    first, last = F.floor(F.col("start") / size), F.floor((F.col("stop") - 1) / size)
+    cut = rows.select(*by, order, F.col(data).alias("_d")).join(placed, [*by, order]).withColumn("chunk_no", F.explode(F.sequence(first, last)))
+    lo, hi = F.greatest(F.lit(0), F.col("chunk_no") * size - F.col("start")), F.least(F.col("stop"), (F.col("chunk_no") + 1) * size) - F.col("start")
+    pieces = cut.select(*by, "chunk_no", "start", F.hex(F.substring(F.col("_d"), (lo + 1).cast("int"), (hi - lo).cast("int"))).alias("_h"))
+    joined = pieces.groupBy(*by, "chunk_no").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("start", "_h"))), lambda x: x["_h"]), "").alias("_h"))
+    return joined.select(*by, "chunk_no", F.unhex("_h").alias("data"))
+
+
 def sliding_plan(lengths: DataFrame, size: int, step: int, keep: list[str], length: str = "n") -> DataFrame:
     """Overlapping windows: block b scores ``step`` symbols with the ``size`` - ``step`` before them as context.
     Columns ``keep``, blocks, forward_tokens, scored_tokens."""

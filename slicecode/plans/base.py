@@ -88,11 +88,11 @@ series AS (SELECT *, round(100.0 * micro / 1000000 / (8.0 * raw_bytes), 4) AS ra
 
 
 RATES = rate_ctes()
-def _mean(where: str) -> str:
+def mean_sql(where: str) -> str:
     return f"round(CAST(sum(CAST(round(rate * 10000) AS BIGINT)) FILTER (WHERE {where}) AS DOUBLE) / count(*) FILTER (WHERE {where}) / 10000, 8)"
 
 
-PERIODS = f"""{RATES}, rates0 AS (SELECT source, model_id, {_mean('true')} AS r_all, {_mean('m < 72')} AS r_train, {_mean('m >= 72')} AS r_test FROM series GROUP BY source, model_id)"""
+PERIODS = f"""{RATES}, rates0 AS (SELECT source, model_id, {mean_sql('true')} AS r_all, {mean_sql('m < 72')} AS r_train, {mean_sql('m >= 72')} AS r_test FROM series GROUP BY source, model_id)"""
 ROBUST = f"""{PERIODS}, rates1 AS (SELECT *, round(r_test - r_train, 8) AS gap FROM rates0),
 rates AS (SELECT *, round(gap / r_train, 6) AS gap_rel, CASE WHEN gap > 0 THEN 'up' WHEN gap < 0 THEN 'down' ELSE 'flat' END AS arrow FROM rates1)"""
 CLASSES = "classes AS (SELECT * FROM (VALUES " + ", ".join(f"('{x}', '{c}')" for x, (_, _, _, c) in RATE_MODELS.items()) + ") v(model_id, size_class))"

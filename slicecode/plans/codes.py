@@ -5,10 +5,10 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import functions as F
 
-from slicecode.functions.exprs import MICRO, byte_symbols, month_label, word_symbols
+from slicecode.functions.exprs import MICRO, byte_symbols, micro_bits, month_label, word_symbols
 from slicecode.operators import baselines, bpe, coder, curate, metrics, models, pyops, windows
 from slicecode.plans.base import query
-from slicecode.plans.shared import reference_grams
+from slicecode.plans.shared import rates, reference_grams
 from slicecode.sources.tables import SAMPLE_ORDER, byte_slices, documents_slices, load_table, price_samples
 
 
@@ -39,7 +39,7 @@ def arith_overhead(spark, sf_dir):
     """Bits over the ideal by the coder's precision: of quantising the law, and of finite precision with the end."""
     chunks, model = _chunks(spark, sf_dir, 512), _packed(spark, sf_dir, 1)
     out = None
-    for b in (20, 24, 32):
+    for b in (18, 20, 24, 32):  # totals of 2**16 slots need 18 bits at least
         c = coder.encode_chunks(chunks, model, ["item_id", "chunk_no"], precision=b)
         got = c.agg(F.count(F.lit(1)).alias("chunks"), F.sum("n").alias("symbols"), F.sum("bit_len").alias("bits"), F.round(F.sum("ideal_bits"), 3).alias("ideal_bits"), F.round(F.sum(F.col("slot_bits") - F.col("ideal_bits")), 3).alias("quantisation"), F.round(F.sum(F.col("bit_len") - F.col("slot_bits")), 3).alias("finite_precision")).withColumn("precision", F.lit(b))
         out = got if out is None else out.unionByName(got)
@@ -128,6 +128,13 @@ def compressor_report(spark, sf_dir):
     return r.withColumn("projected", F.round(F.col("r_test") + F.col("gap"), 8))
 
 
+@query(None)
+def source_difficulty_gzip(spark, sf_dir):
+    """Mean gap of the rate models by source, beside the gap of gzip on the same slices."""
+    r = rates(spark, sf_dir).where("model_id <> 'uniform'")
+    return metrics.source_difficulty(r, compressor_report(spark, sf_dir).where("model_id = 'gzip'"))
+
+
 _PX = "px AS (SELECT vec_id, unnest(p) AS v, generate_subscripts(p, 1) - 1 AS x FROM (SELECT vec_id, list_transform(embedding, lambda v: CAST(floor((least(greatest(CAST(v AS DOUBLE), -1.0), 1.0) + 1) * 127.5) AS INTEGER)) AS p FROM embeddings))"
 _SIGNED = "abs(CASE WHEN ((v - {g}) % 256 + 256) % 256 >= 128 THEN ((v - {g}) % 256 + 256) % 256 - 256 ELSE ((v - {g}) % 256 + 256) % 256 END)"
 _P = "(a + b - c)"
@@ -196,25 +203,30 @@ def rice_choice(spark, sf_dir):
 # --- merges ---------------------------------------------------------------------------------------------------------
 
 
+#: Vocabularies of the study: merges learned on all languages, and on English alone.
+MERGES = {"all": (256, 1024, 4096, 8192), "en": (4096,)}
+
+
 @query(None)
 def bpe_table(spark, sf_dir):
     """Byte-pair tokenizers of growing vocabularies, trained on all languages or on English only: tokens and bits per token
-    and byte under their own order-0 law, by language, on the testing slice."""
+    and byte under their own order-0 law, by language, on the testing slice. ``lossless``: the ids give every text back."""
     d = documents_slices(spark, sf_dir).join(load_table(spark, sf_dir, "documents").select(F.col("doc_id").alias("item_id"), "lang"), "item_id")
     ref = d.where("source = 'reference_articles' and m >= 72").select("lang", "body", word_symbols(F.col("body")).alias("w"))
     train = d.where("source = 'reference_articles' and m < 72")
     out = None
-    for name, rows in (("all", train), ("en", train.where("lang = 'en'"))):
-        words = bpe.word_counts(rows, "body")
-        every = bpe.learn_merges(words, 1024)
-        for n in (256, 1024) if name == "all" else (1024,):
+    for name, sizes in MERGES.items():
+        every = list(bpe.train_bpe(train if name == "all" else train.where("lang = 'en'"), "body", max(sizes)).rank)
+        for n in sizes:
             m = bpe.Merger(every[:n])
-            t = ref.select("lang", F.explode(bpe.encode(F.col("w"), m, spark)).alias("sym")).groupBy("lang", "sym").agg(F.count(F.lit(1)).alias("c")).persist()
+            coded = ref.select("lang", "body", bpe.encode(F.col("w"), m, spark).alias("ids"))
+            back = coded.groupBy("lang").agg(F.min(bpe.decode(F.col("ids"), m, spark).eqNullSafe(F.col("body"))).alias("lossless"), F.sum(F.octet_length("body").cast("long")).alias("bytes"))
+            t = coded.select("lang", F.explode("ids").alias("sym")).groupBy("lang", "sym").agg(F.count(F.lit(1)).alias("c"))
             law = t.groupBy("sym").agg(F.sum("c").alias("n"))
             total = F.broadcast(law.agg(F.sum("n").cast("double").alias("all")))  # one row
-            z = t.join(law, "sym").crossJoin(total).groupBy("lang").agg(F.sum("c").alias("tokens"), F.sum(-F.col("c") * F.log2(F.col("n") / F.col("all"))).alias("b"))
-            raw = ref.groupBy("lang").agg(F.sum(F.octet_length("body").cast("long")).alias("bytes"))
-            got = z.join(raw, "lang").select(F.lit(name).alias("trained_on"), F.lit(256 + n).alias("vocabulary"), "lang", "tokens", F.round(F.col("b") / F.col("tokens"), 6).alias("bpt"), F.round(F.col("b") / F.col("bytes"), 6).alias("bpb"))
+            z = t.join(law, "sym").crossJoin(total).groupBy("lang").agg(F.sum("c").alias("tokens"), F.sum(F.col("c") * micro_bits(F.col("n") / F.col("all"))).cast("double").alias("micro"))
+            b = F.col("micro") / MICRO
+            got = z.join(back, "lang").select(F.lit(name).alias("trained_on"), F.lit(256 + len(every[:n])).alias("vocabulary"), "lang", "tokens", F.round(b / F.col("tokens"), 6).alias("bpt"), F.round(b / F.col("bytes"), 6).alias("bpb"), "lossless")
             out = got if out is None else out.unionByName(got)
     return out
 
@@ -251,7 +263,8 @@ def cogroup_score(spark, sf_dir):
     counts, g = _order1_counts(spark, sf_dir)
     totals = models.context_totals(counts)
     law = models.additive(g, counts.withColumn("depth", F.lit(1)), totals, 1)
-    shard = F.pmod(F.xxhash64("ctx"), F.lit(16))
+    shards = max(16, counts.count() // pyops.PAIRS_IN_A_SHARD + 1)
+    shard = F.pmod(F.xxhash64("ctx"), F.lit(shards))
     grams = g.where("m >= 72").groupBy("source", "ctx", "sym").agg(F.sum("n").alias("n")).withColumn("shard", shard)
     return pyops.cogroup_score(grams, law.withColumn("shard", shard))
 

@@ -7,9 +7,10 @@ from pyspark.sql import functions as F
 
 from slicecode.functions.exprs import MICRO, byte_symbols, char_symbols, micro_bits, month_index, month_label, word_symbols
 from slicecode.operators import metrics, models, windows
-from slicecode.plans.base import CLASSES, DOCS, PERIODS, RATES, ROBUST, grams, label, query, tokens
+from slicecode.plans.base import CLASSES, CODE, DOCS, PAPERS, PERIODS, RATES, ROBUST, backoff, grams, label, mean_sql, query, tokens
+from slicecode.plans.base import MICRO as MICRO_SQL
 from slicecode.plans.shared import TEXTS, byte_tokens, classes, rate_series, rates, reference_grams
-from slicecode.sources.tables import documents_slices, load_table, model_cards, text_slices
+from slicecode.sources.tables import byte_slices, documents_slices, load_table, model_cards, text_slices
 
 
 @query(f"WITH {RATES} SELECT source, model_id, {label('m')} AS month, rate FROM series")
@@ -287,36 +288,202 @@ def antijoin_unseen(spark, sf_dir):
 
 # --- the whole report -------------------------------------------------------------------------------------------------
 
+SIX = ("reference_articles", "news_articles", "code_files", "paper_bodies", "gray_patches", "sample_series")
 
-def temporal_report(spark, sf_dir, model_ids: tuple[str, ...] | None = None, sources: tuple[str, ...] = ("reference_articles", "news_articles", "code_files", "paper_bodies")):
-    """All cards with byte ids over the text sources: periods, gap, projection, rank, mark; a card without byte ids has nulls.
+
+def _until(card) -> int:
+    """Last training month; an unknown cutoff is the end of the common training period."""
+    cut = card["cutoff_month"]
+    return 71 if cut is None else (cut.year - 2017) * 12 + cut.month - 1
+
+
+def report_totals(spark, sf_dir, cards, sources=SIX):
+    """source, model_id, m, micro, raw_bytes of the cards: byte laws on every source, the word law on the texts alone.
 
     One pass counts the grams of the highest order; lower orders are suffixes, cutoffs are filters on months.
     """
-    cards = [c for c in model_cards(spark).collect() if model_ids is None or c["model_id"] in model_ids]
-    g = models.month_grams(text_slices(spark, sf_dir, sources), max(c["order"] for c in cards), 2048).persist()
+    byte = [c for c in cards if c["has_byte_ids"]]
     out = None
-    for smoothing in sorted({c["smoothing"] for c in cards}):
-        some = [(c["model_id"], c["order"], 71 if c["cutoff_month"] is None else (c["cutoff_month"].year - 2017) * 12 + c["cutoff_month"].month - 1, c["extra_sources"]) for c in cards if c["has_byte_ids"] and c["smoothing"] == smoothing]
-        got = models.score_models(g, spark.createDataFrame(some, "model_id string, order int, until int, extra array<string>"), TEXTS, max(x[1] for x in some), smoothing)
-        out = got if out is None else out.unionByName(got)
-    r = metrics.robustness(metrics.period_rates(metrics.monthly_rate(out)))
+    if byte:
+        slices = text_slices(spark, sf_dir, sources) if set(sources) <= set(SIX[:4]) else byte_slices(spark, sf_dir).where(F.col("source").isin(*sources))
+        seq = byte_symbols(F.col("body")) if "body" in slices.columns else F.regexp_extract_all(F.hex("data"), F.lit(".."), F.lit(0))
+        g = models.month_grams(slices, max(c["order"] for c in byte), 2048, symbols=seq).persist()  # lost parts are counted anew
+        for smoothing in sorted({c["smoothing"] for c in byte}):
+            some = [(c["model_id"], c["order"], _until(c), c["extra_sources"]) for c in byte if c["smoothing"] == smoothing]
+            got = models.score_models(g, spark.createDataFrame(some, "model_id string, order int, until int, extra array<string>"), TEXTS, max(x[1] for x in some), smoothing)
+            out = got if out is None else out.unionByName(got)
+    for c in cards:
+        if not c["has_byte_ids"]:
+            texts = text_slices(spark, sf_dir, tuple(x for x in sources if x in SIX[:4]))
+            words = models.month_grams(texts, 1, None, symbols=word_symbols(F.col("body")))
+            raw = texts.groupBy("source", "m").agg(F.sum(F.octet_length("body").cast("long")).alias("raw_bytes"))
+            got = models.word_costs(words, _until(c), TEXTS).join(raw, ["source", "m"]).select("source", F.lit(c["model_id"]).alias("model_id"), "m", "micro", "raw_bytes")
+            out = got if out is None else out.unionByName(got)
+    return out
+
+
+def monthly_units(totals):
+    """With rate: a month's rate in units of 1e-4 percent is micro / (8 raw), rounded as a whole number."""
+    units = F.expr("(2 * cast(micro as decimal(38,0)) + 8 * raw_bytes) div (16 * raw_bytes)")
+    return totals.where("raw_bytes > 0").withColumn("rate", units.cast("double") / 10000)
+
+
+def card_rates(totals):
+    """Periods, gap and direction from totals."""
+    return metrics.robustness(metrics.period_rates(monthly_units(totals)))
+
+
+def temporal_report(spark, sf_dir, model_ids: tuple[str, ...] | None = None, sources: tuple[str, ...] = SIX):
+    """The cards over the sources: periods, gap, projection, rank, mark; nulls where a model has no byte ids and a source no text."""
+    cards = [c for c in model_cards(spark).collect() if model_ids is None or c["model_id"] in model_ids]  # fourteen rows
+    r = card_rates(report_totals(spark, sf_dir, cards, sources))
     ranked = metrics.project_and_rank(r, spark.createDataFrame([(c["model_id"], c["size_class"]) for c in cards], "model_id string, size_class string"))
     grid = spark.createDataFrame([(s, c["model_id"]) for s in sources for c in cards], "source string, model_id string")
     return grid.join(ranked, ["source", "model_id"], "left")
 
 
-@query(None)
+#: The cards as the SQL needs them: order, last training month, trained on code too, smoothing, size class; the word model is apart.
+CARDS = {
+    "early_o2": (2, 47, False, "wb", "small"), "early_o3": (3, 47, False, "wb", "large"), "early_o5": (5, 47, False, "wb", "large"), "late_o2": (2, 68, False, "wb", "small"), "late_o3": (3, 68, False, "wb", "large"),
+    "late_o5": (5, 68, False, "wb", "large"), "late_o2_code": (2, 68, True, "wb", "small"), "multi_a": (2, 71, False, "discount", "small"), "multi_b": (1, 71, False, "wb", "small"),
+    "multi_c": (3, 71, False, "discount", "large"), "long_ctx": (2, 71, False, "wb", "small"), "mid_o4": (4, 71, False, "wb", "large"), "mid_o4_small": (1, 71, False, "discount", "small"),
+}
+WORD_CARD = ("wide_vocab", 71, "small")
+
+_SIX_SQL = f"""{DOCS}, {CODE}, {PAPERS}, texts AS (SELECT * FROM docs UNION ALL SELECT * FROM code UNION ALL SELECT * FROM papers),
+px AS (SELECT vec_id // 4 AS item_id, vec_id, list_transform(embedding, lambda v: lpad(to_hex(CAST(floor((least(greatest(CAST(v AS DOUBLE), -1.0), 1.0) + 1) * 127.5) AS INTEGER)), 2, '0')) AS px FROM embeddings),
+patches AS (SELECT item_id, upper(array_to_string(flatten(list(px ORDER BY vec_id)), '')) AS hx FROM px GROUP BY item_id HAVING count(*) = 4),
+smp AS (SELECT CAST((year(l_shipdate) + 22 - 2017) * 12 + month(l_shipdate) - 1 AS INTEGER) AS m, l_orderkey, l_linenumber, l_partkey, CAST(floor((l_extendedprice - 0.0) / (200000.0 - 0.0) * 65535.0) - 32768 AS INTEGER) AS x FROM lineitem),
+smo AS (SELECT m, (x + 65536) % 65536 AS u, row_number() OVER (PARTITION BY m ORDER BY l_orderkey, l_linenumber, l_partkey) - 1 AS i FROM smp),
+series0 AS (SELECT m, i // 4096 AS item_id, upper(string_agg(lpad(to_hex(u % 256), 2, '0') || lpad(to_hex(u // 256), 2, '0'), '' ORDER BY i)) AS hx FROM smo GROUP BY ALL),
+raws AS (SELECT source, item_id, m, hex(encode(body)) AS hx FROM texts UNION ALL SELECT 'gray_patches', item_id, CAST(item_id % 83 AS INTEGER), hx FROM patches UNION ALL SELECT 'sample_series', m * 100000 + item_id, m, hx FROM series0)"""
+
+
+def _cards_sql(names) -> str:
+    """CTEs that end in totals (source, model_id, m, micro, raw_bytes) of some cards on the six sources."""
+    orders = sorted({CARDS[x][0] for x in names if x in CARDS})
+    out = [_SIX_SQL]
+    if orders:
+        out += [tokens("raws", seq="regexp_extract_all(hx, '..')"), grams(2048, orders[-1])]
+        out += [f"g{k} AS (SELECT source, m, right(ctx, {2 * k}) AS ctx, sym, CAST(sum(n) AS BIGINT) AS n FROM grams GROUP BY ALL)" for k in orders]
+    each = []
+    for x in names:
+        if x in CARDS:
+            k, until, extra, smoothing, _ = CARDS[x]
+            out.append(backoff(x, k, f"m <= {until} AND source IN ('reference_articles', 'news_articles'{', ' + repr('code_files') if extra else ''})", smoothing).replace("FROM grams", f"FROM g{k}"))
+            each.append(f"SELECT source, '{x}' AS model_id, m, CAST(sum(n * {MICRO_SQL}) AS BIGINT) AS micro, CAST(sum(n) AS BIGINT) AS raw_bytes FROM g{k} JOIN s_{x} USING (ctx, sym) GROUP BY source, m")
+    if WORD_CARD[0] in names:
+        out.append(tokens("texts", "wt", r"regexp_extract_all(body, '[\p{L}\p{N}]+|[^\p{L}\p{N}\s]|\s')"))
+        out.append(f"""wg AS (SELECT source, m, ctx, sym, count(*) AS n FROM (SELECT source, m, sym, coalesce(lag(sym) OVER (PARTITION BY source, item_id ORDER BY pos), '') AS ctx FROM wt) GROUP BY ALL),
+w1 AS (SELECT ctx, sym, sum(n) AS c1 FROM wg WHERE m <= {WORD_CARD[1]} AND source IN ('reference_articles', 'news_articles') GROUP BY ALL), w0 AS (SELECT sym, sum(c1) AS c0 FROM w1 GROUP BY sym), wn AS (SELECT CAST(coalesce(sum(c0), 0) AS DOUBLE) AS n0, CAST(count(*) AS DOUBLE) AS t0 FROM w0),
+wo AS (SELECT ctx, sum(c1) AS n1, count(*) AS t1 FROM w1 WHERE ctx <> '' GROUP BY ctx),
+wp AS (SELECT wg.*, c0, n1, t1, w1.c1, (coalesce(c0, 0) + t0 / (t0 + CAST(1.0 AS DOUBLE))) / (n0 + greatest(t0, CAST(1.0 AS DOUBLE))) AS p0 FROM wg LEFT JOIN w0 USING (sym) LEFT JOIN wo ON wo.ctx = wg.ctx LEFT JOIN w1 ON w1.ctx = wg.ctx AND w1.sym = wg.sym AND w1.ctx <> '' CROSS JOIN wn),
+wq AS (SELECT *, CASE WHEN n1 IS NULL THEN p0 ELSE (coalesce(c1, 0) + t1 * p0) / (n1 + t1) END AS p FROM wp),
+wr AS (SELECT source, m, CAST(sum(strlen(body)) AS BIGINT) AS raw_bytes FROM texts GROUP BY ALL)""")
+        each.append(f"SELECT source, '{WORD_CARD[0]}', m, micro, raw_bytes FROM (SELECT source, m, CAST(sum(n * ({MICRO_SQL} + CASE WHEN c0 IS NULL THEN (strlen(sym) + 1) * 8000000 ELSE 0 END)) AS BIGINT) AS micro FROM wq GROUP BY source, m) JOIN wr USING (source, m)")
+    out.append(f"totals AS ({' UNION ALL '.join(each)})")
+    return ", ".join(out)
+
+
+def _rates_sql(names) -> str:
+    """``_cards_sql``, then crates: periods, gap and direction of each source and model."""
+    return f"""{_cards_sql(names)}, cseries AS (SELECT *, CAST((2 * CAST(micro AS HUGEINT) + 8 * raw_bytes) // (16 * raw_bytes) AS DOUBLE) / 10000 AS rate FROM totals WHERE raw_bytes > 0),
+c0 AS (SELECT source, model_id, {mean_sql('true')} AS r_all, {mean_sql('m < 72')} AS r_train, {mean_sql('m >= 72')} AS r_test FROM cseries GROUP BY source, model_id), c1 AS (SELECT *, round(r_test - r_train, 8) AS gap FROM c0),
+crates AS (SELECT *, round(gap / r_train, 6) AS gap_rel, CASE WHEN gap > 0 THEN 'up' WHEN gap < 0 THEN 'down' ELSE 'flat' END AS arrow FROM c1)"""
+
+
+_ALL_CARDS = [*CARDS, WORD_CARD[0]]
+_CLASS = ", ".join(f"('{x}', '{c}')" for x, c in [*((x, v[4]) for x, v in CARDS.items()), (WORD_CARD[0], WORD_CARD[2])])
+
+
+@query(f"""WITH {_rates_sql(_ALL_CARDS)}, cls AS (SELECT * FROM (VALUES {_CLASS}) v(model_id, size_class)), grid AS (SELECT source, model_id FROM (SELECT unnest([{', '.join(map(repr, SIX))}]) AS source) CROSS JOIN cls),
+p AS (SELECT *, round(r_test + gap, 8) AS projected FROM crates JOIN cls USING (model_id) WHERE r_test IS NOT NULL), k AS (SELECT *, rank() OVER (PARTITION BY source, size_class ORDER BY projected) AS rank FROM p)
+SELECT grid.source, grid.model_id, r_all, r_train, r_test, gap, gap_rel, arrow, size_class, projected, rank, CASE WHEN rank = 1 THEN 'best' WHEN rank = 2 THEN 'second' WHEN rank IS NOT NULL THEN '' END AS mark FROM grid LEFT JOIN k USING (source, model_id)""")
 def temporal_report_all_cards(spark, sf_dir):
-    """Fourteen cards on four text sources."""
+    """Fourteen cards on six sources; ``compressor_report`` has the three compressors on the same slices."""
     return temporal_report(spark, sf_dir)
 
 
-def flagship(spark, sf_dir):
-    return temporal_report(spark, sf_dir, ("early_o2", "late_o2"), ("reference_articles", "news_articles"))
+@query(f"WITH {_cards_sql(('early_o2', 'late_o2'))} SELECT source, model_id, {label('m')} AS month, CAST((2 * CAST(micro AS HUGEINT) + 8 * raw_bytes) // (16 * raw_bytes) AS DOUBLE) / 10000 AS rate FROM totals WHERE raw_bytes > 0")
+def monthly_rate_six(spark, sf_dir):
+    """The monthly curves of two cards over all six sources, tiles and samples included."""
+    cards = [c for c in model_cards(spark).collect() if c["model_id"] in ("early_o2", "late_o2")]  # two rows
+    return monthly_units(report_totals(spark, sf_dir, cards)).select("source", "model_id", month_label(F.col("m")).alias("month"), "rate")
+
+
+# --- rates against task scores ------------------------------------------------------------------------------------------
+
+SMALL_BYTE_CARDS = tuple(x for x, v in CARDS.items() if v[4] == "small")
+
+
+def next_byte_scores(spark, sf_dir, cards):
+    """model_id, topone, dialogue: accuracy of each card's deepest context on the benchmark items and on the conversations; the
+    smaller byte at ties."""
+    most = max(c["order"] for c in cards)
+    g = models.month_grams(text_slices(spark, sf_dir, (*TEXTS, "code_files")), most, 2048).persist()
+    bench = load_table(spark, sf_dir, "benchmark").select(F.lit("topone").alias("task"), F.col("text").alias("body"))
+    items = bench.unionByName(load_table(spark, sf_dir, "conversations").select(F.lit("dialogue").alias("task"), F.col("text").alias("body")))
+    out = None
+    for c in cards:
+        d = c["order"]
+        seen = g.where((F.col("m") <= _until(c)) & F.col("source").isin(*TEXTS, *c["extra_sources"]) & (F.length("ctx") >= 2 * d))
+        counts = seen.groupBy(F.expr(f"right(ctx, {2 * d})").alias("ctx"), "sym").agg(F.sum("n").alias("cnt"))
+        top = counts.groupBy("ctx").agg(F.max_by("sym", F.struct("cnt", (-F.conv("sym", 16, 10).cast("int")).alias("o"))).alias("best"))
+        t = windows.with_context(items, byte_symbols(F.col("body")), d, ["task"]).where(F.col("pos") >= d)
+        asked = t.groupBy("task", "ctx", "sym").agg(F.count(F.lit(1)).alias("k")).join(top, "ctx", "left")
+        hits = lambda name: F.round(F.sum(F.when((F.col("task") == name) & (F.col("sym") == F.col("best")), F.col("k")).otherwise(0)) / F.sum(F.when(F.col("task") == name, F.col("k"))), 6).alias(name)
+        got = asked.agg(hits("topone"), hits("dialogue")).select(F.lit(c["model_id"]).alias("model_id"), "topone", "dialogue")
+        out = got if out is None else out.unionByName(got)
+    return out
+
+
+def task_table(spark, sf_dir):
+    """model_id, code_rate, topone, paper_rate, dialogue of the seven small byte cards."""
+    cards = [c for c in model_cards(spark).collect() if c["model_id"] in SMALL_BYTE_CARDS]  # seven rows
+    r = card_rates(report_totals(spark, sf_dir, cards, ("code_files", *TEXTS, "paper_bodies")))
+    wide = r.groupBy("model_id").agg(F.max(F.when(F.col("source") == "code_files", F.col("r_test"))).alias("code_rate"), F.max(F.when(F.col("source") == "paper_bodies", F.col("r_test"))).alias("paper_rate"))
+    return wide.join(next_byte_scores(spark, sf_dir, cards), "model_id")
+
+
+def _top_card_sql(x: str) -> str:
+    d, until, extra, _, _ = CARDS[x]
+    where = f"m <= {until} AND source IN ('reference_articles', 'news_articles'{', ' + repr('code_files') if extra else ''}) AND length(ctx) >= {2 * d}"
+    score = lambda task: f"round(sum(CASE WHEN b.sym = best THEN 1 ELSE 0 END) FILTER (WHERE task = '{task}') / CAST(count(*) FILTER (WHERE task = '{task}') AS DOUBLE), 6) AS {task}"
+    return f"""top_{x} AS (SELECT ctx, first(sym ORDER BY c DESC, sym) AS best FROM (SELECT ctx, sym, sum(n) AS c FROM g{d} WHERE {where} GROUP BY ALL) GROUP BY ctx),
+hit_{x} AS (SELECT '{x}' AS model_id, {score('topone')}, {score('dialogue')} FROM (SELECT task, sym, {'p1' if d == 1 else 'p2 || p1'} AS ctx FROM bt WHERE pos >= {d}) b LEFT JOIN top_{x} t USING (ctx))"""
+
 
+_TASK_TABLE = f"""{_rates_sql(SMALL_BYTE_CARDS)}, items AS (SELECT 'topone' AS task, row_number() OVER () AS k, text FROM benchmark UNION ALL SELECT 'dialogue', row_number() OVER (), text FROM conversations),
+bt0 AS (SELECT task, k, unnest(h) AS sym, generate_subscripts(h, 1) - 1 AS pos FROM (SELECT task, k, regexp_extract_all(hex(encode(text)), '..') AS h FROM items)), bt AS (SELECT *, lag(sym, 1) OVER w AS p1, lag(sym, 2) OVER w AS p2 FROM bt0 WINDOW w AS (PARTITION BY task, k ORDER BY pos)),
+{', '.join(_top_card_sql(x) for x in SMALL_BYTE_CARDS)}, hits AS ({' UNION ALL '.join(f'SELECT * FROM hit_{x}' for x in SMALL_BYTE_CARDS)}),
+tasks AS (SELECT model_id, max(r_test) FILTER (WHERE source = 'code_files') AS code_rate, max(r_test) FILTER (WHERE source = 'paper_bodies') AS paper_rate, any_value(topone) AS topone, any_value(dialogue) AS dialogue FROM crates JOIN hits USING (model_id) GROUP BY model_id)"""
 
 
+@query(f"WITH {_TASK_TABLE} SELECT model_id, code_rate, rank() OVER (ORDER BY code_rate) AS code_rank, topone, rank() OVER (ORDER BY topone DESC) AS topone_rank, paper_rate, rank() OVER (ORDER BY paper_rate) AS paper_rank, dialogue, rank() OVER (ORDER BY dialogue DESC) AS dialogue_rank FROM tasks")
+def table4_ranks(spark, sf_dir):
+    """Seven small models: testing rates on code and paper text beside two task scores, with ranks (1 is best)."""
+    t = task_table(spark, sf_dir)
+    rank = lambda *by: F.rank().over(Window.orderBy(*by)).cast("long")  # noqa: E731  seven rows
+    last = lambda c: F.col(c).asc_nulls_last()
+    return t.select("model_id", "code_rate", rank(last("code_rate")).alias("code_rank"), "topone", rank(F.desc("topone")).alias("topone_rank"), "paper_rate", rank(last("paper_rate")).alias("paper_rank"), "dialogue", rank(F.desc("dialogue")).alias("dialogue_rank"))
+
+
+def _agree_sql(task: str, score: str, rate: str) -> str:
+    ranked = f"(SELECT CAST(rank() OVER (ORDER BY {score}) AS DOUBLE) AS a, CAST(rank() OVER (ORDER BY -{rate}) AS DOUBLE) AS b FROM tasks)"
+    return f"SELECT '{task}' AS task, (SELECT round(nullif(corr(a, b), CAST('NaN' AS DOUBLE)), 6) FROM {ranked}) AS spearman, (SELECT round(nullif(corr({score}, -{rate}), CAST('NaN' AS DOUBLE)), 6) FROM tasks) AS pearson, (SELECT round(avg(sign((p.{score} - q.{score}) * (q.{rate} - p.{rate}))), 6) FROM tasks p JOIN tasks q ON p.model_id < q.model_id) AS kendall"
+
+
+@query(f"WITH {_TASK_TABLE} {_agree_sql('next_byte_and_code', 'topone', 'code_rate')} UNION ALL {_agree_sql('dialogue_and_papers', 'dialogue', 'paper_rate')}")
+def table4_agreement(spark, sf_dir):
+    """Do the rates rank the models as the task scores do? Spearman, Pearson and Kendall of scores with negated rates."""
+    t = task_table(spark, sf_dir).withColumn("code", -F.col("code_rate")).withColumn("paper", -F.col("paper_rate")).persist()  # seven rows
+    one = lambda a, b, name: metrics.rank_agreement(t, a, b).withColumn("task", F.lit(name))
+    return one("topone", "code", "next_byte_and_code").unionByName(one("dialogue", "paper", "dialogue_and_papers"))
+
+
+def flagship(spark, sf_dir):
+    return temporal_report(spark, sf_dir, ("early_o2", "late_o2"), ("reference_articles", "news_articles"))
+
 
 # --- arithmetic of printed numbers ------------------------------------------------------------------------------------
 

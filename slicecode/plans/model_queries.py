@@ -244,6 +244,16 @@ def adaptive_order1(spark, sf_dir):
     return _window_sums(spark, sf_dir, inwindow.Setting("2048", 2048, order=1))
 
 
+@query(f"""WITH {DOCS}, {tokens('docs')}, n AS (SELECT source, m, item_id, sum(strlen(body)) OVER (PARTITION BY source, m ORDER BY item_id) - strlen(body) AS before FROM docs), g AS (SELECT source, m, sym, CAST(before + pos AS BIGINT) AS g FROM tok JOIN n USING (source, m, item_id)),
+q AS (SELECT source, m, (row_number() OVER (PARTITION BY source, m, g // 2048, sym ORDER BY g) - 1 + 0.5) / (g % 2048 + 128.0) AS p FROM g) SELECT source, {label('m')} AS month, count(*) AS bytes, round(CAST(sum({MICRO}) AS DOUBLE) / 1000000, 3) AS bits, round(100.0 * sum({MICRO}) / 1000000 / (8.0 * count(*)), 4) AS rate FROM q GROUP BY source, m""")
+def adaptive_stream_chunks(spark, sf_dir):
+    """The adaptive law over chunks of 2048 bytes of each month's stream, documents joined end to end."""
+    d = documents_slices(spark, sf_dir).withColumn("data", F.encode("body", "UTF-8"))
+    chunks = windows.stream_pieces(d, 2048, ["source", "m"], "item_id", "data")
+    got = _summed(inwindow.window_costs(chunks, ["source", "m"], "data", [inwindow.Setting("2048", 2048)]), ["source", "m"])
+    return got.select("source", month_label(F.col("m")).alias("month"), "bytes", "bits", "rate")
+
+
 # --- the context study ------------------------------------------------------------------------------------------------
 
 #: Five models: the static order under the window's counts (none: the window alone), and the longest window each can read.

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from slicecode.plans import base
-from slicecode.plans import data, evaluation, model_queries, surface, codes  # noqa: F401  they register themselves
+from slicecode.plans import data, evaluation, formats, model_queries, surface, codes  # noqa: F401  they register themselves
 from slicecode.plans.evaluation import flagship  # noqa: F401
 
 

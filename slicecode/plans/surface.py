@@ -5,10 +5,11 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from slicecode.functions.exprs import month_index, month_label
-from slicecode.operators import metrics
-from slicecode.plans.base import DOCS, SIZES, label, query
-from slicecode.sources.tables import load_table, slice_sizes
+from slicecode.functions.exprs import bits, char_symbols, micro_bits, month_index, month_label, rate
+from slicecode.operators import metrics, models, pyops
+from slicecode.plans.base import DOCS, RATES, SIZES, label, query
+from slicecode.plans.shared import rate_series
+from slicecode.sources.tables import documents_slices, load_table, model_cards, slice_sizes
 from slicecode.streaming import streams
 
 _YEARLY = f"WITH {SIZES}, y AS (SELECT source, CAST(2017 + m // 12 AS INTEGER) AS year, CASE WHEN m < 72 THEN 'train' ELSE 'test' END AS period, raw_bytes FROM sizes)"
@@ -161,12 +162,8 @@ def stream_session(spark, sf_dir):
 @query("""WITH r AS (SELECT user_id, row_number() OVER (PARTITION BY user_id, event_type ORDER BY ts, event_id) - 1 AS c, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1 AS m FROM events)
 SELECT user_id, count(*) AS events, CAST(sum(CAST(round(-log2((c + 0.5) / (m + 2.5)) * 1000000) AS BIGINT)) AS BIGINT) AS micro FROM r GROUP BY user_id""")
 def stream_state_bits(spark, sf_dir):
-    """An adaptive law per user in keyed state; the batch law is the same sum by windows."""
-    e = load_table(spark, sf_dir, "events")
-    c = F.row_number().over(Window.partitionBy("user_id", "event_type").orderBy("ts", "event_id")) - 1
-    m = F.row_number().over(Window.partitionBy("user_id").orderBy("ts", "event_id")) - 1
-    r = e.select("user_id", F.round(-F.log2((c + 0.5) / (m + 2.5)) * 1_000_000).cast("long").alias("micro"))
-    return r.groupBy("user_id").agg(F.count(F.lit(1)).alias("events"), F.sum("micro").alias("micro"))
+    """An adaptive law per user in keyed state, over the events as a stream."""
+    return streams.keyed_totals(streams.event_stream(spark, sf_dir))
 
 
 @query("""WITH a AS (SELECT * FROM events WHERE event_type = (SELECT min(event_type) FROM events)), b AS (SELECT * FROM events WHERE event_type = (SELECT max(event_type) FROM events))
@@ -176,3 +173,83 @@ def stream_interval_join(spark, sf_dir):
     return streams.run_now(streams.view_then_buy(streams.event_stream(spark, sf_dir), kinds["a"], kinds["b"]), "append")
 
 
+# --- further operators in their places -----------------------------------------------------------------------------------
+
+
+@query(f"WITH {RATES} SELECT source, year, CAST(grouping(source, year) AS BIGINT) AS gid, round(100.0 * sum(micro) / 1000000 / (8.0 * sum(raw_bytes)), 4) AS rate FROM (SELECT source, CAST(2017 + m // 12 AS INTEGER) AS year, micro, raw_bytes FROM series WHERE model_id = 'late_o2') GROUP BY ROLLUP (source, year)")
+def rollup_rates(spark, sf_dir):
+    """Pooled rates by source and year with their margins."""
+    s = rate_series(spark, sf_dir, ("late_o2",)).where("model_id = 'late_o2'").select("source", (2017 + F.floor(F.col("m") / 12)).cast("int").alias("year"), "micro", "raw_bytes")
+    return s.rollup("source", "year").agg(F.grouping_id().alias("gid"), rate(F.sum("micro"), F.sum("raw_bytes")).alias("rate"))
+
+
+@query(f"WITH {RATES} SELECT source, model_id, CAST(grouping(source, model_id) AS BIGINT) AS gid, round(100.0 * sum(micro) / 1000000 / (8.0 * sum(raw_bytes)), 4) AS rate FROM series GROUP BY CUBE (source, model_id)")
+def cube_rates(spark, sf_dir):
+    return rate_series(spark, sf_dir).cube("source", "model_id").agg(F.grouping_id().alias("gid"), rate(F.sum("micro"), F.sum("raw_bytes")).alias("rate"))
+
+
+_CHARS = "SELECT lang, unnest(string_split(lower(text), '')) AS c FROM documents"
+
+
+@query(f"""WITH t AS (SELECT lang, c, count(*) AS n FROM ({_CHARS}) WHERE c <> '' GROUP BY ALL) SELECT lang, CAST(count(*) AS INTEGER) AS letters, CAST(sum(n) AS BIGINT) AS total, CAST(coalesce(max(n) FILTER (WHERE c = 'e'), 0) AS BIGINT) AS e,
+CAST(count(*) FILTER (WHERE n >= 1000) AS INTEGER) AS often, CAST(max(ascii(c)) AS INTEGER) AS highest FROM t GROUP BY lang""")
+def vocabulary_maps(spark, sf_dir):
+    """Each language's characters as a map from character to count: an alphabet is small enough to be one value."""
+    t = load_table(spark, sf_dir, "documents").select("lang", F.explode(char_symbols(F.lower("text"))).alias("c")).groupBy("lang", "c").agg(F.count(F.lit(1)).alias("n"))
+    m = t.groupBy("lang").agg(F.map_from_entries(F.collect_list(F.struct("c", "n"))).alias("m"))
+    often = F.map_filter("m", lambda _, n: n >= 1000)
+    codes = F.map_values(F.transform_values("m", lambda c, _: F.ascii(c)))
+    return m.select("lang", F.size("m").alias("letters"), F.aggregate(F.map_values("m"), F.lit(0).cast("long"), lambda a, n: a + n).alias("total"), F.coalesce(F.element_at("m", F.lit("e")), F.lit(0)).alias("e"), F.size(F.map_keys(often)).alias("often"), F.array_max(codes).alias("highest"))
+
+
+@query(f"""WITH {DOCS}, w AS (SELECT m, unnest(regexp_extract_all(lower(body), '[a-z]+')) AS w FROM docs), te AS (SELECT w FROM w WHERE m >= 72), tr AS (SELECT w FROM w WHERE m < 72)
+SELECT 'intersect_all' AS kind, count(*) AS words FROM (SELECT w FROM te INTERSECT ALL SELECT w FROM tr) UNION ALL SELECT 'except_all', count(*) FROM (SELECT w FROM te EXCEPT ALL SELECT w FROM tr)""")
+def multiset_words(spark, sf_dir):
+    """Testing words that the training months hold as often, and those beyond."""
+    w = documents_slices(spark, sf_dir).select("m", F.explode(F.regexp_extract_all(F.lower("body"), F.lit("[a-z]+"), F.lit(0))).alias("w"))
+    te, tr = w.where("m >= 72").select("w"), w.where("m < 72").select("w")
+    one = lambda df, k: df.agg(F.count(F.lit(1)).alias("words")).select(F.lit(k).alias("kind"), "words")
+    return one(te.intersectAll(tr), "intersect_all").unionByName(one(te.exceptAll(tr), "except_all"))
+
+
+_CUTS = ", ".join(f"('{x}', {'NULL' if cut is None else repr(cut)})" for x, cut in (("early_o2", "2020-12"), ("early_o3", "2020-12"), ("late_o2", "2022-09"), ("multi_a", None), ("multi_b", None), ("wide_vocab", None)))
+
+
+@query(f"WITH c AS (SELECT * FROM (VALUES {_CUTS}) v(model_id, cutoff)) SELECT a.model_id, b.model_id AS other, a.cutoff FROM c a JOIN c b ON a.cutoff IS NOT DISTINCT FROM b.cutoff AND a.model_id < b.model_id")
+def same_cutoff_pairs(spark, sf_dir):
+    """Cards that may be compared month by month: the same cutoff, or unknown in both."""
+    c = model_cards(spark).where(F.col("model_id").isin("early_o2", "early_o3", "late_o2", "multi_a", "multi_b", "wide_vocab")).select("model_id", F.date_format("cutoff_month", "yyyy-MM").alias("cutoff"))
+    o = c.select(F.col("model_id").alias("other"), F.col("cutoff").alias("its"))
+    return c.join(o, F.col("cutoff").eqNullSafe(F.col("its")) & (F.col("model_id") < F.col("other"))).select("model_id", "other", "cutoff")
+
+
+@query("""WITH t AS (SELECT c_mktsegment AS k, count(*) AS n FROM customer GROUP BY 1), j AS (SELECT count(*) AS rows, CAST(sum(n) AS BIGINT) AS total FROM customer JOIN t ON k = c_mktsegment) SELECT unnest(['broadcast', 'merge', 'shuffle_hash']) AS strategy, rows, total FROM j""")
+def hinted_joins(spark, sf_dir):
+    """One lookup under three strategies: the same rows."""
+    c = load_table(spark, sf_dir, "customer")
+    t = c.groupBy("c_mktsegment").agg(F.count(F.lit(1)).alias("n"))
+    one = lambda h: c.join(t.hint(h), "c_mktsegment").agg(F.lit(h).alias("strategy"), F.count(F.lit(1)).alias("rows"), F.sum("n").alias("total"))
+    return one("broadcast").unionByName(one("merge")).unionByName(one("shuffle_hash"))
+
+
+@query(f"""WITH {DOCS}, t AS (SELECT m, unnest(string_split(body, '')) AS c FROM docs), s AS (SELECT c, count(*) AS n FROM t WHERE c <> '' AND m < 72 GROUP BY c), ids AS (SELECT c, n, sum(n) OVER () AS n_all FROM s WHERE ascii(c) < 128),
+q AS (SELECT c, count(*) AS k FROM t WHERE c <> '' AND m >= 72 GROUP BY c) SELECT count(*) AS symbols, CAST(sum(k) AS BIGINT) AS scored, round(CAST(sum(k * CAST(round(-log2(CAST(n AS DOUBLE) / n_all) * 1000000) AS BIGINT)) AS DOUBLE) / 1000000, 3) AS bits FROM q JOIN ids USING (c)""")
+def restricted_law(spark, sf_dir):
+    """A law over all characters, kept to the one-byte ones and scaled to sum to one there, on the testing months."""
+    t = documents_slices(spark, sf_dir).select("m", F.explode(char_symbols(F.col("body"))).alias("sym"))
+    n = t.where("m < 72").groupBy("sym").agg(F.count(F.lit(1)).alias("p")).select(F.lit("").alias("ctx"), "sym", F.col("p").cast("double").alias("p"))
+    law = models.restrict(n, n.where(F.ascii("sym") < 128).select("sym"))
+    q = t.where("m >= 72").groupBy("sym").agg(F.count(F.lit(1)).alias("k"))
+    return q.join(law, "sym").agg(F.count(F.lit(1)).alias("symbols"), F.sum("k").alias("scored"), bits(F.sum(F.col("k") * micro_bits(F.col("p")))).alias("bits"))
+
+
+_AUC_LANG = "sum(r) FILTER (WHERE y = 1) - CAST(count(*) FILTER (WHERE y = 1) AS DOUBLE) * (count(*) FILTER (WHERE y = 1) + 1) / 2"
+
+
+@query(f"""WITH j AS (SELECT d.lang, l.quality AS y, length(d.text) AS s FROM documents d JOIN labels l USING (doc_id)), k AS (SELECT *, rank() OVER (PARTITION BY lang ORDER BY s) + (count(*) OVER (PARTITION BY lang, s) - 1) / CAST(2 AS DOUBLE) AS r FROM j)
+SELECT lang, round(({_AUC_LANG}) / (count(*) FILTER (WHERE y = 1) * count(*) FILTER (WHERE y = 0)), 6) AS score FROM k GROUP BY lang HAVING count(*) FILTER (WHERE y = 1) > 0 AND count(*) FILTER (WHERE y = 0) > 0""")
+def length_auc(spark, sf_dir):
+    """How well length alone tells quality, by language: a grouped aggregate in pandas, on the labelled documents."""
+    d = load_table(spark, sf_dir, "documents").select("doc_id", "lang", F.length("text").cast("double").alias("s"))
+    j = d.join(load_table(spark, sf_dir, "labels").select("doc_id", "quality"), "doc_id")
+    return j.groupBy("lang").agg(F.round(pyops.auc("s", "quality"), 6).alias("score")).where(F.col("score").isNotNull() & ~F.isnan("score"))

@@ -37,10 +37,11 @@ def main_body(html):
     return F.trim(F.regexp_replace(flat, r"[ \t\n]+", " "))
 
 
-def documents_slices(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """source, item_id, m (month index), body."""
+def documents_slices(spark: SparkSession, sf_dir: str, keep: tuple[str, ...] = ()) -> DataFrame:
+    """source, item_id, m (month index), body; and a struct ``kept`` of the columns in ``keep``, as where a document came from."""
     d = load_table(spark, sf_dir, "documents")
-    return d.select(article_source().alias("source"), F.col("doc_id").alias("item_id"), month_index(F.col("doc_id")).alias("m"), F.col("text").alias("body"))
+    kept = [F.struct(*keep).alias("kept")] if keep else []
+    return d.select(article_source().alias("source"), F.col("doc_id").alias("item_id"), month_index(F.col("doc_id")).alias("m"), F.col("text").alias("body"), *kept)
 
 
 def page_slices(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -74,13 +74,33 @@ class KeyedLaw(StatefulProcessor):
         pass
 
 
+STATE_STORE = "spark.sql.streaming.stateStore.providerClass"
+ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+
+
+def keyed_totals(events: DataFrame, alphabet: int = 5) -> DataFrame:
+    """user_id, events, micro over all batches of ``keyed_law``. Keyed state of this kind needs the RocksDB store, which is named
+    for the run and set back after it."""
+    spark = events.sparkSession
+    before = spark.conf.get(STATE_STORE, None)
+    spark.conf.set(STATE_STORE, ROCKS)
+    try:
+        out = run_now(keyed_law(events, alphabet), "update")
+    finally:
+        spark.conf.set(STATE_STORE, before) if before else spark.conf.unset(STATE_STORE)
+    return out.groupBy("user_id").agg(F.sum("events").alias("events"), F.sum("micro").alias("micro"))
+
+
 def keyed_law(events: DataFrame, alphabet: int = 5) -> DataFrame:
     return events.groupBy("user_id").transformWithStateInPandas(KeyedLaw(alphabet), "user_id long, events long, micro long", outputMode="Update", timeMode="None")
 
 
 def checkpoint_folder(spark: SparkSession) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="slicecode-streams-")
-    return f"{base}/{uuid.uuid4().hex}"
+    """A new folder in the shared one that the session names; only a local session without one gets a temporary folder."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and spark.sparkContext.master.split("[")[0] != "local":
+        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+    return f"{named or tempfile.mkdtemp(prefix='slicecode-streams-')}/{uuid.uuid4().hex}"
 
 
 def run_now(stream: DataFrame, mode: str = "complete", folder: str | None = None) -> DataFrame:

@@ -7,7 +7,15 @@ import pytest
 
 from tests.conftest import rows_match
 
-KEYS = ["corpus_statistics", "monthly_snapshot", "changed_files_half", "byte_budget_sample", "gray_tiles", "word_token_stats", "chunk_plan_stream", "sliding_plan", "adaptive_chunked", "adaptive_sliding", "order0_bits", "backoff_pushdown", "cdf_slots", "cached_bits", "robustness_gap", "projected_rank", "tokenizer_table", "printed_table_checks", "printed_rank_agreement", "png_filter_cost", "rice_choice", "arrow_score", "cogroup_score", "asof_version", "stream_daily_rate"]
+KEYS = [
+    "corpus_statistics", "monthly_snapshot", "changed_files_half", "byte_budget_sample", "gray_tiles", "word_token_stats", "chunk_plan_stream",
+    "sliding_plan", "adaptive_chunked", "adaptive_sliding", "order0_bits", "backoff_pushdown", "cdf_slots", "cached_bits", "robustness_gap",
+    "projected_rank", "tokenizer_table", "printed_table_checks", "printed_rank_agreement", "png_filter_cost", "rice_choice", "arrow_score",
+    "cogroup_score", "asof_version", "stream_daily_rate", "format_round_trip", "partitioned_slices", "bucketed_model", "provenance", "source_chunks",
+    "observed_scan", "rollup_rates", "cube_rates", "vocabulary_maps", "multiset_words", "same_cutoff_pairs", "hinted_joins", "restricted_law",
+    "length_auc", "stream_state_bits", "table4_ranks", "context_size_table", "unbroken_bits", "adaptive_order1",
+    "pcm_series", "flac_fixed_residuals", "contamination_probe",
+]
 
 
 @pytest.mark.parametrize("key", KEYS)
