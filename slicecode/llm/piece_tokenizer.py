@@ -237,7 +237,7 @@ def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", model_fi
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _codec(sent.value)
         for whole in batches:
-            for batch in slices_by_bytes(whole, 4 << 20):
+            for batch in slices_by_bytes(whole, 1 << 20):
                 raw, same, back = codec.encode(batch.column("text").to_pylist())
                 sizes = np.fromiter((len(r) // 4 for r in raw), np.int64, len(raw))
                 flat = np.frombuffer(b"".join(raw), "<i4")
