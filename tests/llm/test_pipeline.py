@@ -28,3 +28,15 @@ def test_stages(spark, sf, tmp_path):
     for r in masked.collect():
         assert not secret_scan.base_spans(r["text"]) and (r["n_chars"] == len(r["text"]) or "[secret]" not in r["text"])
     assert {tuple(r) for r in corpus_pipeline.run(spark, sf).select("doc_id", "n_tokens").collect()} == {tuple(r) for r in ids.select("doc_id", "n_tokens").collect()}
+
+
+def test_edges(spark, edge_docs, tmp_path):
+    """Nulls, empty and very long texts, repeats and clashing names through all stages, and empty tables."""
+    edge_docs.write.parquet(f"{tmp_path}/a/documents.parquet")
+    spark.createDataFrame([(None, 1), (4, None)], "doc_id long, toxic int").write.parquet(f"{tmp_path}/a/labels.parquet")
+    spark.createDataFrame([(1, "four five six seven eight"), (None, None), (2, "")], "item_id long, text string").write.parquet(f"{tmp_path}/a/benchmark.parquet")
+    got = corpus_pipeline.run(spark, f"{tmp_path}/a").collect()
+    assert sorted(r["doc_id"] or -1 for r in got) == [-1, -1, 2, 4, 7]
+    for name in ("documents", "labels", "benchmark"):
+        spark.read.parquet(f"{tmp_path}/a/{name}.parquet").where("false").write.parquet(f"{tmp_path}/b/{name}.parquet")
+    assert corpus_pipeline.run(spark, f"{tmp_path}/b").collect() == []
