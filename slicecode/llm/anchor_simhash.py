@@ -206,13 +206,15 @@ def view_fingerprints(words: list[bytes], views: int) -> np.ndarray:
     chosen = long if len(long) >= 16 else distinct
     if not chosen:
         return np.zeros(views, np.uint64)
-    hashes = np.fromiter(map(xxhash.xxh64_intdigest, chosen), np.uint64, len(chosen))
-    out = np.empty(views, np.uint64)
-    for k in range(views):  # a mix of the word's hash and the view's number, of which every bit depends on both
-        h = (hashes ^ np.uint64((k + 1) * 0x9E3779B97F4A7C15 & (1 << 64) - 1)) * np.uint64(0xBF58476D1CE4E5B9)
+    hashes, counts = np.fromiter(map(xxhash.xxh64_intdigest, chosen), np.uint64, len(chosen)), np.zeros(views * BITS, np.int64)
+    seeds = np.arange(1, views + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    for at in range(0, len(hashes), 4096):  # bits of so many words at a time
+        # a mix of the word's hash and the view's seed, of which every bit depends on both
+        h = (hashes[at : at + 4096, None] ^ seeds) * np.uint64(0xBF58476D1CE4E5B9)
         h = (h ^ (h >> np.uint64(31))) * np.uint64(0x94D049BB133111EB)
-        out[k] = _majority((h ^ (h >> np.uint64(29))).tobytes())
-    return out
+        h ^= h >> np.uint64(29)
+        counts += np.add.reduce(np.unpackbits(h.view(np.uint8), axis=1), axis=0, dtype=np.uint16)
+    return np.packbits((counts * 2 > len(hashes)).reshape(views, BITS), axis=1).view(">u8").ravel().astype(np.uint64)
 
 
 def sized_versions(docs: DataFrame, doc_id: str, text: str, width: int, views: int) -> DataFrame:
