@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from slicecode.llm.common import arrow_pass, durable
+from slicecode.llm.common import arrow_pass, durable, release
 
 BITS = 64
 #: Fingerprints at home at one anchor before it is dealt out to several tasks; ids of texts to broadcast at most.
@@ -193,6 +193,8 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
         if state == tuple(now):
             break
         state = tuple(now)
+        both = least = large = lower = small = None  # noqa: F841  the round's frames, so that their files can go
+        release(links.sparkSession)
     else:
         raise RuntimeError("components did not settle")
     found = edges.groupBy("u").agg(F.min("v").alias("root")).select(F.col("u").alias("node"), "root")

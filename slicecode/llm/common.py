@@ -11,6 +11,7 @@ Conventions that every operator keeps:
 
 from __future__ import annotations
 
+import gc
 import tempfile
 from collections.abc import Callable, Iterator
 
@@ -45,6 +46,13 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def release(spark: SparkSession) -> None:
+    """Let go of the shuffle and checkpoint files of frames that nothing refers to any more. Spark does so when the driver's
+    garbage is collected, which many small rounds alone do not bring about."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def arrow_pass(df: DataFrame, rows: Callable[..., list], schema: str, keep: list[str] | None = None) -> DataFrame:
     """One Arrow pass. ``rows`` gets the Python lists of all columns of ``df`` and returns one list (or Arrow
     array) for each field of ``schema``; the columns named in ``keep`` are put before them unchanged.
