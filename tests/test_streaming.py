@@ -59,3 +59,16 @@ def test_interval_join_equals_the_batch(spark, sf, duck):
     from tests.conftest import rows_match
 
     rows_match(registry.queries()["stream_interval_join"](spark, sf), duck.sql(registry.oracle_sql()["stream_interval_join"]))
+
+
+def test_sessions_come_from_the_state_and_not_over_the_driver(spark, sf, duck, tmp_path):
+    from slicecode.plans import registry
+    from tests.conftest import rows_match
+
+    held = {t.name for t in spark.catalog.listTables()}
+    got = registry.queries()["stream_session"](spark, sf)
+    assert {t.name for t in spark.catalog.listTables()} == held  # a memory table would hold all sessions on the driver
+    rows_match(got, duck.sql(registry.oracle_sql()["stream_session"]))
+    parts(spark, sf, tmp_path / "in")
+    s = spark.readStream.schema(streams.EVENTS).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in/p*").withColumn("ts", F.col("ts").cast("timestamp"))
+    assert streams.all_sessions(s, late="60 days").agg(F.sum("events")).first()[0] == spark.read.parquet(f"{sf}/events.parquet").count()
