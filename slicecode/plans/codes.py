@@ -8,20 +8,21 @@ from pyspark.sql import functions as F
 from slicecode.functions.exprs import MICRO, byte_symbols, micro_bits, month_label, word_symbols
 from slicecode.operators import baselines, bpe, coder, curate, metrics, models, pyops, windows
 from slicecode.plans.base import query
-from slicecode.plans.shared import rates, reference_grams
+from slicecode.plans.shared import rates
 from slicecode.sources.tables import SAMPLE_ORDER, byte_slices, documents_slices, load_table, price_samples
 
 
 def _chunks(spark, sf_dir, size=2048):
     """Byte chunks of the reference articles of the testing period: item_id, chunk_no, data."""
     s = documents_slices(spark, sf_dir).where("source = 'reference_articles' and m >= 72")
-    c = windows.chunk_arrays(s, byte_symbols(F.col("body")), size, ["item_id"])
-    return c.select("item_id", "chunk_no", F.unhex(F.array_join("syms", "")).alias("data"))
+    d = s.select("item_id", F.encode("body", "UTF-8").alias("d")).where(F.octet_length("d") > 0)
+    cut = F.transform(F.sequence(F.lit(0), F.floor((F.octet_length("d") - 1) / size).cast("int")), lambda k: F.substring(F.col("d"), k * size + 1, F.lit(size)))
+    return d.select("item_id", F.posexplode(cut).alias("chunk_no", "data"))
 
 
 def _packed(spark, sf_dir, order=2):
-    counts, _ = models.fit_backoff(reference_grams(spark, sf_dir, order, 2048), 68)
-    return coder.pack(counts, order)
+    seen = documents_slices(spark, sf_dir).where("source = 'reference_articles' and m <= 68")
+    return coder.pack(models.fit_counts(models.byte_grams(seen, order, 2048)), order)
 
 
 @query(None)
@@ -37,13 +38,12 @@ def arith_roundtrip(spark, sf_dir):
 @query(None)
 def arith_overhead(spark, sf_dir):
     """Bits over the ideal by the coder's precision: of quantising the law, and of finite precision with the end."""
-    chunks, model = _chunks(spark, sf_dir, 512), _packed(spark, sf_dir, 1)
-    out = None
-    for b in (18, 20, 24, 32):  # totals of 2**16 slots need 18 bits at least
-        c = coder.encode_chunks(chunks, model, ["item_id", "chunk_no"], precision=b)
-        got = c.agg(F.count(F.lit(1)).alias("chunks"), F.sum("n").alias("symbols"), F.sum("bit_len").alias("bits"), F.round(F.sum("ideal_bits"), 3).alias("ideal_bits"), F.round(F.sum(F.col("slot_bits") - F.col("ideal_bits")), 3).alias("quantisation"), F.round(F.sum(F.col("bit_len") - F.col("slot_bits")), 3).alias("finite_precision")).withColumn("precision", F.lit(b))
-        out = got if out is None else out.unionByName(got)
-    return out
+    precisions = (18, 20, 24, 32)  # totals of 2**16 slots need 18 bits at least
+    c = coder.code_lengths(_chunks(spark, sf_dir, 512), _packed(spark, sf_dir, 1), ["item_id", "chunk_no"], precisions)
+    bits = [F.get("bit_lens", F.lit(k)) for k in range(len(precisions))]
+    each = [F.struct(F.sum(b).alias("bits"), F.round(F.sum(b - F.col("slot_bits")), 3).alias("finite_precision"), F.lit(p).alias("precision")) for b, p in zip(bits, precisions, strict=True)]
+    got = c.agg(F.count(F.lit(1)).alias("chunks"), F.sum("n").alias("symbols"), F.round(F.sum("ideal_bits"), 3).alias("ideal_bits"), F.round(F.sum(F.col("slot_bits") - F.col("ideal_bits")), 3).alias("quantisation"), F.array(*each).alias("each"))
+    return got.select("chunks", "symbols", "ideal_bits", "quantisation", F.explode("each").alias("z")).select("chunks", "symbols", "z.bits", "ideal_bits", "quantisation", "z.finite_precision", "z.precision")
 
 
 @query(None)

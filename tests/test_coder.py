@@ -5,7 +5,7 @@ import random
 import numpy as np
 import pytest
 
-from slicecode.operators.coder import PackedModel, decode_slots_of, encode_slots_of, exact_interval
+from slicecode.operators.coder import PackedModel, decode_slots_of, encode_slots_of, exact_interval, gram_slots, lengths_of
 
 MODEL = PackedModel({b"": (np.array([65, 66]), np.array([30.0, 2.0])), b"A": (np.array([65]), np.array([9.0]))}, 1)
 CASES = [b"", b"A", bytes(range(256)) * 2, b"A" * 10_000 + b"B", bytes(random.Random(3).choices(b"AB", k=2048))]
@@ -51,3 +51,14 @@ def test_alphabet_of_one_costs_nothing():
 def test_slot_out_of_range():
     with pytest.raises(ValueError):
         encode_slots_of([(3, 3, 4)])
+
+
+@pytest.mark.parametrize("order", [0, 1])
+def test_lengths_of_many_chunks_at_once(order):
+    model = PackedModel(MODEL.counts, order)
+    rows = [*CASES, *(bytes(random.Random(k).choices(b"ABC", [30, 2, 1], k=k % 97)) for k in range(200))]
+    lo, hi, total, ideal, _ = gram_slots(model, rows)
+    ns = np.array([len(x) for x in rows])
+    for precision in (18, 20, 24, 32):
+        assert lengths_of(lo, hi, total, ns, precision).tolist() == [encode_slots_of(model.slots(x), precision)[1] for x in rows]
+    assert np.isclose(ideal.sum(), sum(map(model.ideal_bits, rows)))

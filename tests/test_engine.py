@@ -152,6 +152,13 @@ def test_merges(spark):
     assert bpe.learn_merges(words.where("false"), 5) == []
 
 
+def test_grams_counted_in_place(spark):
+    df = frame(spark, ["größer 😀 aaaa", "", None, "ab" * 700, "x"])
+    for order, chunk in ((0, None), (1, 512), (2, 512), (3, None)):
+        want = {(r["ctx"], r["sym"]): r["n"] for r in models.month_grams(df, order, chunk, by=()).collect()}
+        assert {(r["ctx"], r["sym"]): r["n"] for r in models.byte_grams(df, order, chunk, at_once=40).collect()} == want
+
+
 def test_phenomena(spark, sf):
     """More capacity fits the training months better and widens the gap; overlap beats chunks."""
     from slicecode.plans import registry
