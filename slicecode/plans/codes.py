@@ -50,14 +50,13 @@ def arith_overhead(spark, sf_dir):
 def arith_slot_codes(spark, sf_dir):
     """The model-free encoder: symbols bring their slots from a join with an order-1 slot table; ok if the length is within two
     bits of the slots' own cost."""
-    g = models.month_grams(documents_slices(spark, sf_dir).where("source = 'reference_articles'"), 1, 512)
-    counts = models.fit_counts(g)
+    counts = models.fit_counts(models.byte_grams(documents_slices(spark, sf_dir).where("source = 'reference_articles'"), 1, 512)).persist()
     slots = models.cdf_table(counts, 1).unionByName(models.cdf_table(counts, 0))
     t = windows.with_context(documents_slices(spark, sf_dir).where("source = 'reference_articles' and m >= 72"), byte_symbols(F.col("body")), 1, ["item_id"], 512)
-    t = t.withColumn("chunk_no", F.floor(F.col("pos") / 512).cast("int")).join(slots, ["ctx", "sym"])
+    # at most 257 x 256 slots
+    t = t.withColumn("chunk_no", F.floor(F.col("pos") / 512).cast("int")).join(F.broadcast(slots), ["ctx", "sym"])
     codes = coder.encode_slots(t, ["item_id", "chunk_no"])
-    cost = t.groupBy("item_id", "chunk_no").agg(F.sum(-F.log2((F.col("hi") - F.col("lo")) / F.col("total"))).alias("cost"))
-    return codes.join(cost, ["item_id", "chunk_no"]).select("item_id", "chunk_no", "n", "bit_len", (F.abs(F.col("bit_len") - F.col("cost")) <= 2.5).alias("ok"))
+    return codes.select("item_id", "chunk_no", "n", "bit_len", (F.abs(F.col("bit_len") - F.col("slot_bits")) <= 2.5).alias("ok"))
 
 
 @query(None)

@@ -62,3 +62,17 @@ def test_lengths_of_many_chunks_at_once(order):
     for precision in (18, 20, 24, 32):
         assert lengths_of(lo, hi, total, ns, precision).tolist() == [encode_slots_of(model.slots(x), precision)[1] for x in rows]
     assert np.isclose(ideal.sum(), sum(map(model.ideal_bits, rows)))
+
+
+def test_slots_of_a_batch_are_not_held_as_objects(spark):
+    """The codes of chunks that bring their slots, and the slots' own cost; few chunks are taken apart at a time."""
+    from pyspark.sql import functions as F
+
+    from slicecode.operators.coder import encode_slots
+
+    rows = [(k, bytes(random.Random(k).choices(b"ABC", k=k))) for k in range(1, 150)]
+    slots = {k: MODEL.slots(x) for k, x in rows}
+    tokens = spark.createDataFrame([(k, i, *s) for k, all_of in slots.items() for i, s in enumerate(all_of)], "k int, pos int, lo long, hi long, total long")
+    got = {r["k"]: r for r in encode_slots(tokens.orderBy(F.rand(1)), ["k"], at_once=4).collect()}
+    assert {k: (bytes(r["code"]), r["bit_len"], r["n"]) for k, r in got.items()} == {k: (*encode_slots_of(s), len(s)) for k, s in slots.items()}
+    assert all(np.isclose(got[k]["slot_bits"], -sum(np.log2((h - l) / t) for l, h, t in s)) for k, s in slots.items())
