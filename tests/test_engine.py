@@ -3,6 +3,7 @@
 import math
 from collections import Counter, defaultdict
 
+import pytest
 from pyspark.sql import functions as F
 
 from slicecode.functions.exprs import byte_symbols, micro_bits
@@ -213,3 +214,10 @@ def test_sampling_fractions(spark):
 def test_crops_and_gray(spark):
     got = spark.range(1).select(curate.crop(F.array(*[F.lit(k) for k in range(12)]), 4, 1, 2).alias("c"), curate.gray_of_rgb(F.lit(255), F.lit(0), F.lit(255)).alias("g")).first()
     assert got["c"] == [1, 2, 5, 6, 9, 10] and got["g"] == 105
+
+
+@pytest.mark.parametrize("key", ["printed_table_checks", "printed_rank_agreement", "same_cutoff_pairs"])
+def test_given_tables_are_read(spark, sf, key):
+    from slicecode.plans import registry
+
+    assert "parquet" in registry.queries()[key](spark, sf)._jdf.queryExecution().analyzed().toString()
