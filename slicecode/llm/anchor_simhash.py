@@ -13,11 +13,16 @@ components by alternating large-star and small-star steps.
 
 For texts that are similar but further apart than three bits, ``near_duplicates(views=…)`` takes several more fingerprints
 of the text's distinct long words, one for each seed. Texts that share the home anchor of any half of any view are held
-against each other by the exact Jaccard similarity of their shingles.
+against each other by the exact Jaccard similarity of their shingles. In a crowded cell each text is held against the cell's
+leader first. Of two texts that are then still of different classes one is far from the leader, so what it differs by from the
+leader must largely be what the other differs by: such pairs are found by an exact prefix filter on these differences, and
+not by pairing the cell's texts.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterable
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -30,6 +35,12 @@ BITS = 64
 #: Fingerprints at home at one anchor before it is dealt out to several tasks; ids of texts to broadcast at most.
 MOST_AT_HOME = 4096
 MOST_NEEDED = 1 << 18
+#: Links whose components the driver finds (16 bytes a link); more are contracted by star steps, with the same roots.
+MOST_LINKS = 1 << 18
+#: Texts of a cell that are paired as they are; those of larger cells meet by their differences from its leader.
+FEW_IN_CELL = 8
+#: Counters of the order in which the prefix filter takes differences. Any order is exact; a good one has rare ones first.
+COUNTERS = 1 << 16
 
 
 def fingerprint(text: str | None, width: int = 3, seed: int = 42) -> int:
@@ -158,19 +169,46 @@ def fingerprint_links(fps: DataFrame, distance: int = 3) -> DataFrame:
     return met.select("a", "b").distinct()
 
 
-def merged_roots(rooted: DataFrame, links: DataFrame, key: str) -> DataFrame:
-    """``rooted`` (``key``, root, …) after joining the classes that ``links`` (a, b: values of ``key``) connect."""
-    side = lambda name: rooted.select(F.col(key).alias(name), F.col("root").alias(f"{name}_root"))
-    pairs = links.join(side("a"), "a").join(side("b"), "b").select(F.col("a_root").alias("a"), F.col("b_root").alias("b"))
-    found = components(pairs)
-    others = [c for c in rooted.columns if c != "root"]
-    return rooted.withColumnRenamed("root", "old").join(found, F.col("old") == F.col("node"), "left").select(*others, F.coalesce("root", "old").alias("root"))
+def merged_roots(rooted: DataFrame, links: DataFrame, key: str, into: DataFrame | None = None) -> DataFrame:
+    """``into`` (root, …; ``rooted`` if None) after joining the classes that ``links`` (a, b: values of ``key``) connect. ``rooted``
+    has the ``key`` and root of all that is linked; both are written already. Up to MOST_LINKS links the driver finds the components."""
+    into = rooted if into is None else into
+    if links.count() > MOST_LINKS:
+        side = lambda name: rooted.select(F.col(key).alias(name), F.col("root").alias(f"{name}_root"))
+        pairs = links.join(side("a"), "a").join(side("b"), "b").select(F.col("a_root").alias("a"), F.col("b_root").alias("b"))
+        found = components(pairs).select(F.col("node").alias("old"), F.col("root").alias("new"))
+    else:
+        ends = F.broadcast(links.select(F.col("a").alias("end")).union(links.select("b")))
+        known = rooted.join(ends, F.col(key) == F.col("end"), "left_semi").select(key, "root").toArrow().to_pydict()
+        roots, pairs = dict(zip(known[key], known["root"], strict=True)), links.select("a", "b").toArrow().to_pydict()
+        moved = _joined((roots[a], roots[b]) for a, b in zip(pairs["a"], pairs["b"], strict=True))
+        if not moved:
+            return into
+        found = F.broadcast(links.sparkSession.createDataFrame(pa.table({"old": pa.array(moved.keys(), pa.int64()), "new": pa.array(moved.values(), pa.int64())})))
+    others = [c for c in into.columns if c != "root"]
+    return into.join(found, F.col("root") == F.col("old"), "left").select(*others, F.coalesce("new", "root").alias("root"))
+
+
+def _joined(pairs: Iterable[tuple[int, int]]) -> dict[int, int]:
+    """The smallest node of its component for each node of ``pairs`` that is not the smallest itself."""
+    above: dict[int, int] = {}
+
+    def top(x: int) -> int:
+        while (y := above.get(x, x)) != x:
+            above[x] = x = above.get(y, y)
+        return x
+
+    for a, b in pairs:
+        x, y = top(a), top(b)
+        if x != y:
+            above[max(x, y)] = min(x, y)
+    return {x: top(x) for x in list(above)}
 
 
 def class_roots(fps: DataFrame, distance: int = 3) -> DataFrame:
     """fp, root: the smallest fingerprint that is reachable over links of at most ``distance`` bits."""
-    rooted = durable(merged_roots(fps.select("fp", F.col("fp").alias("root")), leader_links(fps, distance), "fp"))
-    return merged_roots(rooted, fingerprint_links(rooted, distance), "fp")
+    rooted = durable(merged_roots(fps.select("fp", F.col("fp").alias("root")), durable(leader_links(fps, distance)), "fp"))
+    return merged_roots(rooted, durable(fingerprint_links(rooted, distance)), "fp")
 
 
 def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
@@ -238,16 +276,17 @@ def sized_versions(docs: DataFrame, doc_id: str, text: str, width: int, views: i
 
 
 def shared_cells(nodes: DataFrame, views: int) -> DataFrame:
-    """cell, node, view: the home anchors of both halves of every view, where more than one node is at home."""
+    """cell, node, view, many: the home anchors of both halves of every view, where more than one node is at home; ``many`` where
+    they are more than FEW_IN_CELL."""
     parts = [F.struct(F.lit(2 * k + half).cast("int").alias("part"), F.shiftrightunsigned(F.element_at("views", k + 1), 32 * half).bitwiseAND(F.lit((1 << 32) - 1)).alias("bits"), F.element_at("views", k + 1).alias("view")) for k in range(views) for half in (0, 1)]
     each = nodes.select("node", F.explode(F.array(*parts)).alias("p")).select("node", "p.part", "p.bits", "p.view")
     cells = _cells(each.select("part", _flip(F.col("bits"), _syndrome(F.col("bits"), 32)).alias("anchor"), "node", "view"))
-    return durable(cells.join(crowded(cells, "node", 1).select("cell"), "cell"))
+    return durable(cells.join(crowded(cells, "node", 1).select("cell", (F.col("n") > FEW_IN_CELL).alias("many")), "cell"))
 
 
 def _comparable(least: float, apart: int) -> Column:
-    """Condition on sides a and b: other classes, views that are not far apart, sizes whose Jaccard can reach ``least``."""
-    return (F.col("a_root") != F.col("b_root")) & (F.bit_count(F.col("a_view").bitwiseXOR(F.col("b_view"))) <= apart) & (F.col("a_n") >= least * F.col("b_n")) & (F.col("b_n") >= least * F.col("a_n"))
+    """Condition on sides a and b: views that are not far apart, sizes whose Jaccard can reach ``least``."""
+    return (F.bit_count(F.col("a_view").bitwiseXOR(F.col("b_view"))) <= apart) & (F.col("a_n") >= least * F.col("b_n")) & (F.col("b_n") >= least * F.col("a_n"))
 
 
 def _sided(cells: DataFrame, rooted: DataFrame, name: str, *more: str) -> DataFrame:
@@ -256,27 +295,99 @@ def _sided(cells: DataFrame, rooted: DataFrame, name: str, *more: str) -> DataFr
 
 
 def led_pairs(cells: DataFrame, rooted: DataFrame, least: float, apart: int) -> DataFrame:
-    """a, b: each node with the smallest node of each of its cells."""
+    """a, b: each node with the smallest node of each of its cells; in a cell of many whatever their views and sizes are."""
     first = durable(cells.groupBy("cell").agg(F.min(F.struct("node", "view")).alias("first")).select("cell", "first.*"))
-    return _sided(first, rooted, "a").join(_sided(cells, rooted, "b"), "cell").where(_comparable(least, apart)).select("a", "b").distinct()
+    met = _sided(first, rooted, "a").join(_sided(cells, rooted, "b", "many"), "cell")
+    return met.where((F.col("a_root") != F.col("b_root")) & (F.col("many") | _comparable(least, apart))).select("a", "b").distinct()
 
 
-def cell_pairs(cells: DataFrame, rooted: DataFrame, least: float, apart: int) -> DataFrame:
-    """a, b: all pairs of one cell that are still of different classes. Crowded cells are dealt out by salt."""
-    live = cells.join(rooted.select("node", "root"), "node").groupBy("cell").agg(F.count(F.lit(1)).alias("n"), F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y")
-    dealt = durable(cells.join(live.select("cell", F.ceil(F.col("n") / F.lit(MOST_AT_HOME)).cast("int").alias("salts")), "cell"))
-    left = _sided(dealt.withColumn("salt", F.pmod(F.xxhash64("node"), F.col("salts")).cast("int")), rooted, "a", "salt")
-    right = _sided(dealt.withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))), rooted, "b", "salt")
-    return left.join(right, ["cell", "salt"]).where((F.col("a") < F.col("b")) & _comparable(least, apart)).select("a", "b").distinct()
+def live_cells(cells: DataFrame, rooted: DataFrame) -> DataFrame:
+    """The rows of ``cells`` whose cell still has nodes of different classes, with ``leader``, the cell's smallest node."""
+    live = cells.join(rooted.select("node", "root"), "node").groupBy("cell").agg(F.min("node").alias("leader"), F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y")
+    return durable(cells.join(live.select("cell", "leader"), "cell"))
 
 
-def verified(pairs: DataFrame, docs: DataFrame, doc_id: str, text: str, width: int, least: float) -> DataFrame:
-    """The pairs a, b of ids whose texts have a Jaccard similarity of ``least`` or more over their distinct shingles."""
-    pairs = durable(pairs)
+def cell_pairs(live: DataFrame, rooted: DataFrame, least: float, apart: int) -> DataFrame:
+    """a, b: all pairs of one cell of few that are still of different classes."""
+    few = live.where("not many")
+    met = _sided(few, rooted, "a").join(_sided(few, rooted, "b"), "cell")
+    return met.where((F.col("a") < F.col("b")) & (F.col("a_root") != F.col("b_root")) & _comparable(least, apart)).select("a", "b").distinct()
+
+
+def differences(live: DataFrame, docs: DataFrame, doc_id: str, text: str, width: int, least: float) -> DataFrame | None:
+    """leader, node, n (the node's shingles), d (in how many it differs from the leader), head (the first of them by the order of
+    their counters, as many as the prefix filter asks for) of the nodes of cells of many; None if there is no such cell."""
+    led = durable(live.where("many and node <> leader").select(F.col("leader").alias("a"), F.col("node").alias("b")).distinct())
+    if led.isEmpty():
+        return None
+
+    def apart_by(_: list, __: list, left: list, right: list) -> list:
+        sizes, found, last, first = [], [], None, None
+        for x, y in zip(left, right, strict=True):
+            if x != last:
+                last, first = x, np.unique(np.frombuffer(shingle_hashes(words_of(x), width), np.int64))
+            own = np.unique(np.frombuffer(shingle_hashes(words_of(y), width), np.int64))
+            sizes.append(len(own))
+            found.append(np.setxor1d(first, own, assume_unique=True))
+        return [sizes, found]
+
+    whole = durable(arrow_pass(_with_texts(led, docs, doc_id, text), apart_by, "n int, delta array<long>", keep=["a", "b"]))
+    counted = whole.select(F.explode("delta").alias("x")).groupBy(F.col("x").bitwiseAND(F.lit(COUNTERS - 1)).alias("slot")).agg(F.count(F.lit(1)).alias("c")).toArrow()  # COUNTERS rows at most
+    counts = np.zeros(COUNTERS, np.int64)
+    counts[counted.column("slot").to_numpy()] = counted.column("c").to_numpy()
+    sent = docs.sparkSession.sparkContext.broadcast(counts)
+
+    def heads(_: list, __: list, sizes: list, deltas: list) -> list:
+        found = []
+        for n, delta in zip(sizes, deltas, strict=True):
+            x = np.array(delta, np.int64)
+            found.append(x[np.lexsort((x, sent.value[x & (COUNTERS - 1)]))[: _most_apart(n, least) + 1]])
+        return [sizes, [len(x) for x in deltas], found]
+
+    return durable(arrow_pass(whole, heads, "n int, d int, head array<long>", keep=["a", "b"]).select(F.col("a").alias("leader"), F.col("b").alias("node"), F.col("n").alias("size"), "d", "head"))
+
+
+def _most_apart(n: int, least: float) -> int:
+    """In how many shingles a text of ``n`` may differ from another with a similarity of ``least``."""
+    return int(n * (1 - least) / least + 1e-9)
+
+
+def difference_pairs(diffs: DataFrame, rooted: DataFrame, least: float, led: bool) -> DataFrame:
+    """a, b: nodes of one leader and different classes whose differences from it may be alike enough. ``led``: of the nodes that
+    share a difference only those with the smallest one.
+
+    Two sets x, y of a and b shingles that reach ``least`` differ in h = a + b - 2 ceil(least (a + b) / (1 + least)) at most. With X, Y
+    their differences from the leader, X and Y share s = (|X| + |Y| - h) / 2 or more, and s > 0, as one of two texts of different
+    classes was compared with the leader and lies further than that from it. The first that they share, in a common order, is at
+    places i <= |X| - s and j <= |Y| - s, so i + j <= h and the lesser of the two is h / 2 at most.
+    """
+    known = diffs.join(rooted.select("node", "root"), "node")
+    each = known.select("leader", F.struct("node", "root", "size", "d").alias("of"), F.posexplode("head").alias("pos", "x")).select("leader", "x", F.struct("of.node", "pos", "of.root", "of.size", "of.d").alias("y"))
+    if led:
+        left = each.groupBy("leader", "x").agg(F.min("y").alias("l"))
+    else:
+        left = each.where(F.col("y.pos") <= F.floor(F.col("y.size") * ((1 - least) / least) / 2 + 1e-9)).withColumnRenamed("y", "l")
+    n = F.col("l.size") + F.col("y.size")
+    h = n - 2 * F.ceil(n * (least / (1 + least)) - 1e-9)
+    s = F.ceil((F.col("l.d") + F.col("y.d") - h) / 2)
+    near = (F.col("l.pos") <= F.col("l.d") - s) & (F.col("y.pos") <= F.col("y.d") - s) & (F.col("l.pos") + F.col("y.pos") <= h)
+    met = left.join(each, ["leader", "x"]).where((F.col("l.root") != F.col("y.root")) & near)
+    return met.select(F.least("l.node", "y.node").alias("a"), F.greatest("l.node", "y.node").alias("b")).distinct()
+
+
+def _with_texts(pairs: DataFrame, docs: DataFrame, doc_id: str, text: str) -> DataFrame:
+    """a, b, a_text, b_text of pairs of ids that are written already."""
     needed = durable(pairs.select(F.col("a").alias("need_id")).union(pairs.select("b")).distinct())
     if needed.count() <= MOST_NEEDED:  # the same rows either way: no text is shuffled to find few of them
         needed = F.broadcast(needed)
     texts = durable(docs.select(F.col(doc_id).alias("need_id"), F.col(text).cast("string").alias("text")).join(needed, "need_id", "left_semi").dropDuplicates(["need_id"]))
+    side = lambda name: texts.select(F.col("need_id").alias(name), F.col("text").alias(f"{name}_text"))
+    return pairs.join(side("b"), "b").join(side("a"), "a").select("a", "b", "a_text", "b_text")
+
+
+def verified(pairs: DataFrame, docs: DataFrame, doc_id: str, text: str, width: int, least: float) -> DataFrame:
+    """The pairs a, b of ids whose texts have a Jaccard similarity of ``least`` or more over their distinct shingles."""
+    pairs = durable(pairs)
 
     def rows(_: list, __: list, left: list, right: list) -> list:
         out, last, cut = [], None, frozenset()
@@ -286,9 +397,7 @@ def verified(pairs: DataFrame, docs: DataFrame, doc_id: str, text: str, width: i
             out.append(similarity(cut, shingles(y, width)) >= least)
         return [out]
 
-    side = lambda name: texts.select(F.col("need_id").alias(name), F.col("text").alias(f"{name}_text"))
-    both = pairs.join(side("b"), "b").join(side("a"), "a")
-    return durable(arrow_pass(both.select("a", "b", "a_text", "b_text"), rows, "same boolean", keep=["a", "b"]).where("same").select("a", "b"))
+    return durable(arrow_pass(_with_texts(pairs, docs, doc_id, text), rows, "same boolean", keep=["a", "b"]).where("same").select("a", "b"))
 
 
 def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, distance: int = 3, views: int = 0, least: float = 0.8, apart: int = 14) -> DataFrame:
@@ -299,7 +408,7 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     An empty table gives no rows. ``views``: texts that share the home anchor of a half of any of so many further
     fingerprints, of their distinct long words, and differ in at most ``apart`` bits of that fingerprint, are linked too, if
     their Jaccard similarity over distinct ``width``-word shingles is ``least`` or more; such a link needs an id on both
-    sides, by which the texts are found.
+    sides, by which the texts are found. Texts of crowded cells of one smallest text are linked by that similarity alone.
     """
     marked = durable(sized_versions(docs, doc_id, text, width, views) if views else with_fingerprints(docs, doc_id, text, width))
     first = durable(marked.groupBy("fp").agg(F.min("doc_id").alias("first_id")))
@@ -308,11 +417,22 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
         texts = marked.where("n > 0 and doc_id is not null").groupBy("version").agg(F.min("doc_id").alias("node"), F.first("fp").alias("fp"), F.first("n").alias("n"), F.first("views").alias("views"))
         nodes = durable(texts.groupBy("node").agg(F.first("fp").alias("fp"), F.first("n").alias("n"), F.first("views").alias("views")))  # an id that repeats is one document
         cells = shared_cells(nodes, views)
-        for candidates in (led_pairs, cell_pairs):
+        rooted = durable(nodes.select("node", "fp", "n").join(roots, "fp"))
+
+        def linked(pairs: DataFrame) -> None:
+            nonlocal roots, rooted
+            links = verified(pairs, docs, doc_id, text, width, least)
+            roots = durable(merged_roots(rooted, links, "node", roots))
             rooted = durable(nodes.select("node", "fp", "n").join(roots, "fp"))
-            links = verified(candidates(cells, rooted, least, apart), docs, doc_id, text, width, least)
-            by_fp = links.join(rooted.select(F.col("node").alias("a"), F.col("fp").alias("x")), "a").join(rooted.select(F.col("node").alias("b"), F.col("fp").alias("y")), "b")
-            roots = durable(merged_roots(roots, by_fp.select(F.col("x").alias("a"), F.col("y").alias("b")), "fp"))
+            release(docs.sparkSession)
+
+        linked(led_pairs(cells, rooted, least, apart))
+        live = live_cells(cells, rooted)
+        linked(cell_pairs(live, rooted, least, apart))
+        diffs = differences(live, docs, doc_id, text, width, least)
+        if diffs is not None:
+            linked(difference_pairs(diffs, rooted, least, led=True))
+            linked(difference_pairs(diffs, rooted, least, led=False))
     named = first.join(roots, "fp")
     classes = named.join(named.groupBy("root").agg(F.min("first_id").alias("class_id")), "root").select("fp", "class_id")
     return marked.join(classes, "fp").select("doc_id", "fp", F.col("class_id").alias("component_id"))

@@ -404,6 +404,38 @@ def test_links_beyond_three_bits(spark, salted):
     assert kept >= set(most)
 
 
+def test_large_groups_of_near_copies_are_not_paired(spark, monkeypatch):
+    """Copies of one text with one to seven words changed: all links are found, and the pairs that are compared do not grow with the square."""
+    r = random.Random(8)
+    base = [f"longword{r.randrange(400)}" for _ in range(150)]
+    texts = []
+    for k in range(240):
+        words = list(texts[-1].split() if k % 24 == 23 else base)  # now and then a copy of a copy
+        for _ in range(r.randint(1, 7)):
+            words[r.randrange(150)] = f"new{r.randrange(10**6)}"
+        texts.append(" ".join(words))
+    grams = [anchor_simhash.shingles(t) for t in texts]
+    alike = {(a, b): anchor_simhash.similarity(grams[a], grams[b]) for a in range(240) for b in range(a + 1, 240)}
+    true, compared = joined_by([p for p in alike if alike[p] >= 0.8], 240), []
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    before = anchor_simhash.verified
+    monkeypatch.setattr(anchor_simhash, "verified", lambda pairs, *a: compared.append(pairs.count()) or before(pairs, *a))
+    got = {d["doc_id"]: d["component_id"] for d in anchor_simhash.near_duplicates(docs, width=5, views=16).collect()}
+    assert [got[k] for k in range(240)] == true and 3 < len(set(true)) < 200
+    assert sum(compared) < 50 * 240  # 21,192 when all pairs of a cell were held against each other
+
+
+@pytest.mark.parametrize("few, links", [(1, 1 << 18), (10**9, 1 << 18), (1, 0)])
+def test_crowded_cells_and_many_links(spark, monkeypatch, few, links):
+    """The way over differences, that over all pairs of a cell, and components by star steps join the same texts."""
+    texts, bits, alike = loose_case(5, 3, 30)
+    monkeypatch.setattr(anchor_simhash, "FEW_IN_CELL", few)
+    monkeypatch.setattr(anchor_simhash, "MOST_LINKS", links)
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: r["component_id"] for r in anchor_simhash.near_duplicates(docs, width=5, views=16).collect()}
+    assert [got[k] for k in range(len(texts))] == joined_by([p for p in bits if bits[p] <= 3 or alike[p] >= 0.8], len(texts))
+
+
 def test_recall_of_similar_documents(spark):
     """All pairs of distinct texts at a similarity of 0.8 or more on the given documents, by a full search."""
     docs = read(spark, "/root/testdata/sf0.01", "documents")
