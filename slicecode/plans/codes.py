@@ -210,24 +210,26 @@ MERGES = {"all": (256, 1024, 4096, 8192), "en": (4096,)}
 def bpe_table(spark, sf_dir):
     """Byte-pair tokenizers of growing vocabularies, trained on all languages or on English only: tokens and bits per token
     and byte under their own order-0 law, by language, on the testing slice. ``lossless``: the ids give every text back."""
-    d = documents_slices(spark, sf_dir).join(load_table(spark, sf_dir, "documents").select(F.col("doc_id").alias("item_id"), "lang"), "item_id")
+    d = documents_slices(spark, sf_dir, keep=("lang",)).where("item_id is not null").select("source", "m", "body", "kept.lang")
     ref = d.where("source = 'reference_articles' and m >= 72").select("lang", "body", word_symbols(F.col("body")).alias("w"))
     train = d.where("source = 'reference_articles' and m < 72")
-    out = None
-    for name, sizes in MERGES.items():
-        every = list(bpe.train_bpe(train if name == "all" else train.where("lang = 'en'"), "body", max(sizes)).rank)
-        for n in sizes:
-            m = bpe.Merger(every[:n])
-            coded = ref.select("lang", "body", bpe.encode(F.col("w"), m, spark).alias("ids"))
-            back = coded.groupBy("lang").agg(F.min(bpe.decode(F.col("ids"), m, spark).eqNullSafe(F.col("body"))).alias("lossless"), F.sum(F.octet_length("body").cast("long")).alias("bytes"))
-            t = coded.select("lang", F.explode("ids").alias("sym")).groupBy("lang", "sym").agg(F.count(F.lit(1)).alias("c"))
-            law = t.groupBy("sym").agg(F.sum("c").alias("n"))
-            total = F.broadcast(law.agg(F.sum("n").cast("double").alias("all")))  # one row
-            z = t.join(law, "sym").crossJoin(total).groupBy("lang").agg(F.sum("c").alias("tokens"), F.sum(F.col("c") * micro_bits(F.col("n") / F.col("all"))).cast("double").alias("micro"))
-            b = F.col("micro") / MICRO
-            got = z.join(back, "lang").select(F.lit(name).alias("trained_on"), F.lit(256 + len(every[:n])).alias("vocabulary"), "lang", "tokens", F.round(b / F.col("tokens"), 6).alias("bpt"), F.round(b / F.col("bytes"), 6).alias("bpb"), "lossless")
-            out = got if out is None else out.unionByName(got)
-    return out
+    learned = {name: list(bpe.train_bpe(train if name == "all" else train.where("lang = 'en'"), "body", max(sizes)).rank) for name, sizes in MERGES.items()}
+    kinds = [(name, learned[name][:n]) for name, sizes in MERGES.items() for n in sizes]
+    mergers = [bpe.Merger(merges) for _, merges in kinds]
+    coded = ref.select("lang", "body", *[bpe.encode(F.col("w"), m, spark).alias(f"ids{k}") for k, m in enumerate(mergers)])
+    back = coded.select("lang", "body", *[f"ids{k}" for k in range(len(kinds))], *[bpe.decode(F.col(f"ids{k}"), m, spark).alias(f"text{k}") for k, m in enumerate(mergers)])
+    each = F.array(*[F.struct(F.lit(k).alias("k"), F.col(f"ids{k}").alias("ids"), F.col(f"text{k}").eqNullSafe(F.col("body")).alias("same")) for k in range(len(kinds))])
+    rows = back.select("lang", F.octet_length("body").cast("long").alias("size"), F.explode(each).alias("e")).select("lang", "size", "e.k", "e.same", F.posexplode_outer("e.ids").alias("pos", "sym"))
+    size = F.when(F.coalesce("pos", F.lit(0)) == 0, F.col("size"))  # once a text
+    t = rows.groupBy("k", "lang", "sym").agg(F.count("sym").alias("c"), F.min("same").alias("same"), F.sum(size).alias("bytes")).persist()  # ids of five vocabularies
+    back = t.groupBy("k", "lang").agg(F.min("same").alias("lossless"), F.sum("bytes").alias("bytes"))
+    t = t.where("sym is not null")
+    law = t.groupBy("k", "sym").agg(F.sum("c").alias("n"))
+    total = F.broadcast(law.groupBy("k").agg(F.sum("n").cast("double").alias("all")))  # a row a vocabulary
+    z = t.join(law, ["k", "sym"]).join(total, "k").groupBy("k", "lang").agg(F.sum("c").alias("tokens"), F.sum(F.col("c") * micro_bits(F.col("n") / F.col("all"))).cast("double").alias("micro"))
+    b = F.col("micro") / MICRO
+    named = F.broadcast(spark.createDataFrame([(k, name, 256 + len(merges)) for k, (name, merges) in enumerate(kinds)], "k int, trained_on string, vocabulary int"))
+    return z.join(back, ["k", "lang"]).join(named, "k").select("trained_on", "vocabulary", "lang", "tokens", F.round(b / F.col("tokens"), 6).alias("bpt"), F.round(b / F.col("bytes"), 6).alias("bpb"), "lossless")
 
 
 # --- other ways to the same numbers --------------------------------------------------------------------------------
